@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from knnscope.io import table
-from knnscope.llm import bpe, langid, packing, toxicity
+from knnscope.llm import bpe, langid, packing, quality, toxicity, urlfilter
 from knnscope.llm.common import crc_fold
 
 
@@ -25,6 +25,10 @@ def op3_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.score_table(docs, model).select("doc_id", held.alias("held_out"), "score", "predicted")
 
 
+def op5_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality.judge(table(spark, sf_dir, "documents")).withColumn("failed", F.array_join("failed", ","))
+
+
 def op7_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(table(spark, sf_dir, "documents"), public_tokenizers.path("word_bpe_49k.json"))
 
@@ -36,8 +40,12 @@ def op9_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     return langid.predict(docs, model).select("doc_id", held.alias("held_out"), "lang_pred", "score", "rejected")
 
 
+def op10_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return urlfilter.judge(table(spark, sf_dir, "pages"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_byte_bpe, op3_toxicity, op7_packing, op9_language)}
+    return {f.__name__: f for f in (op1_byte_bpe, op3_toxicity, op5_quality, op7_packing, op9_language, op10_url_filter)}
 
 
 def oracle_sql() -> dict[str, str]:
