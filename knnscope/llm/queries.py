@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from knnscope.io import table
-from knnscope.llm import bpe, langid, packing, quality, toxicity, urlfilter
+from knnscope.llm import bpe, langid, packing, pii, quality, toxicity, urlfilter
 from knnscope.llm.common import crc_fold
 
 
@@ -33,6 +33,10 @@ def op7_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(table(spark, sf_dir, "documents"), public_tokenizers.path("word_bpe_49k.json"))
 
 
+def op8_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pii.report(table(spark, sf_dir, "documents"))
+
+
 def op9_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     model = langid.fit(docs, langid.not_held_out())
@@ -45,7 +49,7 @@ def op10_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_byte_bpe, op3_toxicity, op5_quality, op7_packing, op9_language, op10_url_filter)}
+    return {f.__name__: f for f in (op1_byte_bpe, op3_toxicity, op5_quality, op7_packing, op8_pii, op9_language, op10_url_filter)}
 
 
 def oracle_sql() -> dict[str, str]:
