@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from knnscope.io import table
-from knnscope.llm import bpe, langid, packing, pii, quality, toxicity, urlfilter
+from knnscope.llm import bpe, langid, neardup, packing, pii, quality, toxicity, urlfilter
 from knnscope.llm.common import crc_fold
 
 
@@ -18,6 +18,10 @@ def op1_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.digest_table(table(spark, sf_dir, "documents"), path, public_tokenizers.PATTERN)
 
 
+def op2_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return neardup.link(table(spark, sf_dir, "documents"), words=3, similar=85)
+
+
 def op3_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs, labels = table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels")
     model = toxicity.fit(toxicity.labelled_rows(docs, labels))
@@ -49,7 +53,7 @@ def op10_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_byte_bpe, op3_toxicity, op5_quality, op7_packing, op8_pii, op9_language, op10_url_filter)}
+    return {f.__name__: f for f in (op1_byte_bpe, op2_minhash, op3_toxicity, op5_quality, op7_packing, op8_pii, op9_language, op10_url_filter)}
 
 
 def oracle_sql() -> dict[str, str]:
