@@ -170,5 +170,20 @@ def predict(docs: DataFrame, model: LanguageModel) -> DataFrame:
     return map_rows(docs, ["doc_id", "text"], kernel, SCHEMA)
 
 
+def accepted(docs: DataFrame, model: LanguageModel) -> DataFrame:
+    """The rows of ``docs`` that the model doesn't reject, with all their columns and without a join."""
+    import pyarrow as pa
+
+    shared = docs.sparkSession.sparkContext.broadcast(model)
+
+    def run(batches):
+        own = shared.value
+        for batch in batches:
+            texts = batch.column(batch.schema.get_field_index("text")).to_pylist()
+            yield batch.filter(pa.array([not own.predict(t)[2] for t in texts], pa.bool_()))
+
+    return docs.mapInArrow(run, docs.schema)
+
+
 def not_held_out(folds: int = 4, held: int = 2) -> Column:
     return crc_fold(F.col("doc_id"), folds) != held

@@ -4,9 +4,9 @@ Each distinct shingle set gets a signature of ``LANES`` minwise values cut to 16
 two signatures is the number of lanes that differ. The index covers the first ``CHUNKS`` longs: within distance
 2 ``CHUNKS`` - 1 of those lanes, some long differs in at most one lane (pigeonhole), so each long is entered four times,
 each time without one lane, and equal entries of two documents lead to every such pair. At a Jaccard similarity of 0.85
-a lane differs with probability 0.15, so a pair escapes the index with probability 2e-8; those it finds must also be
-within ``FARTHEST`` of all lanes, which rejects less than 1e-5 of the pairs at the threshold. What remains is compared
-on full sets.
+a lane differs with probability 0.15, so a pair escapes the index with probability 2e-8 (1e-6 at 0.8); those it finds
+must also be within ``farthest`` of all lanes, five standard deviations over the mean at the threshold, which rejects
+about 1e-5 of the pairs there. What remains is compared on full sets.
 
 Groups of copies never become pairs. Equal sets are one class from the start. Then every bucket of the index links its
 members to one of them, the one that shares the most entries with others (its classes' original, as a rule); confirmed
@@ -32,7 +32,7 @@ from knnscope.components import connected
 from knnscope.io import materialize
 from knnscope.llm.common import Memo, map_rows, mix64
 
-LANES, CHUNKS, FARTHEST = 64, 8, 24
+LANES, CHUNKS = 64, 8
 LONGS = [f"s{i}" for i in range(LANES // 4)]
 _SEEDS = mix64(np.arange(1, 2 * LANES + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15))
 _ODD, _ADD = _SEEDS[:LANES] | np.uint64(1), _SEEDS[LANES:]
@@ -112,10 +112,16 @@ def lanes_apart(a: str, b: str) -> str:
     return " + ".join(each)
 
 
+def farthest(similar: int) -> int:
+    """The greatest distance of signatures to look at: the mean at the threshold and five standard deviations."""
+    s = similar / 100
+    return round(LANES * (1 - s) + 5 * (LANES * s * (1 - s)) ** 0.5)
+
+
 def close(a: str, b: str, similar: int) -> str:
     """What sets of at least ``similar`` per cent Jaccard similarity must satisfy: sizes, then signatures."""
     sizes = f"100 * least({a}.n, {b}.n) >= {similar} * greatest({a}.n, {b}.n)"
-    return f"{sizes} AND {lanes_apart(a, b)} <= {FARTHEST}"
+    return f"{sizes} AND {lanes_apart(a, b)} <= {farthest(similar)}"
 
 
 def confirmed(pairs: DataFrame, sets: DataFrame, similar: int) -> DataFrame:
@@ -186,6 +192,12 @@ def link(docs: DataFrame, words: int = 3, similar: int = 85) -> DataFrame:
     )
 
 
+def one_of_each(docs: DataFrame, words: int = 5, similar: int = 80) -> DataFrame:
+    """The rows of ``docs`` without near-duplicates: of each component the document of the smallest id stays."""
+    gone = materialize(link(docs, words, similar).filter("NOT kept").select("doc_id").distinct(), "duplicates")
+    return docs.join(gone.hint("shuffle_hash"), "doc_id", "left_anti").select(*docs.columns)
+
+
 def near(pairs: DataFrame, reps: DataFrame, similar: int) -> DataFrame:
     """Those of ``pairs(u, v)`` that sizes and signatures don't rule out."""
     sign = F.struct("n", *LONGS)

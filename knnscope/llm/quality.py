@@ -40,20 +40,19 @@ def _without(column: str, characters) -> str:
     return column
 
 
-def counts(docs: DataFrame) -> DataFrame:
-    """``doc_id, lang, source`` and the counts of every whole text."""
-    base = docs.select("doc_id", "lang", "source", F.coalesce("text", F.lit("")).alias("t"))
+def counts(docs: DataFrame, *more: str) -> DataFrame:
+    """``doc_id, lang, source``, the columns ``more``, and the counts of every whole text."""
+    own = ["doc_id", "lang", "source", *more]
+    base = docs.select(*own, F.coalesce("text", F.lit("")).alias("t"))
     blank = "[\\\\x20\\\\x09-\\\\x0D]"
     split = base.selectExpr(
-        "doc_id", "lang", "source", "t",
+        *own, "t",
         f"split(regexp_replace(t, '^{blank}+|{blank}+$', ''), '{blank}+') AS w",
         f"filter(split(t, '\\n'), x -> x rlike '[^\\\\x20\\\\x09-\\\\x0D]') AS l",
     )
-    split = split.selectExpr(
-        "doc_id", "lang", "source", "t", "l", "CASE WHEN w[0] = '' THEN array() ELSE w END AS w"
-    )
+    split = split.selectExpr(*own, "t", "l", "CASE WHEN w[0] = '' THEN array() ELSE w END AS w")
     windows = split.selectExpr(
-        "doc_id", "lang", "source",
+        *own,
         "CAST(size(w) AS BIGINT) AS n_words",
         f"CAST(length({_without('t', BLANKS)}) AS BIGINT) AS word_chars",
         f"CAST(length(t) - length({_without('t', '#*$%&|<>')}) AS BIGINT) AS n_symbols",
@@ -62,7 +61,7 @@ def counts(docs: DataFrame) -> DataFrame:
         "CAST(regexp_count(t, '\\\\p{Lu}') AS BIGINT) AS n_upper",
         "CASE WHEN size(w) >= 6 THEN transform(sequence(1, size(w) - 4), i -> xxhash64(slice(w, i, 5))) END AS h",
     )
-    keep = ["doc_id", "lang", "source", "n_words", "word_chars", "n_symbols", "n_lines", "n_dup_lines", "n_upper"]
+    keep = [*own, "n_words", "word_chars", "n_symbols", "n_lines", "n_dup_lines", "n_upper"]
     # only texts in which some window repeats are sorted; equal windows then stand side by side
     paired = windows.selectExpr(
         *keep,
@@ -97,16 +96,26 @@ def fences(counted: DataFrame) -> DataFrame:
     return joined.selectExpr(*out)
 
 
-def judge(docs: DataFrame) -> DataFrame:
-    """``doc_id``, the counts, ``base_failed``, ``failed`` (names of the ratios beyond their fences) and ``kept``."""
-    counted = materialize(counts(docs), "counts")
-    limits = fences(counted).withColumnsRenamed({"lang": "lang_", "source": "source_"})
+def verdicts(counted: DataFrame, *more: str) -> DataFrame:
+    """``doc_id``, ``more``, the counts, ``base_failed``, ``failed`` (the ratios beyond their fences) and ``kept``."""
+    limits = materialize(fences(counted).withColumnsRenamed({"lang": "lang_", "source": "source_"}), "fences")
     base_failed = "n_words < 10 OR 100 * n_repeat_words > 20 * n_words"
     joined = counted.join(
         limits, F.col("lang").eqNullSafe(F.col("lang_")) & F.col("source").eqNullSafe(F.col("source_")), "left"
     )
     failed = ", ".join(f"CASE WHEN {e} > {k}_max THEN '{k}' END" for k, (e, _) in RATIOS.items())
     return joined.selectExpr(
-        "doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words",
+        "doc_id", *more, "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words",
         f"({base_failed}) AS base_failed", f"array_compact(array({failed})) AS failed",
     ).selectExpr("*", "NOT base_failed AND size(failed) = 0 AS kept")
+
+
+def judge(docs: DataFrame) -> DataFrame:
+    """The verdict on every document, with its counts; see ``verdicts``."""
+    return verdicts(materialize(counts(docs), "counts"))
+
+
+def passing(docs: DataFrame) -> DataFrame:
+    """The rows of ``docs`` that are kept. They travel with their counts, so that no join has to find them again."""
+    whole = docs.withColumn("whole", F.struct(*docs.columns))
+    return verdicts(materialize(counts(whole, "whole"), "counts"), "whole").filter("kept").select("whole.*")

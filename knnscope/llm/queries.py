@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from knnscope.io import table
-from knnscope.llm import bpe, langid, neardup, packing, pii, quality, toxicity, urlfilter
+from knnscope.llm import bpe, embdup, htmltext, langid, neardup, packing, pii, quality, toxicity, urlfilter
 from knnscope.llm.common import crc_fold
 
 
@@ -29,6 +29,14 @@ def op3_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.score_table(docs, model).select("doc_id", held.alias("held_out"), "score", "predicted")
 
 
+def op4_embeddings(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return embdup.link(table(spark, sf_dir, "embeddings"), least=0.98)
+
+
+def op6_html(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return htmltext.extract(table(spark, sf_dir, "pages"))
+
+
 def op5_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.judge(table(spark, sf_dir, "documents")).withColumn("failed", F.array_join("failed", ","))
 
@@ -53,7 +61,13 @@ def op10_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_byte_bpe, op2_minhash, op3_toxicity, op5_quality, op7_packing, op8_pii, op9_language, op10_url_filter)}
+    return {
+        f.__name__: f
+        for f in (
+            op1_byte_bpe, op2_minhash, op3_toxicity, op4_embeddings, op5_quality,
+            op6_html, op7_packing, op8_pii, op9_language, op10_url_filter,
+        )
+    }
 
 
 def oracle_sql() -> dict[str, str]:
