@@ -27,32 +27,83 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from knnscope.io import materialize
-from knnscope.llm.common import Memo, map_rows
+from knnscope.llm.common import map_rows
 
 CAPACITY, END_ID = 4096, 1
 
 
 class WordTokenizer:
-    """Ids of a tokenizer that never joins across white space, memoised by what stands between white space."""
+    """Ids of a lower-casing tokenizer that never joins across white space, memoised by what stands between white space.
 
-    #: White space on which Python and the tokenizer's own pattern may differ; such texts are encoded as a whole.
-    ODD = regex.compile("[\x1c-\x1f\x85᠎​⁠﻿]").search
+    What is new in a text is encoded together: words of letters only are one pre-token each, whose last token is marked
+    as a word's end in the vocabulary, so the ids of many words in one string fall apart again. A tail of punctuation
+    after a letter or digit is a pre-token of its own and is looked up apart.
+    """
+
+    #: White space and letters on which Python and the tokenizer may differ; such texts are encoded as a whole.
+    BLANKS = "\x1c\x1d\x1e\x1f\x85"
+    ODD = regex.compile("[\u180e\u200b\u2060\ufeff\u0130\u03a3\u0300-\u036f\ud7a4-\uffff]").search
+    TAIL = ".,;:!?|*#%&$)]}\"-"
 
-    def __init__(self, path: str):
+    def __init__(self, path: str, limit: int = 1_200_000):
         from tokenizers import Tokenizer
 
         self.own = Tokenizer.from_file(path)
         self.own.encode_special_tokens = True  # in a text these strings are ordinary
-        self.memo = Memo(self.pack, 500_000)
+        vocabulary = self.own.get_vocab()
+        self.ends = np.zeros(max(vocabulary.values()) + 1, bool)
+        self.ends[[i for t, i in vocabulary.items() if t.endswith("</w>")]] = True
+        self.memo: dict[str, bytes] = {}
+        self.limit = limit
 
     def pack(self, text: str) -> bytes:
         return np.array(self.own.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
 
+    def learn(self, words: set[str]) -> None:
+        memo, letters, tailed = self.memo, [], []
+        wanted = set()
+        for w in words:
+            if w.isalpha():
+                letters.append(w)
+                continue
+            core = w.rstrip(self.TAIL)
+            if core and core is not w and core.isalpha():
+                tailed.append((w, core))
+                if core not in memo and core not in words and core not in wanted:
+                    wanted.add(core)
+                    letters.append(core)
+            else:
+                memo[w] = self.pack(w)
+        if letters:
+            (found,) = self.own.encode_batch_fast([" ".join(letters)], add_special_tokens=False)
+            ids = np.array(found.ids, "<u4")
+            stops = np.flatnonzero(self.ends[ids]) + 1
+            if len(stops) == len(letters):
+                packed, at = ids.tobytes(), 0
+                for w, stop in zip(letters, (4 * stops).tolist()):
+                    memo[w] = packed[at:stop]
+                    at = stop
+            else:
+                for w in letters:
+                    memo[w] = self.pack(w)
+        for w, core in tailed:
+            tail = w[len(core) :]
+            if tail not in memo:
+                memo[tail] = self.pack(tail)
+            memo[w] = memo[core] + memo[tail]
+
     def encode_packed(self, text: str) -> bytes:
-        if self.ODD(text):
+        if any(c in text for c in self.BLANKS):
             return self.pack(text)
-        memo = self.memo
-        return b"".join([memo[w] for w in text.split()])
+        words, memo = text.lower().split(), self.memo
+        if new := set(words).difference(memo):
+            if len(memo) + 2 * len(new) > self.limit:
+                memo.clear()
+                new = set(words)
+            if self.ODD(" ".join(new)):  # such words are never memoised, so they come here each time
+                return self.pack(text)
+            self.learn(new)
+        return b"".join([memo[w] for w in words])
 
 
 @lru_cache(maxsize=2)
