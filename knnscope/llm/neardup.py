@@ -6,7 +6,10 @@ two signatures is the number of lanes that differ. The index covers the first ``
 each time without one lane, and equal entries of two documents lead to every such pair. At a Jaccard similarity of 0.85
 a lane differs with probability 0.15, so a pair escapes the index with probability 2e-8 (1e-6 at 0.8); those it finds
 must also be within ``farthest`` of all lanes, five standard deviations over the mean at the threshold, which rejects
-about 1e-5 of the pairs there. What remains is compared on full sets.
+about 1e-5 of the pairs there. An odd sketch follows: a bit array in which each shingle flips one bit, so that two sketches
+never differ in more bits than the sets in shingles; for sets of up to ``DENSE`` shingles what it rejects is certain, for
+larger ones it takes a share of the shingles and a margin of five standard deviations. What remains is compared on full
+sets.
 
 Groups of copies never become pairs. Equal sets are one class from the start. Then every bucket of the index links its
 members to one of them, the one that shares the most entries with others (its classes' original, as a rule); confirmed
@@ -33,9 +36,16 @@ from knnscope.io import materialize
 from knnscope.llm.common import Memo, map_rows, mix64
 
 LANES, CHUNKS = 64, 8
-LONGS = [f"s{i}" for i in range(LANES // 4)]
+#: The longs that are indexed; a signature has as many again, and then the longs of the odd sketch.
+LONGS = [f"s{i}" for i in range(CHUNKS)]
+#: Longs of the odd sketch, and how many shingles of a set it takes at most (its share is a power of two).
+ODD, DENSE = 16, 512
+#: Members of a bucket that one task compares with as many others at a time.
+BLOCK = 512
+SIGN = ["n", "e", "sign"]
 _SEEDS = mix64(np.arange(1, 2 * LANES + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15))
 _ODD, _ADD = _SEEDS[:LANES] | np.uint64(1), _SEEDS[LANES:]
+_CUT = np.tile(np.array([0x7FFF, 0x7FFF, 0x7FFF, 0x3FFF], np.uint64), LANES // 4)
 _MIX = mix64(np.arange(101, 109, dtype=np.uint64)) | np.uint64(1)
 
 
@@ -58,13 +68,24 @@ def shingle_set(text: bytes | None, words: int, memo: dict) -> np.ndarray:
 
 
 def signature(shingles: np.ndarray, block: int = 4096) -> np.ndarray:
-    """``LANES`` / 4 longs of four 16-bit minwise values each."""
+    """``LANES`` / 4 longs of four minwise values each, of 15 bits (14 in the highest lane) in lanes of 16."""
     low = np.full(LANES, np.iinfo(np.uint64).max, np.uint64)
     with np.errstate(over="ignore"):
         for at in range(0, len(shingles), block):
             part = shingles[at : at + block]
             low = np.minimum(low, (part[None, :] * _ODD[:, None] + _ADD[:, None]).min(1))
-    return (mix64(low) >> np.uint64(48)).astype("<u2").view("<i8")
+    return ((mix64(low) >> np.uint64(48)) & _CUT).astype("<u2").view("<i8")
+
+
+def odd_sketch(shingles: np.ndarray) -> tuple[int, np.ndarray]:
+    """One over the share of the shingles that is taken, and the bits that they flip, as longs."""
+    share = 1
+    while share * DENSE < len(shingles):
+        share *= 2
+    part = shingles[(shingles & np.uint64(share - 1)) == 0]
+    bits = 64 * ODD
+    odd = np.bincount((part >> np.uint64(64 - bits.bit_length() + 1)).astype(np.int64), minlength=bits) & 1
+    return share, np.packbits(odd.astype(np.uint8)).view("<i8")
 
 
 def signatures(docs: DataFrame, words: int) -> DataFrame:
@@ -79,9 +100,12 @@ def signatures(docs: DataFrame, words: int) -> DataFrame:
                 "doc_id": [r[0] for r in rows], "n_shingles": [len(s) for s in sets],
                 "set_hash": [xxhash.xxh3_128_digest(s.tobytes()) if len(s) else None for s in sets],
             }
+            odd = [odd_sketch(s) for s in sets]
+            out["e"] = [share for share, _ in odd]
+            out["sign"] = [a.tobytes() + b.tobytes() for a, (_, b) in zip(signs, odd)]
             yield out | {c: signs[:, i] for i, c in enumerate(LONGS)}
 
-    schema = "doc_id long, n_shingles long, set_hash binary, " + ", ".join(f"{c} long" for c in LONGS)
+    schema = "doc_id long, n_shingles long, set_hash binary, e long, sign binary, " + ", ".join(f"{c} long" for c in LONGS)
     return map_rows(docs.select("doc_id", F.col("text").cast("binary").alias("text")), ["doc_id", "text"], kernel, schema)
 
 
@@ -100,28 +124,35 @@ def shingle_sets(docs: DataFrame, words: int) -> DataFrame:
     )
 
 
-def lanes_apart(a: str, b: str) -> str:
-    """SQL for the number of 16-bit lanes in which the longs of two signatures differ."""
-    each = []
-    for c in LONGS:
-        x = f"({a}.{c} ^ {b}.{c})"
-        y = f"(({x} | shiftrightunsigned({x}, 8)) & 71777214294589695L)"  # 0x00FF in every lane
-        z = f"({y} | shiftrightunsigned({y}, 4))"
-        z = f"({z} | shiftrightunsigned({z}, 2))"
-        each.append(f"bit_count(({z} | shiftrightunsigned({z}, 1)) & 281479271743489L)")  # 0x0001 in every lane
-    return " + ".join(each)
-
-
 def farthest(similar: int) -> int:
     """The greatest distance of signatures to look at: the mean at the threshold and five standard deviations."""
     s = similar / 100
     return round(LANES * (1 - s) + 5 * (LANES * s * (1 - s)) ** 0.5)
 
 
-def close(a: str, b: str, similar: int) -> str:
-    """What sets of at least ``similar`` per cent Jaccard similarity must satisfy: sizes, then signatures."""
-    sizes = f"100 * least({a}.n, {b}.n) >= {similar} * greatest({a}.n, {b}.n)"
-    return f"{sizes} AND {lanes_apart(a, b)} <= {farthest(similar)}"
+def close(a, b, similar: int) -> np.ndarray:
+    """Which pairs pass what sets of at least ``similar`` per cent Jaccard similarity must satisfy.
+
+    ``a`` and ``b`` are sizes, shares and signs (rows of longs), of shapes that broadcast. Sizes are compared first, then
+    signatures, then odd sketches. Adding the largest value to a lane's difference sets the lane's spare bit unless the
+    difference is 0, without a carry.
+    """
+    (na, ea, sa), (nb, eb, sb) = a, b
+    out = (100 * na >= similar * nb) & (100 * nb >= similar * na)
+    half = LANES // 4
+    apart = np.zeros(out.shape, np.int64)
+    for i in range(half):
+        apart += np.bitwise_count(((sa[..., i] ^ sb[..., i]) + np.int64(0x3FFF7FFF7FFF7FFF)) & np.int64(0x4000800080008000))
+    out &= apart <= farthest(similar)
+    flipped = np.zeros(out.shape, np.int64)
+    for i in range(half, half + ODD):
+        flipped += np.bitwise_count((sa[..., i] ^ sb[..., i]).view(np.uint64))
+    most = (100 - similar) * (na + nb) / ((100 + similar) * ea)  # shingles in one set only, of those taken
+    return out & ((ea != eb) | (flipped <= most + np.where(ea == 1, 0, 5 * np.sqrt(most) + 5)))
+
+
+def _signs(column: list[bytes]) -> np.ndarray:
+    return np.frombuffer(b"".join(column), "<i8").reshape(len(column), -1)
 
 
 def confirmed(pairs: DataFrame, sets: DataFrame, similar: int) -> DataFrame:
@@ -148,7 +179,7 @@ def link(docs: DataFrame, words: int = 3, similar: int = 85) -> DataFrame:
     signed = materialize(signatures(docs, words), "signatures")
     full = signed.filter("n_shingles > 0 AND doc_id IS NOT NULL")
     reps = full.groupBy("set_hash").agg(
-        F.min("doc_id").alias("doc"), F.first("n_shingles").alias("n"), *(F.first(c).alias(c) for c in LONGS)
+        F.min("doc_id").alias("doc"), F.first("n_shingles").alias("n"), *(F.first(c).alias(c) for c in (*SIGN[1:], *LONGS))
     )
     reps = materialize(reps, "representatives")
     entries = index_entries(reps)
@@ -198,27 +229,78 @@ def one_of_each(docs: DataFrame, words: int = 5, similar: int = 80) -> DataFrame
     return docs.join(gone.hint("shuffle_hash"), "doc_id", "left_anti").select(*docs.columns)
 
 
+def signed_as(reps: DataFrame, name: str, prefix: str = "") -> DataFrame:
+    return reps.select(F.col("doc").alias(name), *(F.col(c).alias(prefix + c) for c in SIGN))
+
+
 def near(pairs: DataFrame, reps: DataFrame, similar: int) -> DataFrame:
-    """Those of ``pairs(u, v)`` that sizes and signatures don't rule out."""
-    sign = F.struct("n", *LONGS)
-    u = reps.select(F.col("doc").alias("u"), sign.alias("a"))
-    v = reps.select(F.col("doc").alias("v"), sign.alias("b"))
-    return pairs.join(u, "u").join(v, "v").filter(close("a", "b", similar)).select("u", "v")
+    """Those of ``pairs(u, v)`` that sizes, signatures and odd sketches don't rule out."""
+
+    def kernel(batches):
+        for rows in batches:
+            u, v, na, ea, sa, nb, eb, sb = zip(*rows)
+            ok = close((np.array(na), np.array(ea), _signs(sa)), (np.array(nb), np.array(eb), _signs(sb)), similar)
+            yield {"u": np.array(u)[ok], "v": np.array(v)[ok]}
+
+    both = pairs.join(signed_as(reps, "u", "a_"), "u").join(signed_as(reps, "v", "b_"), "v")
+    columns = ["u", "v", *("a_" + c for c in SIGN), *("b_" + c for c in SIGN)]
+    return map_rows(both, columns, kernel, "u long, v long")
 
 
 def leftover(rest: DataFrame, reps: DataFrame, similar: int, done: DataFrame) -> DataFrame:
-    """Pairs ``u < v`` in one bucket and in different components that signatures don't rule out and weren't tried.
+    """Pairs ``u < v`` in one bucket and in different components that nothing rules out and that weren't tried.
 
-    Of a bucket, the members outside its largest component meet all members, so a large group of copies is only met by
-    the few that it doesn't hold.
+    Of a bucket, the members outside its largest component (side 0) meet all members (side 1), so a large group of
+    copies is only met by the few that it doesn't hold. Both sides of a large bucket are dealt out in blocks; a task
+    compares one block of each and emits what is left of the pairs, which are never rows before.
     """
-    sign = reps.select("doc", F.struct("n", *LONGS).alias("sign"))
-    signed = rest.join(sign, "doc")
-    a = signed.filter("component <> top").select("key", F.col("doc").alias("u"), F.col("component").alias("cu"), F.col("sign").alias("a"))
-    b = signed.select("key", F.col("doc").alias("v"), F.col("component").alias("cv"), F.col("sign").alias("b"), "top")
-    # two members outside the largest component meet once
-    once = "cu <> cv AND (cv = top OR u < v)"
-    joined = a.join(b, "key").filter(f"{once} AND {close('a', 'b', similar)}")
+    sizes = rest.groupBy("key").agg(
+        F.ceil(F.count(F.lit(1)) / BLOCK).cast("int").alias("mb"),
+        F.ceil(F.sum((F.col("component") != F.col("top")).cast("int")) / BLOCK).cast("int").alias("hb"),
+    )
+    both = "explode(filter(array(CASE WHEN component <> top THEN 0 END, 1), x -> x IS NOT NULL)) AS side"
+    dealt = rest.join(sizes, "key").selectExpr("key", "doc", "component", "component = top AS most", "mb", "hb", both)
+    dealt = dealt.selectExpr(
+        "key", "doc", "component", "most", "side",
+        "int(pmod(xxhash64(doc, side), CASE WHEN side = 0 THEN hb ELSE mb END)) AS own",
+        "explode(sequence(0, CASE WHEN side = 0 THEN mb - 1 ELSE hb - 1 END)) AS other",
+    )
+    dealt = dealt.selectExpr(
+        "key", "doc", "component", "most", "side",
+        "CASE WHEN side = 0 THEN own ELSE other END AS h", "CASE WHEN side = 0 THEN other ELSE own END AS m",
+    )
+    blocks = dealt.join(signed_as(reps, "doc"), "doc").repartition("key", "h", "m").sortWithinPartitions("key", "h", "m", "side")
+
+    def compare(group: list[tuple]) -> tuple[np.ndarray, np.ndarray] | None:
+        cut = next((i for i, r in enumerate(group) if r[3] == 1), len(group))
+        homes, members = group[:cut], group[cut:]
+        if not homes or not members:
+            return None
+        _, _, _, _, u, cu, _, na, ea, sa = (np.array(c) if i != 9 else _signs(c) for i, c in enumerate(zip(*homes)))
+        _, _, _, _, v, cv, most, nb, eb, sb = (np.array(c) if i != 9 else _signs(c) for i, c in enumerate(zip(*members)))
+        ok = (cu[:, None] != cv[None, :]) & (most[None, :] | (u[:, None] < v[None, :]))  # two outside members meet once
+        if ok.any():
+            ok &= close((na[:, None], ea[:, None], sa[:, None, :]), (nb[None, :], eb[None, :], sb[None, :, :]), similar)
+        i, j = np.nonzero(ok)
+        return (u[i], v[j]) if len(i) else None
+
+    def kernel(batches):
+        group: list[tuple] = []
+        for rows in batches:
+            found = []
+            for r in rows:
+                if group and r[:3] != group[0][:3]:
+                    found.append(compare(group))
+                    group = []
+                group.append(r)
+            found = [f for f in found if f is not None]
+            if found:
+                yield {"u": np.concatenate([f[0] for f in found]), "v": np.concatenate([f[1] for f in found])}
+        if group and (last := compare(group)) is not None:
+            yield {"u": last[0], "v": last[1]}
+
+    columns = ["key", "h", "m", "side", "doc", "component", "most", *SIGN]
+    joined = map_rows(blocks, columns, kernel, "u long, v long")
     pairs = joined.select(F.least("u", "v").alias("u"), F.greatest("u", "v").alias("v")).distinct()
     tried = done.select(F.least("u", "v").alias("u"), F.greatest("u", "v").alias("v"))
     return pairs.join(tried, ["u", "v"], "left_anti")
