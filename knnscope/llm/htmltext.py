@@ -182,7 +182,7 @@ def features(found: list[Block]) -> np.ndarray:
 class DecisionTree:
     """Axis-parallel splits that lower the Gini impurity most, to a small depth."""
 
-    def __init__(self, x: np.ndarray, y: np.ndarray, depth: int = 6, least: int = 4):
+    def __init__(self, x: np.ndarray, y: np.ndarray, depth: int = 12, least: int = 2):
         self.root = self._grow(x, y, depth, least)
 
     def _grow(self, x, y, depth, least):
@@ -223,7 +223,7 @@ class DecisionTree:
         return out
 
 
-def labelled_table(pages: int = 400, seed: int = 11) -> tuple[np.ndarray, np.ndarray]:
+def labelled_table(pages: int = 800, seed: int = 11) -> tuple[np.ndarray, np.ndarray]:
     """A labelled table of blocks from page patterns: menus, notices and adverts around an article, with or without
     the tags that say so. Lengths and link densities are drawn, not taken from any data that is to be judged."""
     rng = np.random.default_rng(seed)
@@ -235,21 +235,24 @@ def labelled_table(pages: int = 400, seed: int = 11) -> tuple[np.ndarray, np.nda
     for _ in range(pages):
         tagged, says = rng.random() < 0.6, rng.random() < 0.8
         page: list[tuple[Block, int]] = []
-        for _ in range(rng.integers(0, 8)):
+        bare = rng.random() < 0.25  # a page of nothing but its text
+        for _ in range(0 if bare else rng.integers(0, 8)):
             page.append((block(1, 4, 1.0 if rng.random() < 0.9 else 0.5, aside=says), 0))
-        if rng.random() < 0.7:
+        if not bare and rng.random() < 0.7:
             page.append((block(2, 14 if not says else 60, rng.random() * 0.6, aside=says), 0))
-        page.append((block(2, 14, 0, article=tagged, heading=True), 1))
-        for _ in range(rng.integers(1, 14)):
+        if rng.random() < 0.7:
+            page.append((block(2, 14, 0, article=tagged, heading=True), 1))
+        for _ in range(rng.integers(1, 14) if rng.random() < 0.7 else 1):
             short = rng.random() < (0.3 if tagged else 0.05)
             page.append((block(1, 12, 0, article=tagged) if short else block(15, 220, rng.random() * 0.15, article=tagged), 1))
             if rng.random() < 0.08:
                 page.append((block(1, 60, rng.random(), aside=True, article=tagged), 0))
-        for _ in range(rng.integers(0, 4)):
+        for _ in range(0 if bare else rng.integers(0, 4)):
             page.append((block(3, 70, rng.random() * 0.3, aside=True, article=tagged and rng.random() < 0.5), 0))
-        for _ in range(rng.integers(0, 5)):
+        for _ in range(0 if bare else rng.integers(0, 5)):
             page.append((block(2, 8, 1.0, aside=says), 0))
-        page.append((block(3, 12, rng.random() * 0.5, aside=says), 0))
+        if not bare and rng.random() < 0.8:
+            page.append((block(3, 12, rng.random() * 0.5, aside=says), 0))
         rows.append(features([b for b, _ in page]))
         labels += [y for _, y in page]
     return np.concatenate(rows), np.array(labels)
