@@ -5,8 +5,10 @@ texts). KLL sketches of its ratios, one for each language and source, give each
 a language's sources merge into one for the language, to which groups too small for fences of their own fall back, and
 all merge into one for the corpus. The fences are joined to the rows.
 
-A ratio fails if it is beyond the upper quartile by ``SPREAD`` interquartile ranges and over the ratio's ``least``, below
-which it is never suspicious (most groups hold so many texts with a ratio of 0 that the range is 0).
+A ratio fails if it is beyond an upper quantile of its group by ``SPREAD`` interquartile ranges and a small ``slack``, which
+stands for the range where most texts of a group share one value. The quantile is the upper quartile, which junk does not
+move; of repeated lines, which most groups hardly have, it is a high one, so that one line twice in a short text passes.
+The sketches hold the texts that the base rule keeps, as no other is judged by them.
 
 Defined cases: NULL texts count as empty, so they have no word and fail the base rule; NULL languages and sources are
 groups of their own; repeated rows count each; extra columns are ignored; an empty table gives an empty table.
@@ -19,13 +21,14 @@ from pyspark.sql import functions as F
 
 from knnscope.io import materialize
 
-#: ratio name -> (expression, least value that may fail)
+#: ratio name -> (expression, quantile of the group, slack)
 RATIOS = {
-    "symbol_ratio": ("n_symbols / greatest(n_words, 1)", 0.25),
-    "upper_ratio": ("n_upper / greatest(word_chars, 1)", 0.40),
-    "dup_line_ratio": ("n_dup_lines / greatest(n_lines, 1)", 0.40),
-    "word_length": ("word_chars / greatest(n_words, 1)", 14.0),
+    "symbol_ratio": ("n_symbols / greatest(n_words, 1)", 0.75, 0.05),
+    "upper_ratio": ("n_upper / greatest(word_chars, 1)", 0.75, 0.05),
+    "dup_line_ratio": ("n_dup_lines / greatest(n_lines, 1)", 0.99, 0.1),
+    "word_length": ("word_chars / greatest(n_words, 1)", 0.75, 0.5),
 }
+BASE_FAILED = "n_words < 10 OR 100 * n_repeat_words > 20 * n_words"
 SPREAD = 6.0
 #: A group with fewer rows takes the fences of its language, and a language with fewer those of the corpus.
 LEAST_ROWS = 200
@@ -77,7 +80,9 @@ def counts(docs: DataFrame, *more: str) -> DataFrame:
 
 def fences(counted: DataFrame) -> DataFrame:
     """``lang, source, <ratio>_max``: the greatest value each ratio may take in a group."""
-    ratios = counted.filter("n_words > 0").selectExpr("lang", "source", *(f"CAST({e} AS DOUBLE) AS {k}" for k, (e, _) in RATIOS.items()))
+    ratios = counted.filter(f"NOT ({BASE_FAILED})").selectExpr(
+        "lang", "source", *(f"CAST({e} AS DOUBLE) AS {k}" for k, (e, *_) in RATIOS.items())
+    )
     own = ratios.groupBy("lang", "source").agg(
         F.count(F.lit(1)).alias("n"), *(F.kll_sketch_agg_double(k).alias(k) for k in RATIOS)
     )
@@ -89,24 +94,23 @@ def fences(counted: DataFrame) -> DataFrame:
     one = overall.select(F.struct("n", *RATIOS).alias("of_all"))
     joined = own.join(lang, F.col("lang").eqNullSafe(F.col("lang_"))).crossJoin(F.broadcast(one))
     out = ["lang", "source"]
-    for k, (_, least) in RATIOS.items():
+    for k, (_, at, slack) in RATIOS.items():
         sketch = f"CASE WHEN n >= {LEAST_ROWS} THEN {k} WHEN of_lang.n >= {LEAST_ROWS} THEN of_lang.{k} ELSE of_all.{k} END"
-        low, high = (f"kll_sketch_get_quantile_double({sketch}, {q}D)" for q in (0.25, 0.75))
-        out.append(f"greatest({least}D, {high} + {SPREAD} * ({high} - {low})) AS {k}_max")
+        low, high, upper = (f"kll_sketch_get_quantile_double({sketch}, {q}D)" for q in (0.25, 0.75, at))
+        out.append(f"{upper} + {SPREAD} * ({high} - {low}) + {slack}D AS {k}_max")
     return joined.selectExpr(*out)
 
 
 def verdicts(counted: DataFrame, *more: str) -> DataFrame:
     """``doc_id``, ``more``, the counts, ``base_failed``, ``failed`` (the ratios beyond their fences) and ``kept``."""
     limits = materialize(fences(counted).withColumnsRenamed({"lang": "lang_", "source": "source_"}), "fences")
-    base_failed = "n_words < 10 OR 100 * n_repeat_words > 20 * n_words"
     joined = counted.join(
         limits, F.col("lang").eqNullSafe(F.col("lang_")) & F.col("source").eqNullSafe(F.col("source_")), "left"
     )
-    failed = ", ".join(f"CASE WHEN {e} > {k}_max THEN '{k}' END" for k, (e, _) in RATIOS.items())
+    failed = ", ".join(f"CASE WHEN {e} > {k}_max THEN '{k}' END" for k, (e, *_) in RATIOS.items())
     return joined.selectExpr(
         "doc_id", *more, "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words",
-        f"({base_failed}) AS base_failed", f"array_compact(array({failed})) AS failed",
+        f"({BASE_FAILED}) AS base_failed", f"array_compact(array({failed})) AS failed",
     ).selectExpr("*", "NOT base_failed AND size(failed) = 0 AS kept")
 
 

@@ -40,6 +40,17 @@ def test_quality_keeps_clean_and_drops_junk(spark):
     assert set(quality.passing(docs).columns) == set(docs.columns)
 
 
+def test_quality_fences_follow_the_group(make_docs):
+    def text(i, symbols):
+        return " ".join(f"w{i}x{j}" for j in range(100)) + " " + " ".join(["#"] * symbols)
+
+    plain = make_docs([text(i, 0) for i in range(250)] + [text(250, 20)], source="prose")
+    marked = make_docs([text(i, 15 + i % 10) for i in range(250)] + [text(250, 20)], first=1000, source="code")
+    got = {r.doc_id: r for r in quality.judge(plain.unionByName(marked)).collect()}
+    assert not got[250].base_failed and got[250].failed == ["symbol_ratio"] and got[1250].kept
+    assert all(r.kept for k, r in got.items() if k != 250)
+
+
 def base(text):
     patterns = {
         "email": r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", "ip": r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)",
