@@ -2,17 +2,17 @@
 
 Base spans are e-mail addresses, IP addresses, card numbers (Luhn) and telephone numbers. The information-theoretic
 step then asks how strongly a term near such an entity reveals which entity it is. A term t co-occurs with entity e in
-n(t, e) different contexts (the words around a base span; equal contexts, as in copies, count once) and stands in n(t)
-documents of the whole corpus; e has n(e) contexts. Its disclosure is the pointwise mutual information
-log(n(t, e) N / (n(t) n(e))), and e's share of t is n(t, e) / n(t). Terms with at least ``SUPPORT`` contexts, a share
+n(t, e) different texts and stands in n(t) different texts of the whole corpus of N; e is in n(e). Copies of a text
+count once everywhere. Its disclosure is the pointwise mutual information
+log(n(t, e) N / (n(t) n(e))), and e's share of t is n(t, e) / n(t). Terms with at least ``SUPPORT`` texts, a share
 of at least ``SHARE`` and a disclosure of at least ``DISCLOSURE`` are spans of kind ``term`` where they stand near
 that entity. In the sanitised text such a term is removed if it stands with no other entity, and generalised to its
 shape if it does; base spans become a placeholder of their kind.
 
-Everything is built-in functions. n(t) is counted over all documents in a table of 2^``TERM_BITS`` hashed terms, so its
-size is bounded; a collision can only raise n(t), which keeps a term.
+Everything is built-in functions. All counts are exact: n(t) is an aggregation by term over all different texts, joined
+to the candidates by equality.
 
-Defined cases: NULL texts count as empty and have no span; repeated rows repeat (as one context); extra columns are
+Defined cases: NULL texts count as empty and have no span; repeated rows repeat (as one text); extra columns are
 ignored by ``spans`` and kept by ``sanitise``; an empty table gives an empty table.
 """
 
@@ -49,7 +49,7 @@ SPAN = "array<struct<s:int,k:int,e:int,v:string>>"
 KINDS = [*PATTERNS, "term"]
 #: Words this many characters before and after a base span are its context.
 REACH = 60
-SUPPORT, SHARE, DISCLOSURE, TERM_BITS = 3, 0.5, 3.0, 20
+SUPPORT, SHARE, DISCLOSURE = 3, 0.5, 3.0
 WORD = r"[\p{L}\p{N}'_-]+"
 
 
@@ -85,7 +85,7 @@ def base_spans(docs: DataFrame, *keep) -> DataFrame:
 
 
 def contexts(found: DataFrame, row: str) -> DataFrame:
-    """``row, entity, context, term, s, e``: every word near a base span, with its place in the text."""
+    """``row, entity, term, word, s, e``: every word near a base span, with its place in the text."""
     near = found.filter("size(b) > 0").selectExpr(row, "t", "b", "explode(b) AS x").selectExpr(
         row, "b", "xxhash64(x.k, lower(x.v)) AS entity",
         f"greatest(0, x.s - {REACH}) AS left_at", f"substring(t, greatest(0, x.s - {REACH}) + 1, least({REACH}, x.s)) AS left_text",
@@ -93,45 +93,44 @@ def contexts(found: DataFrame, row: str) -> DataFrame:
     )
     # a word that the reach cuts off is no word
     sides = near.selectExpr(
-        row, "b", "entity", "xxhash64(left_text, right_text) AS context",
+        row, "b", "entity",
         "stack(2, left_at, CASE WHEN left_at > 0 THEN regexp_replace(left_text, '^[^\\\\s]+', '') ELSE left_text END, left_at + length(left_text),"
         f" right_at, CASE WHEN length(right_text) = {REACH} THEN regexp_replace(right_text, '[^\\\\s]+$', '') ELSE right_text END, right_at)"
         " AS (at, side, stop)",
     )
     placed = sides.selectExpr(
-        row, "b", "entity", "context",
+        row, "b", "entity",
         # the left side has lost its first word, so its places count from its end
         f"explode({positions('side', WORD, 4, 'true')}) AS w", "CASE WHEN stop = at THEN at ELSE stop - length(side) END AS at",
     )
     words = placed.selectExpr(
-        row, "b", "entity", "context", "lower(w.v) AS term", "w.v AS word", "at + w.s AS s", "at + w.e AS e"
+        row, "b", "entity", "lower(w.v) AS term", "w.v AS word", "at + w.s AS s", "at + w.e AS e"
     )
     return words.filter("length(term) > 1 AND NOT exists(b, x -> x.s < e AND s < x.e)").drop("b")
 
 
-def term_counts(docs: DataFrame) -> DataFrame:
-    """``bucket, n``: in how many documents stand the terms of each of 2^TERM_BITS buckets."""
-    words = docs.filter("text IS NOT NULL").selectExpr(
-        f"explode(array_distinct(split(lower(text), '[^\\\\p{{L}}\\\\p{{N}}\\'_-]+'))) AS term"
-    )
-    return words.groupBy(F.pmod(F.xxhash64("term"), F.lit(1 << TERM_BITS)).cast("int").alias("bucket")).agg(
-        F.count(F.lit(1)).alias("n")
-    )
+def distinct_texts(docs: DataFrame) -> DataFrame:
+    """``t``: every different text once, in lower case."""
+    texts = docs.filter("text IS NOT NULL").selectExpr("md5(text) AS key", "lower(text) AS t")
+    return texts.groupBy("key").agg(F.first("t").alias("t")).select("t")
+
+
+def term_counts(texts: DataFrame) -> DataFrame:
+    """``term, n``: in how many of the texts each term stands."""
+    words = texts.selectExpr("explode(array_distinct(split(t, '[^\\\\p{L}\\\\p{N}\\'_-]+'))) AS term")
+    return words.groupBy("term").agg(F.count(F.lit(1)).alias("n"))
 
 
 def disclosing(near: DataFrame, docs: DataFrame) -> DataFrame:
     """``entity, term, alone``: the terms that reveal an entity; alone: they stand near no other."""
-    seen = near.select("entity", "term", "context").distinct()
+    seen = near.select("entity", "term", "key").distinct()
     pairs = seen.groupBy("entity", "term").agg(F.count(F.lit(1)).alias("n_te"))
     strong = materialize(pairs.filter(F.col("n_te") >= SUPPORT), "term-entity")
-    entities = seen.select("entity", "context").distinct().groupBy("entity").agg(F.count(F.lit(1)).alias("n_e"))
+    entities = seen.select("entity", "key").distinct().groupBy("entity").agg(F.count(F.lit(1)).alias("n_e"))
     spread = pairs.groupBy("term").agg((F.count(F.lit(1)) == 1).alias("alone"))
-    total = F.broadcast(entities.agg(F.sum("n_e").alias("n_all")))
-    counted = term_counts(docs)
-    joined = (
-        strong.withColumn("bucket", F.pmod(F.xxhash64("term"), F.lit(1 << TERM_BITS)).cast("int"))
-        .join(counted, "bucket").join(entities, "entity").join(spread, "term").crossJoin(total)
-    )
+    total = F.broadcast(docs.agg(F.count_distinct(F.md5("text")).alias("n_all")))
+    counted = term_counts(distinct_texts(docs))
+    joined = strong.join(counted, "term").join(entities, "entity").join(spread, "term").crossJoin(total)
     n = F.greatest("n", "n_te")
     return joined.filter(
         (F.col("n_te") >= SHARE * n) & (F.log(F.col("n_te") * F.col("n_all") / (n * F.col("n_e"))) >= DISCLOSURE)

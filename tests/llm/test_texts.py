@@ -95,6 +95,19 @@ def test_disclosing_terms_are_found_and_sanitised(make_docs):
     assert pii.sanitise(docs).columns == docs.columns
 
 
+def test_copies_do_not_hide_a_disclosing_term(make_docs):
+    near = [f"today number{k} Zebedeus wrote from zq@mail.org about item{k} and" for k in range(4)]
+    other = [f"then row{k} someone wrote from user{k}@host{k}.org about thing{k} and" for k in range(150)]
+    rows = {r.doc_id: r.spans for r in pii.report(make_docs([*near, *other, *near[:1] * 50])).collect()}
+    assert all("term:14:22" in rows[i] for i in (*range(4), 154, 203)) and "term:" not in rows[4]
+
+
+def test_terms_are_counted_exactly(make_docs):
+    docs = make_docs(["one two Two", "two x-y", "two x-y", None, ""])
+    got = {r.term: r.n for r in pii.term_counts(pii.distinct_texts(docs)).collect()}
+    assert {k: v for k, v in got.items() if k} == {"one": 1, "two": 2, "x-y": 1}
+
+
 def test_language_on_held_out_rows(spark, make_docs):
     docs = table(spark, SF, "documents")
     model = langid.fit(docs, langid.not_held_out(), per_language=120)
