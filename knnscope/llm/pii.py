@@ -5,8 +5,12 @@ step then asks how strongly a term near such an entity reveals which entity it i
 n(t, e) different texts and stands in n(t) different texts of the whole corpus of N; e is in n(e). Copies of a text
 count once everywhere. Its disclosure is the pointwise mutual information
 log(n(t, e) N / (n(t) n(e))), and e's share of t is n(t, e) / n(t). Terms with at least ``SUPPORT`` texts, a share
-of at least ``SHARE`` and a disclosure of at least ``DISCLOSURE`` are spans of kind ``term`` where they stand near
-that entity. In the sanitised text such a term is removed if it stands with no other entity, and generalised to its
+of at least ``SHARE`` and a disclosure of at least ``DISCLOSURE`` reveal e.
+
+That needs repetition. What an address says itself does not: a term that is a part of the local part of an e-mail
+address reveals it from the first text on, without a share, if its disclosure is as high (in ``the.94@`` it is not, as
+"the" stands everywhere). Revealing terms are spans of kind ``term`` wherever they stand in a text that has their
+entity. In the sanitised text such a term is removed if it stands with no other entity, and generalised to its
 shape if it does; base spans become a placeholder of their kind.
 
 Everything is built-in functions. All counts are exact: n(t) is an aggregation by term over all different texts, joined
@@ -50,16 +54,23 @@ KINDS = [*PATTERNS, "term"]
 #: Words this many characters before and after a base span are its context.
 REACH = 60
 SUPPORT, SHARE, DISCLOSURE = 3, 0.5, 3.0
-WORD = r"[\p{L}\p{N}'_-]+"
+CHAR = r"[\p{L}\p{N}\x27_-]"
+WORD, NO_WORD = CHAR + "+", r"[^\p{L}\p{N}\x27_-]+"
+ENTITY = "xxhash64(x.k, lower(x.v))"
+#: Shorter parts of an address are no name.
+LEAST_NAME = 3
 
 
 def sql_text(pattern: str) -> str:
     return "'" + pattern.replace("\\", "\\\\").replace("'", "\\'") + "'"
 
 
-def positions(text: str, pattern: str, kind: int, valid: str) -> str:
-    """SQL for the matches of a pattern as spans: the pieces between matches give their places, in code points."""
-    p = sql_text(pattern)
+def positions(text: str, pattern: str | None, kind: int, valid: str, expression: str | None = None) -> str:
+    """SQL for the matches of a pattern as spans: the pieces between matches give their places, in code points.
+
+    ``expression`` is SQL for a pattern that differs by row.
+    """
+    p = expression or sql_text(pattern)
     step = (
         "(a, i) -> named_struct('p', a.p + length(g[i]) + length(m[i]), 'o', array_append(a.o, "
         f"named_struct('s', a.p + length(g[i]), 'k', {kind}, 'e', a.p + length(g[i]) + length(m[i]), 'v', m[i])))"
@@ -87,7 +98,7 @@ def base_spans(docs: DataFrame, *keep) -> DataFrame:
 def contexts(found: DataFrame, row: str) -> DataFrame:
     """``row, entity, term, word, s, e``: every word near a base span, with its place in the text."""
     near = found.filter("size(b) > 0").selectExpr(row, "t", "b", "explode(b) AS x").selectExpr(
-        row, "b", "xxhash64(x.k, lower(x.v)) AS entity",
+        row, "b", f"{ENTITY} AS entity",
         f"greatest(0, x.s - {REACH}) AS left_at", f"substring(t, greatest(0, x.s - {REACH}) + 1, least({REACH}, x.s)) AS left_text",
         "x.e AS right_at", f"substring(t, x.e + 1, {REACH}) AS right_text",
     )
@@ -121,19 +132,32 @@ def term_counts(texts: DataFrame) -> DataFrame:
     return words.groupBy("term").agg(F.count(F.lit(1)).alias("n"))
 
 
-def disclosing(near: DataFrame, docs: DataFrame) -> DataFrame:
-    """``entity, term, alone``: the terms that reveal an entity; alone: they stand near no other."""
-    seen = near.select("entity", "term", "key").distinct()
-    pairs = seen.groupBy("entity", "term").agg(F.count(F.lit(1)).alias("n_te"))
-    strong = materialize(pairs.filter(F.col("n_te") >= SUPPORT), "term-entity")
-    entities = seen.select("entity", "key").distinct().groupBy("entity").agg(F.count(F.lit(1)).alias("n_e"))
+def named(some: DataFrame) -> DataFrame:
+    """``entity, term, key``: the words of the texts ``some(key, t, b)`` that their own e-mail addresses contain."""
+    blank = f"regexp_replace(lower(t), {sql_text(PATTERNS['email'])}, ' ')"
+    words = some.selectExpr("key", f"split({blank}, {sql_text(NO_WORD)}) AS w", "explode(filter(b, x -> x.k = 0)) AS x")
+    parts = words.selectExpr(
+        "key", f"{ENTITY} AS entity", "array_intersect(split(lower(substring_index(x.v, '@', 1)), '[^\\\\p{L}]+'), w) AS both"
+    ).selectExpr("key", "entity", "explode(both) AS term")
+    return parts.filter(f"length(term) >= {LEAST_NAME}").distinct()
+
+
+def disclosing(near: DataFrame, some: DataFrame, docs: DataFrame) -> DataFrame:
+    """``entity, term, alone``: the terms that reveal an entity of the texts ``some``; alone: they stand near no other."""
+    beside = near.select("entity", "term", "key").distinct()
+    own = named(some).withColumn("own", F.lit(1))
+    seen = beside.withColumn("own", F.lit(0)).unionByName(own).groupBy("entity", "term", "key").agg(F.max("own").alias("own"))
+    pairs = seen.groupBy("entity", "term").agg(F.count(F.lit(1)).alias("n_te"), (F.max("own") == 1).alias("own"))
+    strong = materialize(pairs.filter((F.col("n_te") >= SUPPORT) | F.col("own")), "term-entity")
+    having = some.selectExpr("key", "explode(b) AS x").selectExpr("key", f"{ENTITY} AS entity").distinct()
+    entities = having.groupBy("entity").agg(F.count(F.lit(1)).alias("n_e"))
     spread = pairs.groupBy("term").agg((F.count(F.lit(1)) == 1).alias("alone"))
     total = F.broadcast(docs.agg(F.count_distinct(F.md5("text")).alias("n_all")))
     counted = term_counts(distinct_texts(docs))
     joined = strong.join(counted, "term").join(entities, "entity").join(spread, "term").crossJoin(total)
     n = F.greatest("n", "n_te")
     return joined.filter(
-        (F.col("n_te") >= SHARE * n) & (F.log(F.col("n_te") * F.col("n_all") / (n * F.col("n_e"))) >= DISCLOSURE)
+        (F.col("own") | (F.col("n_te") >= SHARE * n)) & (F.log(F.col("n_te") * F.col("n_all") / (n * F.col("n_e"))) >= DISCLOSURE)
     ).select("entity", "term", "alone")
 
 
@@ -144,10 +168,18 @@ def keyed(docs: DataFrame, *keep) -> DataFrame:
 
 def term_spans(some: DataFrame, docs: DataFrame) -> DataFrame:
     """``key, m``: the spans of disclosing terms in the texts ``some(key, t, b)``, each text once."""
-    near = materialize(contexts(some.filter("key IS NOT NULL").groupBy("key").agg(F.first("t").alias("t"), F.first("b").alias("b")), "key"), "pii-contexts")
-    flagged = disclosing(near, docs)
-    span = F.expr("struct(s, 4 AS k, e, CASE WHEN alone THEN '' ELSE word END AS v)")
-    return near.join(flagged, ["entity", "term"]).groupBy("key").agg(F.array_sort(F.collect_set(span)).alias("m"))
+    each = some.filter("key IS NOT NULL").groupBy("key").agg(F.first("t").alias("t"), F.first("b").alias("b"))
+    each = materialize(each, "pii-texts")
+    flagged = disclosing(materialize(contexts(each, "key"), "pii-contexts"), each, docs)
+    having = each.selectExpr("key", "explode(b) AS x").selectExpr("key", f"{ENTITY} AS entity").distinct()
+    # a term that reveals two entities of a text and stands near others is generalised there
+    terms = having.join(flagged, "entity").groupBy("key", "term").agg(F.min("alone").alias("alone"))
+    terms = terms.groupBy("key").agg(F.map_from_entries(F.collect_list(F.struct("term", "alone"))).alias("terms"))
+    pattern = f"concat('(?iu)(?<!{CHAR})(?:', array_join(map_keys(terms), '|'), ')(?!{CHAR})')".replace("\\", "\\\\")
+    found = each.join(terms, "key").selectExpr("key", "b", "terms", f"{positions('t', None, 4, 'true', pattern)} AS w")
+    outside = "filter(w, x -> NOT exists(b, y -> y.s < x.e AND x.s < y.e))"
+    value = "CASE WHEN coalesce(terms[lower(x.v)], false) THEN '' ELSE x.v END"
+    return found.selectExpr("key", f"array_sort(transform({outside}, x -> struct(x.s AS s, x.k AS k, x.e AS e, {value} AS v))) AS m")
 
 
 ALL_SPANS = f"array_sort(concat(b, coalesce(m, CAST(array() AS {SPAN})))) AS a"
