@@ -5,8 +5,9 @@ before it, in which each order is smoothed with the next lower one in proportion
 followed the context (Witten-Bell). They learn from the URLs that the rules allow and block; the threshold of the
 length-normalised log-likelihood difference is the one that errs least on a fold which the counts leave out.
 
-Everything is DataFrame operations. All n-gram tables are aggregates of the highest order. What is broadcast for
-scoring has a fixed size: n-grams are hashed into 2^``bits`` buckets, each with the mean difference of its n-grams.
+Everything is DataFrame operations. All n-gram tables are aggregates of the highest order. URLs are scored by an equality
+join of their n-grams to the whole table, which grows with the input. The n-grams that are at least one in ``HOT`` of
+all, of which there can be no more than ``HOT``, are broadcast, so that no key of the join that is left is large.
 
 Defined cases: URLs that are NULL or have no ``://`` have an empty host and path, fit no rule and, like other empty
 strings, have a difference of 0, which the threshold judges; without URLs of both classes everything that no rule
@@ -27,6 +28,7 @@ RULES = (("block", "net", "/"), ("allow", "example.net", "/en/"), ("block", "exa
 ORDER = 5
 START = "\u0002"
 END = "\u0003"
+HOT = 4096
 
 
 def parts(pages: DataFrame) -> DataFrame:
@@ -84,30 +86,38 @@ def differences(counted: DataFrame) -> DataFrame:
     return shorter.select("gram", (F.log("p_allow") - F.log("p_block")).alias("diff"))
 
 
-def bucket(bits: int) -> Column:
-    return F.pmod(F.xxhash64("gram"), F.lit(1 << bits)).cast("int").alias("bucket")
+def gram_counts(urls: DataFrame, learn: Column) -> DataFrame:
+    """``gram, n_allow, n_block, n``: all n-grams, with how often ``urls`` of both classes to learn from have them."""
+    return grams(urls.withColumn("learned", F.when(learn, F.col("ruled"))), "learned").groupBy("gram").agg(
+        F.sum((F.coalesce("learned", F.lit("")) == "allow").cast("long")).alias("n_allow"),
+        F.sum((F.coalesce("learned", F.lit("")) == "block").cast("long")).alias("n_block"),
+        F.count(F.lit(1)).alias("n"),
+    )
+
+
+def ratios(rows: DataFrame, model: DataFrame) -> DataFrame:
+    """``row, ratio``: the mean of ``model(gram, diff, n)`` over the n-grams of every row."""
+    total = F.broadcast(model.agg(F.sum("n").alias("n_all")))
+    split = materialize(model.crossJoin(total).selectExpr("gram", "diff", f"n * {HOT} >= n_all AS hot"), "url-model")
+    marked = grams(rows, "row").join(F.broadcast(split.filter("hot").select("gram", "diff")), "gram", "left")
+    rest = marked.filter("diff IS NULL").select("row", "gram").join(split.filter("NOT hot").select("gram", "diff"), "gram")
+    parts = [
+        x.groupBy("row").agg(F.sum("diff").alias("d"), F.count(F.lit(1)).alias("c"))
+        for x in (marked.filter("diff IS NOT NULL"), rest)
+    ]
+    return parts[0].unionByName(parts[1]).groupBy("row").agg((F.sum("d") / F.sum("c")).alias("ratio"))
 
 
-def judge(pages: DataFrame, rules=RULES, bits: int = 16, folds: int = 5) -> DataFrame:
+def judge(pages: DataFrame, rules=RULES, folds: int = 5) -> DataFrame:
     """``page_id, host, path, rule, verdict, ratio`` of every page."""
     rule, verdict = by_rule(rules)
     urls = parts(pages).select("page_id", "host", "path", rule.alias("rule"), verdict.alias("ruled"))
     learn = F.coalesce(crc_fold(F.col("page_id"), folds) != 0, F.lit(True))
-    counted = grams(urls.withColumn("learned", F.when(learn, F.col("ruled"))), "learned").groupBy("gram").agg(
-        F.sum((F.coalesce("learned", F.lit("")) == "allow").cast("long")).alias("n_allow"),
-        F.sum((F.coalesce("learned", F.lit("")) == "block").cast("long")).alias("n_block"),
-        F.count(F.lit(1)).alias("n"),
-    )
-    counted = materialize(counted, "url-grams")
-    weights = counted.select("gram", "n")
-    model = differences(counted).join(weights, "gram").groupBy(bucket(bits)).agg(
-        (F.sum(F.col("diff") * F.col("n")) / F.sum("n")).alias("diff")
-    )
-    model = materialize(model, "url-model")  # at most 2^bits rows of 12 bytes
-    rows = urls.withColumn("row", F.monotonically_increasing_id())  # equal rows stay apart
-    keep = ("row", "page_id", "host", "path", "rule", "ruled")
-    scored = grams(rows, *keep).select("*", bucket(bits)).join(F.broadcast(model), "bucket")
-    scored = materialize(scored.groupBy(*keep).agg(F.avg("diff").alias("ratio")).drop("row"), "url-scores")
+    counted = materialize(gram_counts(urls, learn), "url-grams")
+    model = differences(counted).join(counted.select("gram", "n"), "gram")
+    # equal rows stay apart
+    rows = materialize(urls.withColumn("row", F.monotonically_increasing_id()), "url-rows")
+    scored = materialize(rows.join(ratios(rows, model), "row").drop("row"), "url-scores")
     least = threshold(scored.filter(F.col("ruled").isNotNull() & ~learn))
     return scored.select(
         "page_id", "host", "path", "rule",

@@ -1,3 +1,4 @@
+import hashlib
 import re
 from collections import Counter
 
@@ -178,3 +179,17 @@ def test_url_rules(spark):
         assert (r.host, r.path, r.rule) == (host, path, rule)
         assert r.verdict == verdict if verdict else r.verdict in ("allow", "block")
     assert urlfilter.judge(df.limit(0)).count() == 0
+
+
+def test_url_ratios_are_means_over_exact_grams(spark):
+    names = [hashlib.md5(str(i).encode()).hexdigest() for i in range(600)]
+    urls = [f"http://h.{('net', 'org', 'edu')[i % 3]}/{('x', 'fr', 'y')[i % 3]}/{n}" for i, n in enumerate(names)]
+    df = spark.createDataFrame(list(enumerate(urls)), "page_id long, url string")
+    got = {r.page_id: r for r in urlfilter.judge(df).collect()}
+    ruled = urlfilter.parts(df).withColumn("ruled", urlfilter.by_rule()[1])
+    learn = F.crc32(F.col("page_id").cast("string").cast("binary")) % 5 != 0
+    diff = {r.gram: r.diff for r in urlfilter.differences(urlfilter.gram_counts(ruled, learn).cache()).collect()}
+    for r in got.values():
+        text = "\u0002" * 4 + r.host + r.path + "\u0003"
+        own = [diff[text[i : i + 5]] for i in range(len(text) - 4)]
+        assert r.ratio == pytest.approx(sum(own) / len(own), abs=1e-9)
