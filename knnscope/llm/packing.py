@@ -42,14 +42,17 @@ class WordTokenizer:
 
     #: White space and letters on which Python and the tokenizer may differ; such texts are encoded as a whole.
     BLANKS = "\x1c\x1d\x1e\x1f\x85"
-    ODD = regex.compile("[\u180e\u200b\u2060\ufeff\u0130\u03a3\u0300-\u036f\ud7a4-\uffff]").search
+    ODD = regex.compile("[\u180e\u200b\u2060\ufeff\u0130\u0300-\u036f\ud7a4-\uffff]").search
     TAIL = ".,;:!?|*#%&$)]}\"-"
 
     def __init__(self, path: str, limit: int = 1_200_000):
         from tokenizers import Tokenizer
 
-        self.own = Tokenizer.from_file(path)
-        self.own.encode_special_tokens = True  # in a text these strings are ordinary
+        self.own, self.words = Tokenizer.from_file(path), Tokenizer.from_file(path)
+        # special strings count as the text has them; what is special only once lower-cased is ordinary
+        self.words.encode_special_tokens = True
+        # Python lowers a capital sigma at the end of a word otherwise than the tokenizer
+        self.whole = ["\u03a3", *self.BLANKS, *(t.content for t in self.own.get_added_tokens_decoder().values())]
         vocabulary = self.own.get_vocab()
         self.ends = np.zeros(max(vocabulary.values()) + 1, bool)
         self.ends[[i for t, i in vocabulary.items() if t.endswith("</w>")]] = True
@@ -59,6 +62,9 @@ class WordTokenizer:
     def pack(self, text: str) -> bytes:
         return np.array(self.own.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
 
+    def pack_word(self, word: str) -> bytes:
+        return np.array(self.words.encode(word, add_special_tokens=False).ids, "<u4").tobytes()
+
     def learn(self, words: set[str]) -> None:
         memo, letters, tailed = self.memo, [], []
         wanted = set()
@@ -73,9 +79,9 @@ class WordTokenizer:
                     wanted.add(core)
                     letters.append(core)
             else:
-                memo[w] = self.pack(w)
+                memo[w] = self.pack_word(w)
         if letters:
-            (found,) = self.own.encode_batch_fast([" ".join(letters)], add_special_tokens=False)
+            (found,) = self.words.encode_batch_fast([" ".join(letters)], add_special_tokens=False)
             ids = np.array(found.ids, "<u4")
             stops = np.flatnonzero(self.ends[ids]) + 1
             if len(stops) == len(letters):
@@ -85,15 +91,15 @@ class WordTokenizer:
                     at = stop
             else:
                 for w in letters:
-                    memo[w] = self.pack(w)
+                    memo[w] = self.pack_word(w)
         for w, core in tailed:
             tail = w[len(core) :]
             if tail not in memo:
-                memo[tail] = self.pack(tail)
+                memo[tail] = self.pack_word(tail)
             memo[w] = memo[core] + memo[tail]
 
     def encode_packed(self, text: str) -> bytes:
-        if any(c in text for c in self.BLANKS):
+        if any(c in text for c in self.whole):
             return self.pack(text)
         words, memo = text.lower().split(), self.memo
         if new := set(words).difference(memo):

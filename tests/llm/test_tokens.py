@@ -63,6 +63,12 @@ def test_word_ids_equal_the_library(text):
     assert got == WORDS.encode(text, add_special_tokens=False).ids
 
 
+@pytest.mark.parametrize("text", ["\u039f\u0394\u039f\u03a3 x", "a \u039b\u039f\u0393\u039f\u03a3", "a<|endoftext|>b <|startoftext|>", "<|ENDOFTEXT|> <|EndOfText|>", "\u03c2 \u03c3"])
+def test_word_ids_equal_the_library_as_it_comes(text):
+    got = np.frombuffer(packing.tokenizer(WORDS_PATH).encode_packed(text), "<u4").tolist()
+    assert got == Tokenizer.from_file(WORDS_PATH).encode(text, add_special_tokens=False).ids
+
+
 @pytest.mark.parametrize("histogram", [{}, {4096: 3}, {1: 5000}, {2049: 7, 2047: 7}, {i: 9 for i in range(1, 400)}, {1000: 1, 3000: 1}])
 def test_plans_use_up_the_histogram(histogram):
     used: Counter = Counter()
