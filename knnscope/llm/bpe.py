@@ -20,7 +20,7 @@ import regex
 import xxhash
 from pyspark.sql import DataFrame
 
-from knnscope.llm.common import GOLDEN, map_rows, mix64
+from knnscope.llm.common import ENTRY_BYTES, GOLDEN, map_rows, mix64
 
 SCHEMA = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string"
 
@@ -72,7 +72,7 @@ class MinimalPerfectHash:
 class BytePairCodec:
     """Encoder and decoder for one file of ranks (lines of base64 token and rank) and one pre-token pattern."""
 
-    def __init__(self, ranks: dict[bytes, int], pattern: str, memo_limit: int = 700_000):
+    def __init__(self, ranks: dict[bytes, int], pattern: str, memo_limit: int = 96 << 20):
         self.ranks = ranks
         self.find = regex.compile(pattern).findall
         tokens = list(ranks)
@@ -84,7 +84,7 @@ class BytePairCodec:
             self.slot_key[slot], self.slot_id[slot] = token, ranks[token]
         self.vocabulary = {i: t for t, i in ranks.items()}
         self.memo: dict[str, bytes] = {}
-        self.memo_limit = memo_limit
+        self.memo_limit, self.memo_used = memo_limit, 0
 
     @classmethod
     def from_file(cls, path: str, pattern: str) -> BytePairCodec:
@@ -128,11 +128,20 @@ class BytePairCodec:
             i = after[i]
         return ids
 
+    def forget(self) -> None:
+        self.memo.clear()
+        self.memo_used = 0
+
     def learn(self, words: list[str]) -> None:
-        """Put the ids of new pre-tokens, packed as little-endian 32-bit numbers, into the memo."""
-        if len(self.memo) + len(words) > self.memo_limit:
-            self.memo.clear()
+        """Put the ids of new pre-tokens, packed as little-endian 32-bit numbers, into the memo.
+
+        Only ``memo_limit`` bytes outlast a text; the pre-tokens of one text are always held together.
+        """
         pieces = [w.encode() for w in words]
+        room = sum(ENTRY_BYTES + 5 * len(p) for p in pieces)
+        if self.memo_used + room > self.memo_limit:
+            self.forget()
+        self.memo_used += room
         for word, piece, slot in zip(words, pieces, self.hash.slots(pieces).tolist()):
             if self.slot_key[slot] == piece:
                 self.memo[word] = self.slot_id[slot].to_bytes(4, "little")
@@ -169,6 +178,7 @@ def encode_table(docs: DataFrame, path: str, pattern: str) -> DataFrame:
         for rows in batches:
             ids = [own.encode(text) for _, text in rows]
             yield {"doc_id": [r[0] for r in rows], "n_tokens": [len(x) for x in ids], "ids": ids}
+        own.forget()
 
     return map_rows(docs, ["doc_id", "text"], kernel, "doc_id long, n_tokens long, ids array<long>")
 
@@ -199,5 +209,6 @@ def digest_table(docs: DataFrame, path: str, pattern: str) -> DataFrame:
                 out["ids_sha256"].append(sha(packed).hexdigest())
                 out["decoded_sha256"].append(sha(own.decode(np.frombuffer(packed, "<u4").tolist())).hexdigest())
             yield out
+        own.forget()
 
     return map_rows(docs, ["doc_id", "text"], kernel, SCHEMA)

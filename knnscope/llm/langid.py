@@ -22,7 +22,7 @@ import regex
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from knnscope.llm.common import crc_fold, map_rows
+from knnscope.llm.common import crc_fold, cut, map_rows, release
 
 UNKNOWN = "und"
 ORDERS = (2, 3, 4, 5)
@@ -179,8 +179,10 @@ def accepted(docs: DataFrame, model: LanguageModel) -> DataFrame:
     def run(batches):
         own = shared.value
         for batch in batches:
-            texts = batch.column(batch.schema.get_field_index("text")).to_pylist()
-            yield batch.filter(pa.array([not own.predict(t)[2] for t in texts], pa.bool_()))
+            at = batch.schema.get_field_index("text")
+            for part in cut(batch):
+                yield part.filter(pa.array([not own.predict(t)[2] for t in part.column(at).to_pylist()], pa.bool_()))
+        release()
 
     return docs.mapInArrow(run, docs.schema)
 

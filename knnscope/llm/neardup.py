@@ -50,7 +50,7 @@ _MIX = mix64(np.arange(101, 109, dtype=np.uint64)) | np.uint64(1)
 
 
 def word_hashes() -> Memo:
-    return Memo(xxhash.xxh3_64_intdigest, 500_000)
+    return Memo(xxhash.xxh3_64_intdigest, 64 << 20)
 
 
 def shingle_set(text: bytes | None, words: int, memo: dict) -> np.ndarray:

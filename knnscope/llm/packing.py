@@ -27,7 +27,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from knnscope.io import materialize
-from knnscope.llm.common import map_rows
+from knnscope.llm.common import ENTRY_BYTES, map_rows
 
 CAPACITY, END_ID = 4096, 1
 
@@ -45,25 +45,30 @@ class WordTokenizer:
     ODD = regex.compile("[\u180e\u200b\u2060\ufeff\u0130\u0300-\u036f\ud7a4-\uffff]").search
     TAIL = ".,;:!?|*#%&$)]}\"-"
 
-    def __init__(self, path: str, limit: int = 1_200_000):
+    def __init__(self, path: str, limit: int = 64 << 20):
         from tokenizers import Tokenizer
 
-        self.own, self.words = Tokenizer.from_file(path), Tokenizer.from_file(path)
-        # special strings count as the text has them; what is special only once lower-cased is ordinary
-        self.words.encode_special_tokens = True
+        self.own = Tokenizer.from_file(path)
         # Python lowers a capital sigma at the end of a word otherwise than the tokenizer
         self.whole = ["\u03a3", *self.BLANKS, *(t.content for t in self.own.get_added_tokens_decoder().values())]
         vocabulary = self.own.get_vocab()
         self.ends = np.zeros(max(vocabulary.values()) + 1, bool)
         self.ends[[i for t, i in vocabulary.items() if t.endswith("</w>")]] = True
         self.memo: dict[str, bytes] = {}
-        self.limit = limit
+        self.limit, self.used = limit, 0
 
     def pack(self, text: str) -> bytes:
+        self.own.encode_special_tokens = False
         return np.array(self.own.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
 
     def pack_word(self, word: str) -> bytes:
-        return np.array(self.words.encode(word, add_special_tokens=False).ids, "<u4").tobytes()
+        # special strings count as the text has them; what is special only once lower-cased is ordinary
+        self.own.encode_special_tokens = True
+        return np.array(self.own.encode(word, add_special_tokens=False).ids, "<u4").tobytes()
+
+    def forget(self) -> None:
+        self.memo.clear()
+        self.used = 0
 
     def learn(self, words: set[str]) -> None:
         memo, letters, tailed = self.memo, [], []
@@ -81,7 +86,8 @@ class WordTokenizer:
             else:
                 memo[w] = self.pack_word(w)
         if letters:
-            (found,) = self.words.encode_batch_fast([" ".join(letters)], add_special_tokens=False)
+            self.own.encode_special_tokens = True
+            (found,) = self.own.encode_batch_fast([" ".join(letters)], add_special_tokens=False)
             ids = np.array(found.ids, "<u4")
             stops = np.flatnonzero(self.ends[ids]) + 1
             if len(stops) == len(letters):
@@ -103,11 +109,15 @@ class WordTokenizer:
             return self.pack(text)
         words, memo = text.lower().split(), self.memo
         if new := set(words).difference(memo):
-            if len(memo) + 2 * len(new) > self.limit:
-                memo.clear()
+            # a word of n letters has at most n tokens of 4 bytes, and its parts may be kept as well
+            room = sum(2 * ENTRY_BYTES + 5 * len(w) for w in new)
+            if self.used + room > self.limit:
+                self.forget()
                 new = set(words)
-            if self.ODD(" ".join(new)):  # such words are never memoised, so they come here each time
+                room = sum(2 * ENTRY_BYTES + 5 * len(w) for w in new)
+            if room > self.limit or self.ODD(" ".join(new)):  # such words are never memoised, so they come here each time
                 return self.pack(text)
+            self.used += room
             self.learn(new)
         return b"".join([memo[w] for w in words])
 
@@ -139,6 +149,7 @@ def pieces(docs: DataFrame, path: str, capacity: int = CAPACITY, with_ids: bool
                     if with_ids:
                         out["ids"].append(np.frombuffer(cut, "<u4").tolist())
             yield out
+        own.forget()
 
     schema = "doc_id long, piece int, start long, length long, ids_crc32 long, part int, nth long"
     return map_rows(docs, ["doc_id", "text"], kernel, schema + (", ids array<long>" if with_ids else ""))
