@@ -4,10 +4,10 @@
    The pass numbers the pieces of each length within its partition and is written to the shared folder.
 2. The histogram of lengths (at most ``capacity`` numbers, whatever the input) goes to the driver. Multiplicative
    weights solve the fractional covering program over configurations (multisets of lengths that fit one sequence);
-   a knapsack dynamic program prices them. Rounding down leaves a rest, which best fit puts into the free space of
-   the configurations and into new ones. Both work on counts, so their cost doesn't depend on the number of documents.
+   knapsack dynamic programs price them. Its multiples are rounded, and the program is solved again for what that leaves;
+   best fit puts the last rest into gaps and new sequences. All work on counts, so their cost doesn't depend on the number of documents.
 3. Every piece finds its place by arithmetic: its number among the pieces of its length falls into the range of one
-   configuration. That table is bounded by the capacity and the number of configurations, and is broadcast.
+   configuration. The ranges are a table joined by length and block of numbers.
 
 Defined cases: a NULL or empty text is one piece of one token; ids of NULL documents stay NULL; repeated rows are
 packed once each; an empty table gives an empty table; other columns are ignored.
@@ -17,9 +17,11 @@ from __future__ import annotations
 
 import bisect
 import zlib
+from dataclasses import dataclass
 from functools import lru_cache
 
 import numpy as np
+import pandas as pd
 import regex
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
@@ -30,6 +32,8 @@ from knnscope.io import materialize
 from knnscope.llm.common import ENTRY_BYTES, map_rows
 
 CAPACITY, END_ID = 4096, 1
+#: Pieces of one length that look up their places together.
+RANKS = 1 << 14
 
 
 class WordTokenizer:
@@ -155,77 +159,182 @@ def pieces(docs: DataFrame, path: str, capacity: int = CAPACITY, with_ids: bool
     return map_rows(docs, ["doc_id", "text"], kernel, schema + (", ids array<long>" if with_ids else ""))
 
 
-def price(sizes: np.ndarray, profit: np.ndarray, capacity: int) -> tuple[np.ndarray, float]:
-    """The multiset of sizes of greatest profit within the capacity, as counts, by dynamic programming."""
-    best, last = np.zeros(capacity + 1), np.full(capacity + 1, -1)
-    upto = np.searchsorted(sizes, np.arange(capacity + 1), side="right")
-    for c in range(int(sizes[0]), capacity + 1):
-        gain = best[c - sizes[: upto[c]]] + profit[: upto[c]]
-        i = int(gain.argmax())
-        if gain[i] > best[c - 1]:
-            best[c], last[c] = gain[i], i
-        else:
-            best[c] = best[c - 1]
-    counts, c = np.zeros(len(sizes), np.int64), capacity
-    while c > 0:
-        if last[c] < 0:
-            c -= 1
-        else:
-            counts[last[c]] += 1
-            c -= int(sizes[last[c]])
-    return counts, float(best[capacity])
-
-
-def solve_lp(sizes: np.ndarray, need: np.ndarray, capacity: int, rounds: int, step: float = 0.35):
-    """Fractional covering by multiplicative weights: ``[(counts, times)]`` that cover ``need``, roughly least in sum."""
-    covered, found = np.zeros(len(sizes)), []
-    for _ in range(rounds):
-        weight = np.exp(-(covered - covered.min()) / step * 2.0)
-        counts, _ = price(sizes, weight / need, capacity)
-        counts = np.minimum(counts, need)
-        used = counts > 0
-        times = step * (need[used] / counts[used]).min()
-        covered[used] += times * counts[used] / need[used]
-        found.append((counts, times))
-    # as much as no length gets more than it needs, on average over the lengths that are covered
-    scale = 1.0 / max(1e-12, float(np.average(covered, weights=need * sizes)))
-    return [(c, t * scale) for c, t in found]
+class Knapsack:
+    """The most profitable content of every capacity, each size at most ``most`` times: one table of a dynamic program.
+
+    Multiplicities are split into powers of two, so that each becomes a few items that are taken or not; the program
+    goes through the items, each as one operation on all capacities.
+    """
+
+    def __init__(self, sizes: np.ndarray, most: np.ndarray, profit: np.ndarray, capacity: int):
+        most = np.minimum(most, capacity // sizes)
+        self.item, self.times, part = [], [], 1
+        left = most.copy()
+        while left.any():
+            take = np.minimum(left, part)
+            self.item += np.flatnonzero(take).tolist()
+            self.times += take[take > 0].tolist()
+            left -= take
+            part *= 2
+        item, times = np.array(self.item), np.array(self.times)
+        self.weight = (sizes[item] * times).tolist()
+        gains = (profit[item] * times).tolist()
+        self.best = best = np.zeros(capacity + 1)
+        self.last = np.full((len(item) + 1, capacity + 1), -1, np.int16 if len(item) < 32_000 else np.int32)
+        for k, (w, gain) in enumerate(zip(self.weight, gains)):
+            row = self.last[k + 1]
+            row[:] = self.last[k]
+            if w <= capacity:
+                with_it = best[:-w] + gain
+                better = with_it > best[w:]
+                np.copyto(best[w:], with_it, where=better)
+                row[w:][better] = k
+
+    def content(self, capacity: int) -> dict[int, int]:
+        """Of each size (by its place in ``sizes``) the number in the best content of ``capacity``."""
+        found: dict[int, int] = {}
+        k = len(self.last) - 1
+        while (k := int(self.last[k, capacity])) >= 0:
+            found[self.item[k]] = found.get(self.item[k], 0) + self.times[k]
+            capacity -= self.weight[k]
+        return found
+
+
+@dataclass
+class Fractional:
+    """Configurations with their fractional multiples, which cover the share ``covered`` of the need (in tokens) and no
+    size more than once. No solution covers all of it with less than ``bound``."""
+
+    times: dict[tuple, float]
+    covered: float
+    bound: float
+
+    @property
+    def value(self) -> float:
+        return float(sum(self.times.values()))
+
+    @property
+    def gap(self) -> float:
+        """By which share of it the solution is dearer, for what it covers, than the bound."""
+        return self.value / (self.bound * self.covered) - 1 if self.covered else 0.0
+
+
+def solve_lp(
+    sizes: np.ndarray, need: np.ndarray, capacity: int, rounds: int = 16, rate: float = 4.0, block: int = 128, spare: int = 0,
+    seed: int = 5,
+) -> Fractional:
+    """The configuration program by multiplicative weights: least sum of multiples that covers the need of every size.
+
+    A size's weight falls exponentially with the share of its need that is covered; its price is its weight a piece,
+    begun with its length. Pricing is partial: in each round the sizes are dealt anew at random into blocks, and one
+    knapsack a block gives, for every size that is behind, the best configuration of the block that holds it. If that leaves at most
+    ``spare`` tokens free, it is taken until one of its sizes is as far as it may be by then; so fillers are spread over
+    many configurations. Lengths over the value of the knapsack of all sizes solve the dual and give the bound.
+    """
+    cover, times, rng = np.zeros(len(sizes)), {}, np.random.default_rng(seed)
+    for t in range(1, rounds + 1):
+        goal = t / rounds
+        most = min(1.0, goal + 0.1)
+        dealt = rng.permutation(np.flatnonzero(cover < most - 1e-9))
+        n_blocks = max(1, len(dealt) // block)
+        for k in range(n_blocks):
+            own = np.sort(dealt[k::n_blocks])
+            # prices differ a little by chance, so that ties are broken in more than one way
+            prices = (sizes * np.exp(-rate * (cover - goal)))[own] * (1 + 0.01 * rng.random(len(own)))
+            table = Knapsack(sizes[own], need[own], prices, capacity)
+            for j in np.flatnonzero(cover[own] < goal - 1e-9)[::-1].tolist():
+                i = int(own[j])
+                if cover[i] >= goal - 1e-9:
+                    continue
+                held = table.content(capacity - int(sizes[i]))
+                held[j] = min(held.get(j, 0) + 1, int(need[i]))
+                idx, n = own[list(held)], np.array(list(held.values()))
+                if capacity - int(sizes[idx] @ n) > spare:
+                    continue
+                share = n / need[idx]
+                x = min(float(((most - cover[idx]) / share).min()), (goal - float(cover[i])) / held[j] * float(need[i]))
+                if x > 1e-9:
+                    cover[idx] += x * share
+                    key = tuple(sorted(zip(idx.tolist(), n.tolist())))
+                    times[key] = times.get(key, 0.0) + x
+    whole = Knapsack(sizes, need, sizes.astype(float), capacity)
+    tokens = float(sizes @ need)
+    return Fractional(times, float((sizes * need) @ cover) / tokens, tokens / float(whole.best[capacity]))
+
+
+def round_off(solution: Fractional, sizes: np.ndarray, need: np.ndarray) -> list[tuple[int, dict[int, int]]]:
+    """``[(sequences, {length: pieces in each})]``: whole multiples of the fractional solution, taken out of ``need``.
+
+    First every multiple rounded down; then once more each configuration with a fractional part for which all pieces are
+    left, those with the greatest part first.
+    """
+    rows = [(x, np.array([i for i, _ in held]), np.array([c for _, c in held])) for held, x in solution.times.items()]
+    found = []
+    for x, idx, n in rows:
+        if m := min(int(x + 1e-9), int((need[idx] // n).min())):
+            need[idx] -= m * n
+            found.append((m, dict(zip(sizes[idx].tolist(), n.tolist()))))
+    for _, idx, n in sorted(rows, key=lambda r: -(r[0] % 1)):
+        if (need[idx] >= n).all():
+            need[idx] -= n
+            found.append((1, dict(zip(sizes[idx].tolist(), n.tolist()))))
+    return found
+
+
+@dataclass
+class Plan:
+    """``sequences``: ``[(number, {length: pieces in each})]``. Those of ``by_program`` come from the configuration program."""
+
+    sequences: list[tuple[int, dict[int, int]]]
+    by_program: int = 0
+    gap: float = 0.0
+
+    @property
+    def total(self) -> int:
+        return sum(n for n, _ in self.sequences)
 
 
 def plan(
-    histogram: dict[int, int],
-    capacity: int = CAPACITY,
-    passes: int = 2,
-    rounds: int = 80,
-    share: float = 0.8,
-    slack: int = 0,
-):
-    """``[(sequences, {length: pieces in each})]`` that use up the histogram exactly.
-
-    Rounding takes ``share`` of each fractional multiple, rounded down, of configurations with at most ``slack`` free
-    tokens; what remains keeps enough short pieces for best fit to fill the gaps that long ones leave.
+    histogram: dict[int, int], capacity: int = CAPACITY, passes: int = 3, rounds: int = 16, least: float = 0.02, held: float = 0.5
+) -> Plan:
+    """Sequences that use up the histogram exactly.
+
+    The program is solved and rounded, then again for what rounding left, until that places less than ``least`` of it
+    (in tokens). The share ``held`` of the pieces shorter than a sixteenth of the capacity takes no part: with them best fit,
+    longest first, puts the rest into new sequences without gaps. Plain best fit is computed as well, and is the answer in the
+    event that it needs fewer sequences.
     """
-    plan_, left = [], {int(k): int(v) for k, v in histogram.items() if v}
-    if full := left.pop(capacity, 0):
-        plan_.append((full, {capacity: 1}))
-    groups: list[tuple[int, int, tuple]] = []  # free space, number of sequences, contents
-    for _ in range(passes):
-        if not left or sum(left.values()) < 2 * len(left):
-            break  # too few of each for whole multiples of a fractional solution
+    whole = {int(k): int(v) for k, v in histogram.items() if v}
+    full = whole.pop(capacity, 0)
+    placed = [(full, {capacity: 1})] if full else []
+    plain = Plan(best_fit(placed, whole, capacity), full)
+    short = {k: int(v * held) for k, v in whole.items() if k < capacity // 16}
+    left, gap = {k: v - short.get(k, 0) for k, v in whole.items() if v > short.get(k, 0)}, 0.0
+    for nth in range(passes):
+        if not left:
+            break
         sizes = np.array(sorted(left))
-        need = np.array([left[s] for s in sizes], np.int64)
-        for counts, times in sorted(solve_lp(sizes, need, capacity, rounds), key=lambda x: -x[1]):
-            used = np.flatnonzero(counts)
-            n = min(int(share * times), int((need[used] // counts[used]).min())) if len(used) else 0
-            if n and capacity - int(sizes @ counts) <= slack:
-                need[used] -= n * counts[used]
-                content = tuple((int(sizes[i]), int(counts[i])) for i in used)
-                groups.append((capacity - sum(s * c for s, c in content), n, content))
+        need = np.array([left[s] for s in sizes.tolist()], np.int64)
+        before = int(sizes @ need)
+        solution = solve_lp(sizes, need, capacity, rounds)
+        gap = gap if nth else solution.gap
+        placed = placed + round_off(solution, sizes, need)
         left = {int(s): int(c) for s, c in zip(sizes, need) if c}
-    # best fit, longest first, on groups of equal sequences
+        if before - int(sizes @ need) < least * before:
+            break
+    by_program = sum(n for n, _ in placed)
+    for k, v in short.items():
+        left[k] = left.get(k, 0) + v
+    program = Plan(best_fit(placed, {k: v for k, v in left.items() if v}, capacity), by_program, gap)
+    return program if program.total <= plain.total else plain
+
+
+def best_fit(placed: list, left: dict[int, int], capacity: int) -> list[tuple[int, dict[int, int]]]:
+    """``placed`` and the pieces of the histogram ``left``, longest first into the least free space, by groups of equal
+    sequences: its cost depends on the number of lengths and configurations, not of pieces."""
     by_free: dict[int, list[tuple[int, tuple]]] = {}
-    for free, n, content in groups:
-        by_free.setdefault(free, []).append((n, content))
+    for n, content in placed:
+        by_free.setdefault(capacity - sum(s * c for s, c in content.items()), []).append((n, tuple(content.items())))
     keys = sorted(by_free)
 
     def put(free: int, n: int, content: tuple) -> None:
@@ -255,13 +364,14 @@ def plan(
                 n = whole
             m -= n * each
             put(free - each * size, n, (*content, (size, each)))
+    found = []
     for entries in by_free.values():
         for n, content in entries:
             total: dict[int, int] = {}
             for size, c in content:
                 total[size] = total.get(size, 0) + c
-            plan_.append((n, total))
-    return plan_
+            found.append((n, total))
+    return found
 
 
 def places(plan_: list) -> list[tuple[int, int, int, int, int, int]]:
@@ -289,12 +399,16 @@ def pack(docs: DataFrame, path: str, capacity: int = CAPACITY) -> DataFrame:
         counts.select("length", "part", "n", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("first")), "firsts"
     )
     histogram = {r[0]: r[1] for r in firsts.groupBy("length").agg(F.sum("n")).collect()}  # at most `capacity` rows
-    rows = places(plan(histogram, capacity))
-    table = spark.createDataFrame(rows or [(0, 0, 0, 1, 0, 0)], "length long, lo long, hi long, each long, base long, at long")
+    rows = pd.DataFrame(places(plan(histogram, capacity).sequences), columns=["length", "lo", "hi", "each", "base", "at"], dtype="int64")
+    # a range is entered in every block of ranks that it meets, so pieces find theirs by equality, and a length with many
+    # pieces is many keys; whether the table, whose size the histogram bounds, is broadcast is left to Spark's own limit
+    ranges = spark.createDataFrame(rows, "length long, lo long, hi long, each long, base long, at long")
+    block = f"explode(sequence(lo div {RANKS}, (hi - 1) div {RANKS})) AS block"
+    lookup = ranges.selectExpr("length", "struct(lo, hi, each, base, at) AS range", block)
+    lookup = lookup.groupBy("length", "block").agg(F.array_sort(F.collect_list("range")).alias("ranges"))
     ranked = cut.join(firsts.drop("n"), ["length", "part"]).withColumn("rank", F.col("first") + F.col("nth"))
-    # the ranges of a length are looked up by bisection in one sorted array per length
-    lookup = table.groupBy("length").agg(F.array_sort(F.collect_list(F.struct("lo", "hi", "each", "base", "at"))).alias("ranges"))
-    found = ranked.join(F.broadcast(lookup), "length").withColumn(
+    ranked = ranked.withColumn("block", F.expr(f"rank div {RANKS}"))
+    found = ranked.join(lookup, ["length", "block"]).withColumn(
         "r", F.expr("filter(ranges, x -> x.lo <= rank AND rank < x.hi)[0]")
     )
     nth = F.col("rank") - F.col("r.lo")

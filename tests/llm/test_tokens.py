@@ -18,7 +18,6 @@ RANKS_PATH, WORDS_PATH = P.path("byte_bpe_multi_50k.tiktoken"), P.path("word_bpe
 RANKS = {base64.b64decode(a): int(b) for a, b in map(bytes.split, open(RANKS_PATH, "rb"))}
 TIKTOKEN = tiktoken.Encoding("own", pat_str=P.PATTERN, mergeable_ranks=RANKS, special_tokens={})
 WORDS = Tokenizer.from_file(WORDS_PATH)
-WORDS.encode_special_tokens = True
 
 
 def test_perfect_hash_is_minimal_and_perfect():
@@ -72,7 +71,7 @@ def test_word_ids_equal_the_library_as_it_comes(text):
 @pytest.mark.parametrize("histogram", [{}, {4096: 3}, {1: 5000}, {2049: 7, 2047: 7}, {i: 9 for i in range(1, 400)}, {1000: 1, 3000: 1}])
 def test_plans_use_up_the_histogram(histogram):
     used: Counter = Counter()
-    found = packing.plan(histogram)
+    found = packing.plan(histogram).sequences
     for n, content in found:
         assert sum(k * v for k, v in content.items()) <= 4096
         for k, v in content.items():
@@ -82,6 +81,56 @@ def test_plans_use_up_the_histogram(histogram):
     assert sum(n for n, _ in found) <= max(1, 1.05 * tokens / 4096 + 1) or 2049 in histogram
 
 
+def lengths(copies):
+    """Lengths as of documents: many short, few long, most of them different."""
+    rng = np.random.default_rng(3)
+    drawn = np.minimum(4095, np.exp(rng.normal(6.2, 1.0, 3000))).astype(int) + 1
+    return {int(k): int(v) * copies for k, v in zip(*np.unique(drawn, return_counts=True))}
+
+
+@pytest.mark.parametrize("copies", [1, 30])
+def test_most_sequences_come_from_the_program_and_none_is_wasted(copies):
+    histogram = lengths(copies)
+    found = packing.plan(histogram)
+    plain = sum(n for n, _ in packing.best_fit([], {k: v for k, v in histogram.items() if k < 4096}, 4096)) + histogram.get(4096, 0)
+    assert found.by_program > 0.6 * found.total and found.total <= plain
+    assert found.total <= 1.002 * sum(k * v for k, v in histogram.items()) / 4096 + 1
+
+
+def test_the_program_beats_best_fit_where_best_fit_is_wrong():
+    # best fit puts two of the longest together, then three of the next; one of each is exactly full
+    histogram = {1843: 600, 1229: 600, 1024: 600}
+    found = packing.plan(histogram)
+    assert (found.total, found.by_program) == (600, 600)
+    assert sum(n for n, _ in packing.best_fit([], histogram, 4096)) == 650
+
+
+def test_knapsack_equals_brute_force():
+    rng = np.random.default_rng(4)
+    for _ in range(20):
+        sizes = np.sort(rng.choice(np.arange(3, 30), 4, replace=False))
+        most, profit = rng.integers(1, 4, 4), rng.random(4)
+        table = packing.Knapsack(sizes, most, profit, 40)
+        every = np.stack(np.meshgrid(*(np.arange(m + 1) for m in most)), -1).reshape(-1, 4)
+        assert table.best[40] == pytest.approx((every @ profit)[every @ sizes <= 40].max())
+        held = table.content(40)
+        assert sum(profit[i] * n for i, n in held.items()) == pytest.approx(table.best[40])
+        assert sum(sizes[i] * n for i, n in held.items()) <= 40 and all(n <= most[i] for i, n in held.items())
+
+
+def test_the_fractional_solution_is_feasible_and_near_the_bound():
+    histogram = lengths(5)
+    sizes = np.array(sorted(k for k in histogram if k < 4096))
+    need = np.array([histogram[int(s)] for s in sizes])
+    found = packing.solve_lp(sizes, need, 4096)
+    cover = np.zeros(len(sizes))
+    for held, x in found.times.items():
+        for i, n in held:
+            cover[i] += x * n
+    assert (cover <= need * (1 + 1e-6)).all() and found.covered > 0.3 and 0 <= found.gap + 1e-9 < 0.01
+    assert float(cover @ sizes) / float(need @ sizes) == pytest.approx(found.covered)
+
+
 def test_packing_is_whole_and_gapless(make_docs, spark):
     texts = [*ODD_TEXTS, *("word " * n for n in (1, 5, 4094, 4095, 4096, 9000, 100, 100, 700))]
     rows = packing.pack(make_docs(texts), WORDS_PATH).toPandas()
