@@ -1,16 +1,20 @@
 """Near-duplicate embeddings: an exact metric range join on the unit sphere.
 
-Cosine of at least c means a Euclidean distance of at most eps = sqrt(2 - 2c) between unit vectors. Pivots, a bounded
-number of the vectors themselves, cut each label's vectors into cells, one for the nearest pivot of each. If x in the
-cell of p is within eps of y in the cell of q, the triangle inequality for the plane between p and q bounds y's
-distance to it, (d(y,p)^2 - d(y,q)^2) / (2 d(p,q)), by eps: y is replicated into every cell for which this holds, and
-cells join independently. A cell is dealt out in blocks of bounded size, all against all, so a large cell becomes
+Cosine of at least c means a Euclidean distance of at most eps = sqrt(2 - 2c) between unit vectors. Each label has pivots
+of its own, about a quarter of the square root of the number of its vectors, spread out over a sample of them by taking the farthest next; each vector
+is at home in the cell of its nearest pivot. Of two cells the one of the smaller number is where their vectors meet: y
+at home in q is replicated into p < q unless the triangle inequality rules out that any x at home in p is within eps. It
+does so in three ways: y is farther than eps from the plane between p and q, (d(y,p)^2 - d(y,q)^2) / (2 d(p,q)) > eps;
+y is outside the ball of p's cell, d(y,p) > R(p) + eps; or inside its hollow, d(y,p) < r(p) - eps, where r and R are the least and
+greatest distance from p of what is at home there. So a tight group of near copies is a small ball that few others enter.
+
+Cells join independently. A cell is dealt out in blocks of bounded size, homes against members, so a large cell becomes
 more tasks, not a larger one; a block counts links and emits a spanning forest of them, never its pairs.
 
 Equal vectors of a label are one vector with a multiplicity from the start.
 
-Defined cases: a vector that is NULL, empty, zero, or has NULL or non-finite components, or whose label is NULL, links
-with nothing; vectors of different dimensions aren't compared; repeated rows count as further vectors; extra columns
+Defined cases: a vector that is NULL, empty, zero, or has NULL or non-finite components, or whose id or label is NULL, links
+with nothing; vectors of different dimensions aren't compared; rows of one id count as further vectors; extra columns
 are ignored; an empty table gives an empty table.
 """
 
@@ -25,10 +29,10 @@ from pyspark.sql import functions as F
 
 from knnscope.components import connected
 from knnscope.io import materialize
-from knnscope.llm.common import map_rows
-
-#: Vectors per cell aimed at, most pivots, and vectors per block on either side.
-CELL, MOST_PIVOTS, BLOCK = 4096, 256, 2048
+#: Vectors per block on either side, and per task that looks for cells.
+BLOCK, ROWS = 2048, 8192
+#: Of how many sampled vectors one becomes a pivot.
+SAMPLED = 8
 NEVER = "isnan(x) OR x = double('Infinity') OR x = double('-Infinity') OR x IS NULL"
 
 
@@ -40,70 +44,116 @@ def distinct_vectors(vectors: DataFrame) -> DataFrame:
     return usable.groupBy("label", "embedding").agg(F.min("vec_id").alias("rep"), F.count(F.lit(1)).alias("times"))
 
 
-def choose_pivots(reps: DataFrame) -> np.ndarray:
-    """At most ``MOST_PIVOTS`` unit vectors, those of the smallest hashes; as many as the largest label needs."""
-    sizes = reps.groupBy("label").count().agg(F.max("count")).first()[0] or 0
-    wanted = min(MOST_PIVOTS, max(1, math.ceil(sizes / CELL)))
-    rows = reps.orderBy(F.xxhash64("rep"), "rep").select("embedding").limit(wanted).collect()
-    if not rows:
-        return np.zeros((1, 1))
-    dim = len(rows[0][0])
-    p = np.array([r[0] for r in rows if len(r[0]) == dim], float)
-    return p / np.linalg.norm(p, axis=1, keepdims=True)
-
-
-def in_cells(reps: DataFrame, pivots: np.ndarray, eps: float) -> DataFrame:
-    """The vectors with ``dim, cell, home``: once in their own cell, and in every other that eps may reach."""
-    shared = reps.sparkSession.sparkContext.broadcast(pivots)
-
-    def kernel(batches):
-        p = shared.value
-        between = np.sqrt(np.maximum(2 - 2 * p @ p.T, 1e-30))
-        for rows in batches:
-            out = {k: [] for k in ("label", "rep", "times", "embedding", "dim", "cell", "home")}
-
-            def put(row, cell, home):
-                for k, v in zip(out, (*row, len(row[3]), cell, home)):
-                    out[k].append(v)
-
-            same = [r for r in rows if len(r[3]) == p.shape[1]]
-            for r in rows:
-                if len(r[3]) != p.shape[1]:
-                    put(r, 0, True)
-            if same:
-                x = np.array([r[3] for r in same], float)
-                x /= np.linalg.norm(x, axis=1, keepdims=True)
-                d2 = 2 - 2 * x @ p.T
-                own = d2.argmin(1)
-                near = (d2 - d2[np.arange(len(x)), own][:, None]) / (2 * between[own]) <= eps + 1e-7
-                for i, r in enumerate(same):
-                    for c in np.flatnonzero(near[i]).tolist():
-                        put(r, c, c == own[i])
-            yield out
-
-    schema = "label long, rep long, times long, embedding array<double>, dim int, cell int, home boolean"
-    return map_rows(
-        reps.select(F.col("label").cast("long").alias("label"), "rep", "times", F.col("embedding").cast("array<double>").alias("embedding")),
-        ["label", "rep", "times", "embedding"], kernel, schema,
-    )
+def spread_out(sample: np.ndarray, n: int) -> np.ndarray:
+    """Places of n rows of unit vectors: the first, then always the one farthest from those chosen."""
+    chosen, near = [0], 2 - 2 * sample @ sample[0]
+    while len(chosen) < min(n, len(sample)):
+        i = int(near.argmax())
+        if near[i] <= 1e-12:
+            break
+        chosen.append(i)
+        near = np.minimum(near, 2 - 2 * sample @ sample[i])
+    return np.array(chosen)
+
+
+def unit(rows: pd.Series) -> np.ndarray:
+    x = np.stack(rows.to_numpy()).astype(float)
+    return x / np.linalg.norm(x, axis=1, keepdims=True)
+
+
+def choose_pivots(reps: DataFrame) -> DataFrame:
+    """``label, dim, cell, pivot`` for all labels and dimensions. What is drawn grows with the root of a label."""
+    sizes = reps.groupBy("label", "dim").agg(F.ceil(F.sqrt(F.count(F.lit(1)).cast("double")) / 4).cast("int").alias("want"), F.count(F.lit(1)).alias("of"))
+    unit_hash = F.pmod(F.xxhash64("rep", F.lit(3)), F.lit(1 << 30)) / float(1 << 30)
+    # every label's smallest id is drawn, so that none is without a pivot
+    first = reps.groupBy("label", "dim").agg(F.min("rep").alias("rep"), F.lit(True).alias("least"))
+    drawn = reps.join(sizes, ["label", "dim"]).join(first, ["label", "dim", "rep"], "left")
+    drawn = drawn.filter(F.col("least") | (unit_hash * F.col("of") < SAMPLED * F.col("want")))
+
+    def choose(group: pd.DataFrame) -> pd.DataFrame:
+        group = group.sort_values("rep")
+        x = unit(group["embedding"])
+        at = spread_out(x, int(group["want"].iloc[0]))
+        return pd.DataFrame({
+            "label": group["label"].iloc[at].to_numpy(), "dim": group["dim"].iloc[at].to_numpy(), "cell": np.arange(len(at)), "pivot": list(x[at]),
+        })
+
+    return drawn.select("label", "dim", "rep", "embedding", "want").groupBy("label", "dim").applyInPandas(
+        choose, "label long, dim int, cell int, pivot array<double>"
+    )
+
+
+def with_pivots(reps: DataFrame, pivots: DataFrame, kernel, schema: str) -> DataFrame:
+    """``kernel(vectors, pivots)`` on about ``ROWS`` vectors of a label at a time, with all pivots of the label."""
+    parts = reps.groupBy("label", "dim").agg(F.ceil(F.count(F.lit(1)) / ROWS).cast("int").alias("parts"))
+    some = reps.join(parts, ["label", "dim"]).withColumn("part", F.expr("int(pmod(xxhash64(rep, 4), parts))")).drop("parts")
+    each = pivots.join(parts, ["label", "dim"]).withColumn("part", F.expr("explode(sequence(0, parts - 1))")).drop("parts")
+    key = ["label", "dim", "part"]
+    return some.groupBy(*key).cogroup(each.groupBy(*key)).applyInPandas(kernel, schema)
+
+
+def at_home(vectors: pd.DataFrame, pivots: pd.DataFrame) -> pd.DataFrame:
+    """The vectors with the cell of their nearest pivot and the distance from it."""
+    pivots = pivots.sort_values("cell")
+    d2 = np.maximum(2 - 2 * unit(vectors["embedding"]) @ np.stack(pivots["pivot"].to_numpy()).T, 0)
+    own = d2.argmin(1)
+    return vectors[VECTOR].assign(cell=own, far=np.sqrt(d2[np.arange(len(own)), own]))
+
+
+VECTOR = ["label", "dim", "rep", "times", "embedding"]
+
+
+def replicas(eps: float):
+    """The kernel that puts every vector into its own cell and into those of smaller number that it may have to meet."""
+
+    def kernel(vectors: pd.DataFrame, pivots: pd.DataFrame) -> pd.DataFrame:
+        pivots = pivots.sort_values("cell")
+        x, p = unit(vectors["embedding"]), np.stack(pivots["pivot"].to_numpy())
+        d2 = np.maximum(2 - 2 * x @ p.T, 0)
+        d, own = np.sqrt(d2), vectors["cell"].to_numpy()
+        between = np.sqrt(np.maximum(2 - 2 * p @ p.T, 0))[own]
+        reach = eps + 1e-6  # rounding must not lose a link
+        with np.errstate(divide="ignore", invalid="ignore"):
+            plane = (d2 - d2[np.arange(len(x)), own][:, None]) / (2 * between) <= reach
+        meets = (plane | (between < 1e-5)) & (d <= pivots["most"].to_numpy() + reach) & (d >= pivots["least"].to_numpy() - reach)
+        meets &= np.arange(len(p)) < own[:, None]
+        meets[np.arange(len(x)), own] = True
+        i, cell = np.nonzero(meets)
+        return vectors.iloc[i][VECTOR].reset_index(drop=True).assign(cell=cell, home=cell == own[i])
+
+    return kernel
+
+
+def in_cells(reps: DataFrame, eps: float) -> DataFrame:
+    """The vectors with ``cell, home``: once in their own cell, and in every other where they may meet a neighbour."""
+    schema = f"label long, dim int, rep long, times long, embedding {reps.schema['embedding'].dataType.simpleString()}, cell int"
+    pivots = materialize(choose_pivots(reps), "pivots")
+    homes = materialize(with_pivots(reps, pivots, at_home, schema + ", far double"), "homes")
+    shells = homes.groupBy("label", "dim", "cell").agg(F.min("far").alias("least"), F.max("far").alias("most"))
+    # a pivot that is nobody's nearest has an empty cell, which nothing enters
+    shells = materialize(pivots.join(shells, ["label", "dim", "cell"], "left").fillna({"least": 9.0, "most": -9.0}), "shells")
+    return with_pivots(homes, shells, replicas(eps), schema + ", home boolean")
 
 
 def join_block(block: pd.DataFrame, least: float) -> pd.DataFrame:
-    """Links of the homes of a block with its members: per home how many vectors, and a forest of the links."""
+    """Links of the homes of a block with its members: per vector how many vectors, and a forest of the links.
+
+    Members at home in the cell are homes elsewhere in it and count their links there; replicas count theirs here.
+    """
     homes, members = block[block["side"] == 0], block[block["side"] == 1]
     empty = pd.DataFrame({"u": [], "v": [], "n": []}).astype("int64")
     if homes.empty or members.empty:
         return empty
-    a, b = np.stack(homes["embedding"].to_numpy()), np.stack(members["embedding"].to_numpy())
+    a, b = (np.stack(side["embedding"].to_numpy()).astype(float) for side in (homes, members))
     na, nb = np.linalg.norm(a, axis=1), np.linalg.norm(b, axis=1)
     ia, ib = homes["rep"].to_numpy(), members["rep"].to_numpy()
-    times = members["times"].to_numpy()
     linked = np.zeros((len(a), len(b)), bool)
     for at in range(0, len(a), 512):
         cut = slice(at, at + 512)
         linked[cut] = (a[cut] @ b.T) / (na[cut, None] * nb[None, :]) >= least
         linked[cut] &= ia[cut, None] != ib[None, :]
-    n = linked @ times
+    n = linked @ members["times"].to_numpy()
+    back = np.where(members["home"].to_numpy(), 0, homes["times"].to_numpy() @ linked)
     # smallest id that each row and column reaches within the block
     row, col, big = ia.copy(), ib.copy(), np.iinfo(np.int64).max
     rows, cols = np.flatnonzero(linked.any(1)), np.flatnonzero(linked.any(0))
@@ -116,15 +166,18 @@ def join_block(block: pd.DataFrame, least: float) -> pd.DataFrame:
         if done:
             break
     edges = {(int(x), int(y)) for x, y in [*zip(ia, row), *zip(ib, col)] if x != y}
-    counts = [(int(x), None, int(k)) for x, k in zip(ia, n) if k]
-    all_rows = [(u, v, 0) for u, v in edges] + [(u, u, k) for u, _, k in counts]
+    counts = [(int(x), int(x), int(k)) for x, k in [*zip(ia, n), *zip(ib, back)] if k]
+    all_rows = [(u, v, 0) for u, v in edges] + counts
     return pd.DataFrame(all_rows, columns=["u", "v", "n"]).astype("int64") if all_rows else empty
 
 
 def link(vectors: DataFrame, least: float = 0.98) -> DataFrame:
     """``vec_id, n_links, component_id, kept`` of every vector."""
     reps = materialize(distinct_vectors(vectors), "vectors")
-    placed = materialize(in_cells(reps, choose_pivots(reps), math.sqrt(2 - 2 * least)), "cells")
+    located = reps.select(
+        F.col("label").cast("long").alias("label"), F.size("embedding").alias("dim"), "rep", "times", "embedding"
+    )
+    placed = materialize(in_cells(located, math.sqrt(2 - 2 * least)), "cells")
     cell = ["label", "dim", "cell"]
     sizes = placed.groupBy(*cell).agg(
         F.ceil(F.count(F.lit(1)) / BLOCK).cast("int").alias("mb"),
@@ -133,13 +186,13 @@ def link(vectors: DataFrame, least: float = 0.98) -> DataFrame:
     sized = placed.join(sizes.filter("hb > 0"), cell)
     # a home meets every block of members, a member every block of homes
     deal = "explode(filter(array(CASE WHEN home THEN 0 END, 1), x -> x IS NOT NULL)) AS side"
-    dealt = sized.selectExpr(*cell, "rep", "times", "embedding", "mb", "hb", deal).selectExpr(
-        *cell, "rep", "times", "embedding", "side",
+    dealt = sized.selectExpr(*cell, "rep", "times", "embedding", "home", "mb", "hb", deal).selectExpr(
+        *cell, "rep", "times", "embedding", "home", "side",
         "CASE WHEN side = 0 THEN int(pmod(xxhash64(rep, 1), hb)) ELSE int(pmod(xxhash64(rep, 2), mb)) END AS own",
         "explode(sequence(0, CASE WHEN side = 0 THEN mb - 1 ELSE hb - 1 END)) AS other",
     )
     blocks = dealt.selectExpr(
-        *cell, "rep", "times", "embedding", "side",
+        *cell, "rep", "times", "embedding", "home", "side",
         "CASE WHEN side = 0 THEN own ELSE other END AS h", "CASE WHEN side = 0 THEN other ELSE own END AS m",
     )
     found = blocks.groupBy(*cell, "h", "m").applyInPandas(

@@ -69,14 +69,14 @@ def test_empty_table(make_docs):
     assert neardup.link(make_docs([])).count() == 0
 
 
-@pytest.mark.parametrize("pivots", [1, 6])
-def test_embedding_links_equal_brute_force(spark, monkeypatch, pivots):
+@pytest.mark.parametrize("rows_a_task", [7, 1000])
+def test_embedding_links_equal_brute_force(spark, monkeypatch, rows_a_task):
     rng = np.random.default_rng(2)
     centres = rng.normal(size=(6, 16))
     x = np.concatenate([c + rng.normal(size=(25, 16)) * s for c in centres for s in (0.02, 0.12)])
     rows = [(i, v.astype(np.float32).tolist(), int(i % 3)) for i, v in enumerate(x)]
     rows += [(500, rows[3][1], 0), (501, [0.0] * 16, 0), (502, None, 1), (503, [float("nan")] * 16, 1), (504, rows[1][1], None), (505, [None] * 16, 1), (506, [1.0, 2.0], 1)]
-    monkeypatch.setattr(embdup, "CELL", 100 // pivots)
+    monkeypatch.setattr(embdup, "ROWS", rows_a_task)
     monkeypatch.setattr(embdup, "BLOCK", 16)
     df = spark.createDataFrame(rows, "vec_id long, embedding array<float>, label int").selectExpr("*", "1 AS rep", "2 AS cell")
     got = {r.vec_id: r for r in embdup.link(df, 0.98).collect()}
@@ -95,3 +95,15 @@ def test_embedding_links_equal_brute_force(spark, monkeypatch, pivots):
     for i in names:
         assert (got[i].n_links, got[i].component_id, got[i].kept) == (len(links[i]), names[i], names[i] == i), i
     assert embdup.link(df.limit(0)).count() == 0
+
+
+def test_pivots_of_a_label_separate_its_groups(spark):
+    rng = np.random.default_rng(6)
+    centres = rng.normal(size=(30, 24))
+    x = np.concatenate([c + rng.normal(size=(40, 24)) * 0.02 for c in centres])
+    df = spark.createDataFrame([(i, v.tolist(), 1 + (i % 2)) for i, v in enumerate(x)], "rep long, embedding array<double>, label long")
+    df = df.selectExpr("label", "size(embedding) AS dim", "rep", "1L AS times", "embedding")
+    placed = embdup.in_cells(df, 0.2).toPandas()
+    assert placed["home"].sum() == len(x) and placed.groupby("label")["cell"].nunique().tolist() == [7, 7]
+    assert len(placed) < 2 * len(x)  # without bounds every vector would be in about half of the cells
+    assert sorted(placed[placed["home"]]["rep"]) == list(range(len(x)))
