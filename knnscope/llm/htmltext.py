@@ -1,20 +1,22 @@
 """Main text of HTML pages: flat text blocks, classified by a decision tree from the shallow features of neighbours.
 
 A page is a sequence of blocks, stretches of text between block-level tags. Each block is described by its number of
-words and link density, those of the blocks before and after it, and by where it stands (a heading or not, inside the
-page's article or not, inside something that by its tag or by a word of its class or id is a menu, notice, advert, form
-or the like). A small decision tree, grown on a small labelled table made here from page patterns, decides which blocks
-are main text.
+words and link density, those of the blocks before and after it, whether it is a heading, and by how its surroundings
+speak for or against it: what the tags around it are, and the words of their classes and ids, each with the log odds that it
+has in a labelled table. The table is small and made here: pages written from patterns, whose main blocks are known. A
+decision tree grown on the table's blocks decides which blocks are main text; what no tag or class tells is left to words,
+links and neighbours.
 
 Defined cases: NULL and empty pages have the empty string; unclosed tags end where their parents do; scripts, styles and
-comments without an end reach to the end of the page; repeated rows repeat; extra columns are ignored; an empty table
-gives an empty table.
+comments without an end reach to the end of the page, and so does text after the last ``>``; repeated rows repeat; extra
+columns are ignored; an empty table gives an empty table.
 """
 
 from __future__ import annotations
 
 import html
 import re
+from collections import Counter
 from dataclasses import dataclass
 from functools import lru_cache
 
@@ -38,36 +40,29 @@ INLINE = {
     "tt", "u", "var", "wbr",
 }
 VOID = {"br", "img", "input", "wbr", "hr", "meta", "link", "area", "base", "col", "embed", "source", "track", "param"}
-ASIDE = {"nav", "footer", "aside", "form", "menu", "dialog", "head", "fieldset"}
 ARTICLE = {"article", "main"}
 HEADINGS = {"h1", "h2", "h3", "h4", "h5", "h6"}
 ENDS_P = {
     "address", "article", "aside", "blockquote", "div", "dl", "fieldset", "figure", "footer", "form", "h1", "h2", "h3", "h4",
     "h5", "h6", "header", "hr", "main", "menu", "nav", "ol", "p", "pre", "section", "table", "ul",
 }
-#: Words of classes and ids that mark what is not the article.
-MARKS = {
-    "ad", "ads", "adv", "advert", "adverts", "advertisement", "banner", "breadcrumb", "breadcrumbs", "byline", "comment",
-    "comments", "consent", "cookie", "cookies", "disqus", "footer", "gdpr", "header", "legal", "login", "masthead", "menu",
-    "modal", "nav", "navbar", "navigation", "newsletter", "notice", "pager", "pagination", "popup", "promo", "recommended",
-    "related", "replies", "reply", "search", "share", "sharing", "sidebar", "signup", "social", "sponsor", "sponsored",
-    "subscribe", "tags", "teaser", "toolbar", "topbar", "widget", "discussion", "responses", "reader", "readers", "alert",
-}
 PART = re.compile(r"[a-z]+")
 CAMEL = re.compile(r"([a-z])([A-Z])")
 
 
-def marks(attributes: str) -> bool:
-    """Whether a word of the class, id or role says that this isn't the article."""
-    if "=" not in attributes:
-        return False
-    for m in ATTRIBUTE.finditer(attributes):
-        value = CAMEL.sub(r"\1-\2", m[1] or m[2] or m[3] or "").lower()
-        for name in value.split():
-            words = PART.findall(name)
-            if not MARKS.isdisjoint(words) and words[0] not in ("has", "no", "with", "without"):
-                return True
-    return False
+def names(tag: str, attributes: str, inside: bool) -> list[str]:
+    """What a tag says about what it holds: its own name, and the words of its classes, ids and roles.
+
+    A tag inside the article is another one than outside. Names like ``with-sidebar`` speak of the page, not of their content.
+    """
+    found = [] if tag in INLINE else [f"<{tag}>" + (" inside" if inside else "")]
+    if "=" in attributes:
+        for m in ATTRIBUTE.finditer(attributes):
+            for name in CAMEL.sub(r"\1-\2", m[1] or m[2] or m[3] or "").lower().split():
+                words = PART.findall(name)
+                if words and words[0] not in ("has", "no", "with", "without"):
+                    found += words
+    return found
 
 
 @dataclass
@@ -75,35 +70,45 @@ class Block:
     text: str
     words: int
     link_density: float
-    aside: bool
-    article: bool
     heading: bool
+    around: tuple[tuple[str, ...], ...]
 
 
 def blocks(page: str) -> list[Block]:
     """The text blocks of a page in order."""
     found: list[Block] = []
-    stack: list[tuple[str, bool, bool]] = []  # tag, marked or aside by its tag, article
+    stack: list[tuple[str, tuple[str, ...], bool]] = []  # tag, its names, whether it is an article
+    open_tags: Counter = Counter()
     text: list[str] = []
-    links, in_link, aside, article, heading = 0, 0, 0, 0, False
+    links, in_link, article, heading = 0, 0, 0, False
 
     def flush() -> None:
         nonlocal links
         if text:
             words = html.unescape("".join(text)).split()
             if words:
-                found.append(Block(" ".join(words), len(words), min(1.0, links / len(words)), aside > 0, article > 0, heading))
+                around = tuple(own for _, own, _ in stack if own)
+                found.append(Block(" ".join(words), len(words), min(1.0, links / len(words)), heading, around))
             text.clear()
         links = 0
 
+    def push(tag: str, own: list[str]) -> None:
+        nonlocal article
+        stack.append((tag, tuple(own), tag in ARTICLE))
+        open_tags[tag] += 1
+        article += tag in ARTICLE
+
     def pop() -> None:
-        nonlocal aside, article
-        _, was_aside, was_article = stack.pop()
-        aside -= was_aside
+        nonlocal article
+        tag, _, was_article = stack.pop()
+        open_tags[tag] -= 1
         article -= was_article
 
-    at, n = 0, len(page)
+    at, n, last = 0, len(page), page.rfind(">")
     while at < n:
+        if at > last:  # no tag can end any more
+            text.append(page[at:])
+            break
         m = TOKEN.match(page, at)
         if m is None:
             at += 1
@@ -130,10 +135,9 @@ def blocks(page: str) -> list[Block]:
                 in_link = 0 if closing else 1
             elif tag == "br":
                 text.append(" ")
-            if marks(attributes) and not closing and tag not in VOID:
+            if not closing and tag not in VOID and tag != "a" and (own := names(tag, attributes, article > 0)):
                 flush()
-                stack.append((tag, True, False))
-                aside += 1
+                push(tag, own)
             elif closing and stack and stack[-1][0] == tag:
                 flush()
                 pop()
@@ -141,7 +145,7 @@ def blocks(page: str) -> list[Block]:
         flush()
         heading = tag in HEADINGS and not closing
         if closing:
-            if any(t == tag for t, _, _ in stack):
+            if open_tags[tag]:
                 in_link = 0
                 while stack[-1][0] != tag:
                     pop()
@@ -154,29 +158,35 @@ def blocks(page: str) -> list[Block]:
         if tag == "li":
             while stack and stack[-1][0] in ("p", "li"):
                 pop()
-        if tag in VOID:
-            continue
-        # a header inside the article holds its title
-        own = tag in ASIDE or (tag == "header" and not article) or (tag not in ("body", "html") and marks(attributes))
-        if tag == "main":
-            own = False
-        stack.append((tag, own, tag in ARTICLE))
-        aside += own
-        article += tag in ARTICLE
+        if tag not in VOID:
+            push(tag, names(tag, attributes, article > 0))
     flush()
     return found
 
 
-FEATURES = ("words", "link_density", "words_before", "link_density_before", "words_after", "link_density_after", "aside", "article", "page_has_article", "heading")
+FEATURES = (
+    "words", "link_density", "words_before", "link_density_before", "words_after", "link_density_after", "heading",
+    "against", "in_favour", "behind",
+)
+
 
+def features(found: list[Block], odds: dict[str, float]) -> np.ndarray:
+    """One row for each block; beyond the page there are no words.
 
-def features(found: list[Block]) -> np.ndarray:
-    """One row for each block; beyond the page there are no words."""
+    ``against`` and ``in_favour`` are the least and greatest log odds of what stands around a block, ``behind`` is by how
+    much ``in_favour`` falls short of the page's best.
+    """
     w = np.array([0, *(b.words for b in found), 0], float)
     d = np.array([0, *(b.link_density for b in found), 0], float)
-    own = np.array([(b.aside, b.article, b.heading) for b in found], float).reshape(-1, 3)
-    has = np.full(len(found), float(any(b.article and not b.aside for b in found)))
-    return np.stack([w[1:-1], d[1:-1], w[:-2], d[:-2], w[2:], d[2:], own[:, 0], own[:, 1], has, own[:, 2]], 1)
+    memo: dict[tuple, tuple[float, float]] = {}
+    for b in found:
+        if b.around not in memo:
+            own = [odds.get(name, 0.0) for tag in b.around for name in tag]
+            memo[b.around] = min(own, default=0.0), max(own, default=0.0)
+    low, high = np.array([memo[b.around] for b in found], float).reshape(-1, 2).T
+    best = high[low >= -1].max(initial=0.0)
+    heading = np.array([b.heading for b in found], float)
+    return np.stack([w[1:-1], d[1:-1], w[:-2], d[:-2], w[2:], d[2:], heading, low, high, np.maximum(best - high, 0)], 1)
 
 
 class DecisionTree:
@@ -223,60 +233,145 @@ class DecisionTree:
         return out
 
 
-def labelled_table(pages: int = 800, seed: int = 11) -> tuple[np.ndarray, np.ndarray]:
-    """A labelled table of blocks from page patterns: menus, notices and adverts around an article, with or without
-    the tags that say so. Lengths and link densities are drawn, not taken from any data that is to be judged."""
-    rng = np.random.default_rng(seed)
-    rows, labels = [], []
+#: Stands before each word of main text in a page of the labelled table.
+MAIN = "\ue000"
+#: Fixed names that pages use for what isn't the article, by kind, and for the article.
+OTHERS = {
+    "menu": "nav navbar navigation menu masthead topbar toolbar header breadcrumb breadcrumbs",
+    "short": "footer legal copyright tags byline pager pagination teaser",
+    "advert": "ad ads adv advert adverts advertisement banner promo sponsor sponsored",
+    "notice": "cookie cookies consent gdpr notice alert modal popup newsletter subscribe signup login search",
+    "comments": "comment comments reply replies discussion responses disqus reader readers",
+    "links": "related recommended sidebar widget social share sharing",
+}
+OWN = "content post entry story body text article main"
 
-    def block(low, high, density, aside=False, article=False, heading=False):
-        return Block("", int(rng.integers(low, high + 1)), float(density), aside, article, heading)
 
+def labelled_pages(pages: int = 900, seed: int = 11) -> list[str]:
+    """Pages from patterns, with tags and classes that say what they hold or without. Lengths, link densities and order are
+    drawn, not taken from any data that is to be judged."""
+    rng = np.random.default_rng(seed)
+    chance = lambda p: rng.random() < p
+    pick = lambda words: str(rng.choice(words.split()))
+
+    def words(low: int, high: int, main: bool = False, links: float = 0.0) -> str:
+        n = int(rng.integers(low, high + 1))
+        linked = round(links * n)
+        plain = " ".join([("" if not main else MAIN) + "w"] * (n - linked))
+        return plain + (f" <a href=x>{' '.join(['w'] * linked)}</a>" if linked else "")
+
+    def other(kind: str, tags: str, inner: str, says: bool) -> str:
+        """What isn't the article, in a tag that says so, or with a class that does, or neither."""
+        if not says:
+            return f"<div>{inner}</div>"
+        tag = pick(tags) if chance(0.5) else ""
+        name = "" if tag and chance(0.5) else f" {pick('class id')}='{pick(OTHERS[kind])}{pick('-box -area -1 - -') if chance(0.3) else ''}'"
+        return f"<{tag or 'div'}{name}>{inner}</{tag or 'div'}>"
+
+    def list_of_links() -> str:
+        items = [words(1, 5, links=1.0 if chance(0.9) else 0.5) for _ in range(rng.integers(1, 8))]
+        return "<ul>" + "".join(f"<li>{x}</li>" for x in items) + "</ul>" if chance(0.7) else "".join(f"<p>{x}</p>" for x in items)
+
+    def beside(says: bool) -> list[str]:
+        some = []
+        if chance(0.5):
+            some.append(other("advert", "aside", f"<p>{words(2, 40 if says else 10, links=rng.random() * 0.6)}</p>" if chance(0.5) else words(2, 40 if says else 10), says))
+        if chance(0.35):
+            some.append(other("notice", "dialog form aside fieldset", f"<p>{words(3, 50 if says else 10)}</p>", says))
+        if chance(0.3):
+            some.append(other("links", "aside nav", list_of_links(), says))
+        return some
+
+    found = []
     for _ in range(pages):
-        tagged, says = rng.random() < 0.6, rng.random() < 0.8
-        page: list[tuple[Block, int]] = []
-        bare = rng.random() < 0.25  # a page of nothing but its text
-        for _ in range(0 if bare else rng.integers(0, 8)):
-            page.append((block(1, 4, 1.0 if rng.random() < 0.9 else 0.5, aside=says), 0))
-        if not bare and rng.random() < 0.7:
-            page.append((block(2, 14 if not says else 60, rng.random() * 0.6, aside=says), 0))
-        if rng.random() < 0.7:
-            page.append((block(2, 14, 0, article=tagged, heading=True), 1))
-        for _ in range(rng.integers(1, 14) if rng.random() < 0.7 else 1):
-            short = rng.random() < (0.3 if tagged else 0.05)
-            page.append((block(1, 12, 0, article=tagged) if short else block(15, 220, rng.random() * 0.15, article=tagged), 1))
-            if rng.random() < 0.08:
-                page.append((block(1, 60, rng.random(), aside=True, article=tagged), 0))
-        for _ in range(0 if bare else rng.integers(0, 4)):
-            page.append((block(3, 70, rng.random() * 0.3, aside=True, article=tagged and rng.random() < 0.5), 0))
-        for _ in range(0 if bare else rng.integers(0, 5)):
-            page.append((block(2, 8, 1.0, aside=says), 0))
-        if not bare and rng.random() < 0.8:
-            page.append((block(3, 12, rng.random() * 0.5, aside=says), 0))
-        rows.append(features([b for b, _ in page]))
-        labels += [y for _, y in page]
-    return np.concatenate(rows), np.array(labels)
+        tagged, says, bare = chance(0.6), chance(0.8), chance(0.2)
+        body = [f"<h1>{words(1, 14, True)}</h1>"] if chance(0.75) else []
+        for _ in range(rng.integers(1, 14) if chance(0.7) else 1):
+            short = chance(0.35 if tagged else 0.04)
+            inner = words(1, 12, True) if short else words(15, 220, True, rng.random() * 0.15)
+            body.append(f"<p>{inner}</p>" if chance(0.9) else f"<blockquote>{inner}</blockquote>" if chance(0.5) else f"<div>{inner}</div>")
+            if chance(0.06):
+                body.append(f"<h2>{words(1, 9, True)}</h2>")
+            if chance(0.12):
+                body += beside(True)
+        if tagged and chance(0.3):
+            body[0] = f"<header>{body[0]}</header>"
+        if tagged and chance(0.25):
+            body.append(other("comments", "section aside", "".join(f"<p>{words(3, 70)}</p>" for _ in range(rng.integers(1, 5))), True))
+        if tagged:
+            tag = pick("article main div") if says else pick("article main")
+            name = f" class='{pick(OWN)}'" if tag == "div" or chance(0.3) else ""
+            article = f"<{tag}{name}>{''.join(body)}</{tag}>"
+        else:
+            article = "".join(body) if chance(0.5) else f"<div>{''.join(body)}</div>"
+        before, after = [], []
+        if not bare:
+            if chance(0.8):
+                before.append(other("menu", "nav header menu", list_of_links(), says))
+            before += beside(says)
+            after += beside(says)
+            if chance(0.4):
+                after.append(other("comments", "aside section", "".join(f"<p>{words(3, 70)}</p>" for _ in range(rng.integers(1, 4))), True))
+            if chance(0.8):
+                after.append(other("short", "footer", words(3, 14, links=rng.random() * 0.5), says))
+        found.append("<body>" + "".join([*before, article, *after]) + "</body>")
+    return found
+
+
+@dataclass
+class Classifier:
+    odds: dict[str, float]
+    tree: DecisionTree
+
+    def main_text(self, page: str | None) -> str:
+        found = blocks(page or "")
+        if not found:
+            return ""
+        keep = self.tree.predict(features(found, self.odds)) >= 0.5
+        return "\n\n".join(b.text for b, k in zip(found, keep) if k)
+
+
+def fit(pages: list[str], least: int = 3) -> Classifier:
+    """Learn from pages whose main text is marked: first the odds of each name, then the tree.
+
+    A name that fewer than ``least`` pages use has no odds.
+    """
+    table = [blocks(page) for page in pages]
+    labels = [[MAIN in b.text for b in found] for found in table]
+    counts: dict[str, list[int]] = {}
+    used: Counter = Counter()
+    for found, own in zip(table, labels):
+        for b, y in zip(found, own):
+            for name in {x for tag in b.around for x in tag}:
+                counts.setdefault(name, [0, 0])[y] += 1
+        used.update({x for b in found for tag in b.around for x in tag})
+    total = Counter(y for own in labels for y in own)
+    odds = {
+        name: float(np.log((n1 + 0.5) / (total[True] + 1)) - np.log((n0 + 0.5) / (total[False] + 1)))
+        for name, (n0, n1) in counts.items()
+        if used[name] >= least
+    }
+    x = np.concatenate([features(found, odds) for found in table])
+    return Classifier(odds, DecisionTree(x, np.array([y for own in labels for y in own], float)))
 
 
 @lru_cache(maxsize=1)
-def tree() -> DecisionTree:
-    return DecisionTree(*labelled_table())
+def classifier() -> Classifier:
+    return fit(labelled_pages())
 
 
 def main_text(page: str | None) -> str:
-    found = blocks(page or "")
-    if not found:
-        return ""
-    keep = tree().predict(features(found)) >= 0.5
-    return "\n\n".join(b.text for b, k in zip(found, keep) if k)
+    return classifier().main_text(page)
 
 
 def extract(pages: DataFrame) -> DataFrame:
     """``page_id, url, text, n_chars`` of every page, from the whole HTML."""
 
+    own = classifier()  # small, so it travels with the code
+
     def kernel(batches):
         for rows in batches:
-            texts = [main_text(page) for _, _, page in rows]
+            texts = [own.main_text(page) for _, _, page in rows]
             yield {
                 "page_id": [r[0] for r in rows], "url": [r[1] for r in rows], "text": texts, "n_chars": [len(t) for t in texts],
             }

@@ -149,6 +149,10 @@ PAGES = {
     "<main><p>Real words are here</p><div class='comments'><p>I am a reader</p></div><aside>buy</aside><form>mail me</form></main>": "Real words are here",
     "<p>" + "long text " * 30 + "</p><script>var a='</p><p>no';</script><style>p{}</style><!-- <p>no</p> -->": ("long text " * 30).strip(),
     "<div class='cookie-notice'>We use cookies</div><article class='post with-sidebar'><p>Kept\n  text</p></article>": "Kept text",
+    # nothing but words and links tells these apart
+    "<div><a href=a>Home</a></div><div><a href=b>All our news</a></div><div>" + "some long text of it " * 20 + "</div><div><a href=c>Next</a></div>": ("some long text of it " * 20).strip(),
+    "<table><tr><td><a href=a>One</a><td><a href=b>Two</a></table><p>" + "plain words " * 40 + "<p>" + "more words " * 40: ("plain words " * 40).strip() + "\n\n" + ("more words " * 40).strip(),
+    "<article><p>Kept</p><p>Also kept <": "Kept\n\nAlso kept <",
     "": "", "<p>": "", "<script>never ends <p>x</p>": "",
 }
 
@@ -158,6 +162,31 @@ def test_main_text(page):
     assert htmltext.main_text(page) == PAGES[page]
 
 
+def test_the_tree_decides_by_words_links_and_neighbours_and_learns_the_rest():
+    own = htmltext.classifier()
+    pages = htmltext.labelled_pages(200, seed=99)
+    table = [htmltext.blocks(p) for p in pages]
+    truth = [[htmltext.MAIN in b.text for b in found] for found in table]
+    right = lambda c: sum(k == y for f, t in zip(table, truth) for k, y in zip(c.tree.predict(htmltext.features(f, c.odds)) >= 0.5, t)) / sum(map(len, truth))
+    assert right(own) > 0.985
+    assert own.odds["advert"] < -1 and own.odds["<article>"] > 0.5 and "unheard" not in own.odds
+    # without the features of words and links the answers are worse
+    x = [htmltext.features(f, own.odds) for f in table]
+    for f in x:
+        f[:, :6] = 0
+    blind = sum((own.tree.predict(f) >= 0.5).tolist() == t for f, t in zip(x, truth))
+    seen = sum((own.tree.predict(htmltext.features(f, own.odds)) >= 0.5).tolist() == t for f, t in zip(table, truth))
+    assert seen > blind + 10
+    # names are learned: other labelled pages, other names
+    swapped = [p.replace("advert", "promenade") for p in htmltext.labelled_pages(200)]
+    assert "promenade" in htmltext.fit(swapped).odds
+
+
+def test_broken_pages_take_linear_time():
+    for page in ("<a " * 200_000, "<div>" * 50_000 + "</p>" * 50_000 + "x", "<p class='" * 100_000, "<!--" * 100_000, "&" * 300_000):
+        assert len(htmltext.main_text(page)) <= len(page)
+
+
 def test_html_table(spark):
     df = spark.createDataFrame([(1, "u", None), (2, None, "<article><p>é x</p></article>")], "page_id long, url string, html string").selectExpr("*", "1 AS text")
     assert [(r.page_id, r.url, r.text, r.n_chars) for r in htmltext.extract(df).orderBy("page_id").collect()] == [(1, "u", "", 0), (2, None, "é x", 3)]
