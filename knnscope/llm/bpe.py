@@ -72,7 +72,7 @@ class MinimalPerfectHash:
 class BytePairCodec:
     """Encoder and decoder for one file of ranks (lines of base64 token and rank) and one pre-token pattern."""
 
-    def __init__(self, ranks: dict[bytes, int], pattern: str, memo_limit: int = 96 << 20):
+    def __init__(self, ranks: dict[bytes, int], pattern: str, memo_limit: int = 64 << 20):
         self.ranks = ranks
         self.find = regex.compile(pattern).findall
         tokens = list(ranks)
@@ -178,7 +178,6 @@ def encode_table(docs: DataFrame, path: str, pattern: str) -> DataFrame:
         for rows in batches:
             ids = [own.encode(text) for _, text in rows]
             yield {"doc_id": [r[0] for r in rows], "n_tokens": [len(x) for x in ids], "ids": ids}
-        own.forget()
 
     return map_rows(docs, ["doc_id", "text"], kernel, "doc_id long, n_tokens long, ids array<long>")
 
@@ -209,6 +208,5 @@ def digest_table(docs: DataFrame, path: str, pattern: str) -> DataFrame:
                 out["ids_sha256"].append(sha(packed).hexdigest())
                 out["decoded_sha256"].append(sha(own.decode(np.frombuffer(packed, "<u4").tolist())).hexdigest())
             yield out
-        own.forget()
 
     return map_rows(docs, ["doc_id", "text"], kernel, SCHEMA)

@@ -1,4 +1,5 @@
 import hashlib
+import math
 import re
 from collections import Counter
 
@@ -136,11 +137,49 @@ def test_toxicity(spark, make_docs):
     model = toxicity.fit(toxicity.labelled_rows(docs, labels))
     held = toxicity.score_table(docs, model).join(labels, "doc_id").filter(F.crc32(F.col("doc_id").cast("string").cast("binary")) % 5 == 0)
     rows = held.collect()
-    assert sum(r.predicted == r.toxic for r in rows) / len(rows) > 0.96
+    assert sum(r.predicted == r.toxic for r in rows) / len(rows) > 0.975
     odd = toxicity.score_table(make_docs(ODD_TEXTS), model).collect()
-    assert all(0 <= r.score <= 1 for r in odd) and not odd[0].predicted
+    assert len(odd) == len(ODD_TEXTS) and all(0 <= r.score <= 1 for r in odd) and not odd[0].predicted
+    assert toxicity.score_table(make_docs([]), model).count() == 0
     none = toxicity.fit(toxicity.labelled_rows(docs, labels.filter("toxic = 0")))
-    assert none.score("anything") < 0.01
+    assert toxicity.score_table(make_docs(["anything"]), none).first().score < 0.01
+
+
+def toxic_rows(spark):
+    texts = [(f"you {a} fool {b} and {c}", 1) for a in ("old", "mad", "sad", "bad") for b in ("there", "here") for c in "xyz"]
+    texts += [(f"the {a} house {b} and {c}", 0) for a in ("old", "mad", "sad", "big", "red") for b in ("there", "here", "now") for c in "xyz"]
+    return spark.createDataFrame([(i, t, y) for i, (t, y) in enumerate(texts)] + [(900, None, 0), (901, "", 1), (900, "the end", 0)], "doc_id long, text string, toxic int")
+
+
+def test_kneser_ney_estimates_equal_brute_force(spark):
+    rows = toxic_rows(spark)
+    pairs = [set(), set()]
+    for r in rows.collect():
+        w = [x.strip(toxicity.OUTER) for x in (r.text or "").lower().split()]
+        pairs[r.toxic].update(zip(w, [None, *w]))
+    n = [Counter(w for w, _ in p) for p in pairs]
+    words = set(n[0]) | set(n[1])
+    q = [{w: max(c[w] - 2, 0) for w in words} for c in n]
+    shared = {w: (n[0][w] + n[1][w] + 0.5) / (sum(n[0].values()) + sum(n[1].values()) + 0.5 * len(words)) for w in words}
+    p = [{w: 0.95 * q[c][w] / sum(q[c].values()) + 0.05 * shared[w] for w in words} for c in (0, 1)]
+    want = {w: math.log(0.98 + 0.02 * p[1][w] / p[0][w]) for w in words}
+    got = {r.expression: r.diff for r in toxicity.differences(toxicity.context_counts(rows, flush_at=5)).collect()}
+    assert got["fool"] > 0 > got["house"] and "here" in want
+    for w in words:
+        assert got.get(w, 0.0) == pytest.approx(want[w], abs=1e-12)
+
+
+def test_a_table_too_large_to_ship_gives_the_same_scores(spark, make_docs, monkeypatch):
+    rows = toxic_rows(spark)
+    docs = make_docs([*ODD_TEXTS, "you fool, you FOOL! here", "the house and the house", "the"])
+    results = []
+    for shipped, hot in ((1 << 20, 4096), (2, 10)):
+        monkeypatch.setattr(toxicity, "SHIPPED", shipped)
+        monkeypatch.setattr(toxicity, "HOT", hot)
+        model = toxicity.fit(rows)
+        assert model.whole == (shipped > 2) and 0 < len(model.local)
+        results.append(sorted((r.doc_id, round(r.score, 12), r.predicted) for r in toxicity.score_table(docs, model).collect()))
+    assert results[0] == results[1] and len(results[0]) == len(ODD_TEXTS) + 3
 
 
 PAGES = {
