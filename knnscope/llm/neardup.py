@@ -6,7 +6,7 @@ two signatures is the number of lanes that differ. The index covers the first ``
 each time without one lane, and equal entries of two documents lead to every such pair. At a Jaccard similarity of 0.85
 a lane differs with probability 0.15, so a pair escapes the index with probability 2e-8 (1e-6 at 0.8); those it finds
 must also be within ``farthest`` of all lanes, five standard deviations over the mean at the threshold, which rejects
-about 1e-5 of the pairs there. An odd sketch follows: a bit array in which each shingle flips one bit, so that two sketches
+about 2.4e-6 of the pairs there. An odd sketch follows: a bit array in which each shingle flips one bit, so that two sketches
 never differ in more bits than the sets in shingles; for sets of up to ``DENSE`` shingles what it rejects is certain, for
 larger ones it takes a share of the shingles and a margin of five standard deviations. What remains is compared on full
 sets.
@@ -20,7 +20,7 @@ matter for the result.
 
 Defined cases: NULL and empty texts and texts without words have an empty set and are linked with nothing; texts of
 fewer words than a shingle have the whole sequence as their one shingle; repeated rows of one id count as one document
-in components and repeat in the result; NULL ids are linked with nothing; extra columns are ignored; an empty table
+in components (of several texts of one id the set that is greatest as an array is compared) and repeat in the result; NULL ids are linked with nothing; extra columns are ignored; an empty table
 gives an empty table.
 """
 
@@ -197,7 +197,7 @@ def link(docs: DataFrame, words: int = 3, similar: int = 85) -> DataFrame:
     # full sets of the documents in buckets; each is computed once
     members = buckets.select(F.col("doc").alias("doc_id")).distinct()
     texts = docs.select("doc_id", "text").join(members.hint("shuffle_hash"), "doc_id", "left_semi")
-    sets = shingle_sets(texts, words).groupBy("doc_id").agg(F.first("hashes").alias("hashes"))
+    sets = shingle_sets(texts, words).groupBy("doc_id").agg(F.max("hashes").alias("hashes"))
     sets = materialize(sets, "shingle-sets")
     edges = materialize(confirmed(stars, sets, similar), "links")
     found = connected(edges)
@@ -214,7 +214,7 @@ def link(docs: DataFrame, words: int = 3, similar: int = 85) -> DataFrame:
     if not more.isEmpty():
         found = connected(edges.unionByName(more))
 
-    rows = signed.select("doc_id", "n_shingles", "set_hash")
+    rows = signed.selectExpr("doc_id", "n_shingles", "CASE WHEN doc_id IS NOT NULL THEN set_hash END AS set_hash")
     classes = reps.join(found.select(F.col("node").alias("doc"), "component"), "doc", "left")
     classes = classes.select("set_hash", F.coalesce("component", "doc").alias("component"))
     return rows.join(classes, "set_hash", "left").select(

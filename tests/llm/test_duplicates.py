@@ -2,6 +2,7 @@ import random
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from knnscope.llm import embdup, neardup
 
@@ -65,6 +66,14 @@ def test_filters_never_reject_what_is_similar_and_sketches_bound_the_difference(
         assert bool(ok[0]) or not similar
 
 
+def test_null_ids_and_repeated_rows_link_nothing_of_their_own(make_docs):
+    docs = make_docs(["a b c d e f", "a b c d e f", "x y z"])
+    odd = docs.unionByName(docs.withColumn("doc_id", F.lit(None).cast("long")))
+    rows = sorted(((r.doc_id is None, r.doc_id or 0, r.component_id, r.kept) for r in neardup.link(odd.unionByName(docs)).collect()), key=str)
+    assert [r for r in rows if r[0]] == [(True, 0, None, True)] * 3
+    assert sorted(r[1:] for r in rows if not r[0]) == [(0, 0, True)] * 2 + [(1, 0, False)] * 2 + [(2, 2, True)] * 2
+
+
 def test_empty_table(make_docs):
     assert neardup.link(make_docs([])).count() == 0
 
