@@ -2,8 +2,9 @@
 
 One pass computes counts of every text with built-in functions only and is written to the shared folder (numbers, no
 texts). KLL sketches of its ratios, one for each language and source, give each group its own fences; the sketches of
-a language's sources merge into one for the language, to which groups too small for fences of their own fall back, and
-all merge into one for the corpus. The fences are joined to the rows.
+a language's sources merge into one for the language, and all merge into one for the corpus. Few rows say little of their
+quantiles, so the fences are pooled: with n rows those of a group have the weight n / (n + ``POOLED``) and its language's the rest;
+those of a language are pooled with the corpus's in the same way. The fences are joined to the rows.
 
 A ratio fails if it is beyond an upper quantile of its group by ``SPREAD`` interquartile ranges and a small ``slack``, which
 stands for the range where most texts of a group share one value. The quantile is the upper quartile, which junk does not
@@ -30,8 +31,8 @@ RATIOS = {
 }
 BASE_FAILED = "n_words < 10 OR 100 * n_repeat_words > 20 * n_words"
 SPREAD = 6.0
-#: A group with fewer rows takes the fences of its language, and a language with fewer those of the corpus.
-LEAST_ROWS = 200
+#: So many rows of its own weigh as much as what stands above a group.
+POOLED = 20
 #: The characters between words.
 BLANKS = (" ", "\\t", "\\n", "\\u000B", "\\u000C", "\\r")
 
@@ -50,7 +51,7 @@ def counts(docs: DataFrame, *more: str) -> DataFrame:
     blank = "[\\\\x20\\\\x09-\\\\x0D]"
     split = base.selectExpr(
         *own, "t",
-        f"split(regexp_replace(t, '^{blank}+|{blank}+$', ''), '{blank}+') AS w",
+        f"split(regexp_replace(t, '^{blank}+|{blank}+\\\\z', ''), '{blank}+') AS w",
         f"filter(split(t, '\\n'), x -> x rlike '[^\\\\x20\\\\x09-\\\\x0D]') AS l",
     )
     split = split.selectExpr(*own, "t", "l", "CASE WHEN w[0] = '' THEN array() ELSE w END AS w")
@@ -95,9 +96,12 @@ def fences(counted: DataFrame) -> DataFrame:
     joined = own.join(lang, F.col("lang").eqNullSafe(F.col("lang_"))).crossJoin(F.broadcast(one))
     out = ["lang", "source"]
     for k, (_, at, slack) in RATIOS.items():
-        sketch = f"CASE WHEN n >= {LEAST_ROWS} THEN {k} WHEN of_lang.n >= {LEAST_ROWS} THEN of_lang.{k} ELSE of_all.{k} END"
-        low, high, upper = (f"kll_sketch_get_quantile_double({sketch}, {q}D)" for q in (0.25, 0.75, at))
-        out.append(f"{upper} + {SPREAD} * ({high} - {low}) + {slack}D AS {k}_max")
+        own, lang, corpus = (
+            "({2} + {s} * ({1} - {0}))".format(*(f"kll_sketch_get_quantile_double({x}{k}, {q}D)" for q in (0.25, 0.75, at)), s=SPREAD)
+            for x in ("", "of_lang.", "of_all.")
+        )
+        above = f"(of_lang.n * {lang} + {POOLED} * {corpus}) / (of_lang.n + {POOLED})"
+        out.append(f"(n * {own} + {POOLED} * {above}) / (n + {POOLED}) + {slack}D AS {k}_max")
     return joined.selectExpr(*out)
 
 
