@@ -9,7 +9,8 @@ of at least ``SHARE`` and a disclosure of at least ``DISCLOSURE`` reveal e.
 
 That needs repetition. What an address says itself does not: a term that is a part of the local part of an e-mail
 address reveals it from the first text on, without a share, if its disclosure is as high (in ``the.94@`` it is not, as
-"the" stands everywhere). Revealing terms are spans of kind ``term`` wherever they stand in a text that has their
+"the" stands everywhere). So does a secret, a long word of letters and digits, which is an entity of its own and reveals itself.
+Revealing terms are spans of kind ``term`` wherever they stand in a text that has their
 entity. In the sanitised text such a term is removed if it stands with no other entity, and generalised to its
 shape if it does; base spans become a placeholder of their kind.
 
@@ -57,6 +58,9 @@ SUPPORT, SHARE, DISCLOSURE = 3, 0.5, 3.0
 CHAR = r"[\p{L}\p{N}\x27_-]"
 WORD, NO_WORD = CHAR + "+", r"[^\p{L}\p{N}\x27_-]+"
 ENTITY = "xxhash64(x.k, lower(x.v))"
+#: What may be a secret: a word with letters and digits, all ASCII, of this length or more. As an entity it has a kind of its own.
+SECRET = rf"(?<!{CHAR})(?=[A-Za-z_-]*+[0-9])(?=[0-9_-]*+[A-Za-z])[A-Za-z0-9_-]{{20,}}+(?!{CHAR})"
+SECRET_KIND = len(KINDS)
 #: Shorter parts of an address are no name.
 LEAST_NAME = 3
 
@@ -85,14 +89,15 @@ def positions(text: str, pattern: str | None, kind: int, valid: str, expression:
 
 
 def base_spans(docs: DataFrame, *keep) -> DataFrame:
-    """``keep``, ``t`` (the text or '') and ``b``: all base spans ordered by start, then kind."""
+    """``keep``, ``t`` (the text or ''), ``b``: all base spans ordered by start, then kind, and ``c``: what may be secrets."""
     found = docs.select(*keep, F.coalesce("text", F.lit("")).alias("t"))
     some = {k: f"{NEEDS[k]} AND t rlike {sql_text(p)}" for k, p in PATTERNS.items()}
     each = [
         f"CASE WHEN {some[k]} THEN {positions('t', p, n, VALID[k])} ELSE CAST(array() AS {SPAN}) END"
         for n, (k, p) in enumerate(PATTERNS.items())
     ]
-    return found.withColumn("b", F.expr(f"array_sort(concat({', '.join(each)}))"))
+    secrets = f"CASE WHEN t rlike {sql_text(SECRET)} THEN {positions('t', SECRET, SECRET_KIND, 'true')} ELSE CAST(array() AS {SPAN}) END"
+    return found.withColumn("b", F.expr(f"array_sort(concat({', '.join(each)}))")).withColumn("c", F.expr(secrets))
 
 
 def contexts(found: DataFrame, row: str) -> DataFrame:
@@ -142,19 +147,26 @@ def named(some: DataFrame) -> DataFrame:
     return parts.filter(f"length(term) >= {LEAST_NAME}").distinct()
 
 
+def entities(some: DataFrame) -> DataFrame:
+    """``key, entity, secret``: what each text has to protect; secret: the secret itself as a term, else NULL."""
+    each = some.selectExpr("key", "explode(concat(b, c)) AS x")
+    return each.selectExpr("key", f"{ENTITY} AS entity", f"CASE WHEN x.k = {SECRET_KIND} THEN lower(x.v) END AS secret").distinct()
+
+
 def disclosing(near: DataFrame, some: DataFrame, docs: DataFrame) -> DataFrame:
     """``entity, term, alone``: the terms that reveal an entity of the texts ``some``; alone: they stand near no other."""
     beside = near.select("entity", "term", "key").distinct()
-    own = named(some).withColumn("own", F.lit(1))
+    having = entities(some)
+    itself = having.filter("secret IS NOT NULL").select("key", "entity", F.col("secret").alias("term"))
+    own = named(some).unionByName(itself).withColumn("own", F.lit(1))
     seen = beside.withColumn("own", F.lit(0)).unionByName(own).groupBy("entity", "term", "key").agg(F.max("own").alias("own"))
     pairs = seen.groupBy("entity", "term").agg(F.count(F.lit(1)).alias("n_te"), (F.max("own") == 1).alias("own"))
     strong = materialize(pairs.filter((F.col("n_te") >= SUPPORT) | F.col("own")), "term-entity")
-    having = some.selectExpr("key", "explode(b) AS x").selectExpr("key", f"{ENTITY} AS entity").distinct()
-    entities = having.groupBy("entity").agg(F.count(F.lit(1)).alias("n_e"))
+    sizes = having.groupBy("entity").agg(F.count(F.lit(1)).alias("n_e"))
     spread = pairs.groupBy("term").agg((F.count(F.lit(1)) == 1).alias("alone"))
     total = F.broadcast(docs.agg(F.count_distinct(F.md5("text")).alias("n_all")))
     counted = term_counts(distinct_texts(docs))
-    joined = strong.join(counted, "term").join(entities, "entity").join(spread, "term").crossJoin(total)
+    joined = strong.join(counted, "term").join(sizes, "entity").join(spread, "term").crossJoin(total)
     n = F.greatest("n", "n_te")
     return joined.filter(
         (F.col("own") | (F.col("n_te") >= SHARE * n)) & (F.log(F.col("n_te") * F.col("n_all") / (n * F.col("n_e"))) >= DISCLOSURE)
@@ -162,16 +174,16 @@ def disclosing(near: DataFrame, some: DataFrame, docs: DataFrame) -> DataFrame:
 
 
 def keyed(docs: DataFrame, *keep) -> DataFrame:
-    """``keep``, ``t``, ``b`` and ``key``, a digest of the text (NULL without base spans): equal texts, equal spans."""
-    return base_spans(docs, *keep).withColumn("key", F.expr("CASE WHEN size(b) > 0 THEN md5(t) END"))
+    """``keep``, ``t``, ``b`` and ``key``, a digest of the text (NULL without entities): equal texts, equal spans."""
+    return base_spans(docs, *keep).withColumn("key", F.expr("CASE WHEN size(b) + size(c) > 0 THEN md5(t) END"))
 
 
 def term_spans(some: DataFrame, docs: DataFrame) -> DataFrame:
-    """``key, m``: the spans of disclosing terms in the texts ``some(key, t, b)``, each text once."""
-    each = some.filter("key IS NOT NULL").groupBy("key").agg(F.first("t").alias("t"), F.first("b").alias("b"))
+    """``key, m``: the spans of disclosing terms in the texts ``some(key, t, b, c)``, each text once."""
+    each = some.filter("key IS NOT NULL").groupBy("key").agg(F.first("t").alias("t"), F.first("b").alias("b"), F.first("c").alias("c"))
     each = materialize(each, "pii-texts")
     flagged = disclosing(materialize(contexts(each, "key"), "pii-contexts"), each, docs)
-    having = each.selectExpr("key", "explode(b) AS x").selectExpr("key", f"{ENTITY} AS entity").distinct()
+    having = entities(each).select("key", "entity")
     # a term that reveals two entities of a text and stands near others is generalised there
     terms = having.join(flagged, "entity").groupBy("key", "term").agg(F.min("alone").alias("alone"))
     terms = terms.groupBy("key").agg(F.map_from_entries(F.collect_list(F.struct("term", "alone"))).alias("terms"))
@@ -191,8 +203,8 @@ def spans(docs: DataFrame, *keep: str) -> DataFrame:
     A span is a struct of start, kind (its place in ``KINDS``), end and value. Ends are exclusive.
     """
     found = keyed(docs, *keep).withColumn("t", F.expr("CASE WHEN key IS NOT NULL THEN t END"))
-    found = materialize(found, "pii-found")  # of the texts only those with base spans
-    # texts without base spans have no others: they pass without a join, in which their NULL keys would meet in one task
+    found = materialize(found, "pii-found")  # of the texts only those with entities
+    # texts without base spans and secrets have no others: they pass without a join, in which their NULL keys would meet in one task
     clean = found.filter("key IS NULL").selectExpr(*keep, "b", "b AS a")
     some = found.filter("key IS NOT NULL").join(term_spans(found, docs), "key", "left")
     return clean.unionByName(some.selectExpr(*keep, "b", ALL_SPANS))
@@ -221,12 +233,12 @@ def sanitise(docs: DataFrame) -> DataFrame:
         "named_struct('p', greatest(c.p, x.e), 'o', c.o) ELSE named_struct('p', x.e, 'o', concat(c.o, "
         f"substring(t, c.p + 1, x.s - c.p), {shape})) END, c -> concat(c.o, substring(t, c.p + 1)))"
     )
-    # texts without base spans have no others: they pass without a join
+    # texts without base spans and secrets have no others: they pass without a join
     own = keyed(docs, *(F.col(f"`{c}`").alias(f"c{n}") for n, c in enumerate(docs.columns)))
     back = [F.col(f"c{n}").alias(c) for n, c in enumerate(docs.columns)]
     clean = own.filter("key IS NULL").select(*back)
     some = own.filter("key IS NOT NULL")
-    terms = term_spans(some.select("key", "t", "b"), docs)
+    terms = term_spans(some.select("key", "t", "b", "c"), docs)
     changed = some.join(terms, "key", "left").selectExpr("*", ALL_SPANS).withColumn("new", F.expr(walk))
     at = docs.columns.index("text")
     return clean.unionByName(changed.withColumn(f"c{at}", F.col("new")).select(*back))

@@ -23,7 +23,7 @@ def quality_counts(text):
 
 
 def test_quality_counts_equal_brute_force(make_docs):
-    texts = [*ODD_TEXTS, "a b c d e a b c d e", "x\ny\nx\n \nx", "a b c d e f", "aa " * 300, "\x0bv\x0cw\rx #|&$ <t>", "p q r s t u p q r s t v " * 40]
+    texts = [*ODD_TEXTS, "a b c d e a b c d e", "x\ny\nx\n \nx", "a b c d e f", "aa " * 300, "\x0bv\x0cw\rx #|&$ <t>", "p q r s t u p q r s t v " * 40, "abc \u0085", "abc \u2028", " a \u0085 "]
     got = {r.doc_id: r for r in quality.judge(make_docs(texts)).collect()}
     for i, t in enumerate(texts):
         r = got[i]
@@ -106,6 +106,13 @@ def test_a_name_beside_its_only_address_is_removed_everywhere(make_docs):
     assert "Quillon" in text and not re.search(r"\b(zebedeus|quill)\b", text.lower()) and "wrote the and" in text
 
 
+def test_a_secret_reveals_itself_and_goes(make_docs):
+    docs = make_docs(['the token = "04dbebab91ab85687d33eeaaf9ac699e1188f962" and so on', *(f"the row{k} and averyveryverylongword here" for k in range(60)), "x" * 40 + " " + "7" * 40])
+    spans = {r.doc_id: r for r in pii.report(docs).collect()}
+    assert spans[0].spans == "term:13:53" and sum(r.n_term for r in spans.values()) == 1
+    assert {r.text for r in pii.sanitise(docs).filter("doc_id = 0").collect()} == {'the token = "" and so on'}
+
+
 def test_copies_do_not_hide_a_disclosing_term(make_docs):
     near = [f"today number{k} Zebedeus wrote from zq@mail.org about item{k} and" for k in range(4)]
     other = [f"then row{k} someone wrote from user{k}@host{k}.org about thing{k} and" for k in range(150)]
