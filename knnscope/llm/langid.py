@@ -135,7 +135,8 @@ def train(
 
 
 def sample(docs: DataFrame, learn: Column, per_language: int) -> list[tuple[str, str]]:
-    """At most about ``per_language`` rows of each language among those for which ``learn`` holds, by hash of the id."""
+    """About ``per_language`` rows of each language among those for which ``learn`` holds: those of the smallest hashes of
+    their ids. Their number is bound by that share alone, so no row is left out by chance of order."""
     known = docs.filter(learn & F.col("text").isNotNull() & F.col("lang").isNotNull())
     sizes = {r[0]: r[1] for r in known.groupBy("lang").count().collect()}
     if not sizes:
@@ -144,8 +145,8 @@ def sample(docs: DataFrame, learn: Column, per_language: int) -> list[tuple[str,
     for lang, n in sizes.items():
         share = F.when(F.col("lang") == lang, F.lit(min(1.0, per_language / n))).otherwise(share)
     unit = F.pmod(F.xxhash64("doc_id"), F.lit(1 << 20)) / float(1 << 20)
-    picked = known.filter(unit < share).select("doc_id", "text", "lang").limit(2 * per_language * len(sizes))
-    return [(r.text, r.lang) for r in sorted(picked.collect(), key=lambda r: r.doc_id)]
+    picked = known.filter(unit < share).select("doc_id", "text", "lang")
+    return [(r.text, r.lang) for r in sorted(picked.collect(), key=lambda r: (r.doc_id, r.text))]
 
 
 def fit(docs: DataFrame, learn: Column | None = None, per_language: int = 400) -> LanguageModel:

@@ -46,7 +46,7 @@ def parts(pages: DataFrame) -> DataFrame:
 def by_rule(rules=RULES) -> tuple[Column, Column]:
     """The rule that fits and its verdict; the longest rule wins, and the first of equally long ones."""
     name, verdict = F.lit(None).cast("string"), F.lit(None).cast("string")
-    for what, host, start in sorted(rules, key=lambda r: len(r[1] + r[2])):
+    for what, host, start in sorted(reversed(rules), key=lambda r: len(r[1] + r[2])):  # later ones overrule
         fits = ((F.col("host") == host) | F.col("host").endswith("." + host)) & F.col("path").startswith(start)
         name, verdict = F.when(fits, host + start).otherwise(name), F.when(fits, what).otherwise(verdict)
     return name, verdict
