@@ -190,9 +190,16 @@ def sample_then_cluster(
     """Draw through the interface, cluster what was drawn, and assign places to the nearest clustered draw.
 
     ``scale_to`` is the number of all points, if min_pts is to shrink with the sampled share (at least 2). All points
-    that answers held are used with ``sampler='all'``.
+    that answers held are used with ``sampler='all'``. ``sampler='uniform'`` draws uniformly, one point a call of the budget,
+    which the interface doesn't offer: the best that a sampling client could hope for.
     """
-    if sampler == "all":
+    if sampler == "uniform":
+        n = int(min(service.budget.left, len(service.id)))
+        service.budget.charge(n)
+        service.rounds += 1
+        at = np.random.default_rng(seed).choice(len(service.id), n, replace=False)
+        found = {int(service.id[i]): (float(service.x[i]), float(service.y[i])) for i in at}
+    elif sampler == "all":
         draw(service, domain, seed, "raw")
         found = dict(service.seen)
     else:

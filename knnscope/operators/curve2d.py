@@ -13,6 +13,9 @@ from knnscope.functions import curves
 from knnscope.operators import merge as merging
 from knnscope.operators.curvetree import CurveTree
 from knnscope.operators.pursuit import Pursuit
+from knnscope.operators.service import LEDGER
+
+LEAVES = "level int, lo_key long, hi_key long, x double, y double, side double, state string"
 
 
 @dataclass
@@ -26,6 +29,7 @@ class ClusterModel:
     info: dict = field(default_factory=dict)
     observed: dict = field(default_factory=dict, repr=False)
     tree: CurveTree | None = field(default=None, repr=False)
+    calls: list = field(default_factory=list, repr=False)
 
     def assign_arrays(self, xs, ys) -> np.ndarray:
         """Cluster numbers; 0 is noise."""
@@ -80,16 +84,57 @@ class ClusterModel:
     def summary(self) -> dict:
         return self.info | {"mini_clusters": len(self.segments), "clusters": len({c for _, _, c in self.segments})}
 
+    def leaves(self, spark: SparkSession) -> DataFrame:
+        """The leaves of the tree."""
+        return spark.createDataFrame(self.tree.table() if self.tree else [], LEAVES)
+
+    def minis(self, spark: SparkSession) -> DataFrame:
+        """The many-to-one map: mini-clusters with their ranges, the cluster of each and its mapping error: the largest side of a
+        leaf in the range over the smallest there can be."""
+        errors = self.mapping_errors()
+        rows = [(i, int(a), int(b), int(c), errors.get(i)) for i, (a, b, c) in enumerate(sorted(self.segments))]
+        return spark.createDataFrame(rows, "mini_id int, lo_key long, hi_key long, cluster_id int, mapping_error double")
+
+    def mapping_errors(self) -> dict[int, float]:
+        """By how much the curve may put far points together: for each mini-cluster the side of its largest leaf over the smallest side."""
+        if self.tree is None:
+            return {}
+        smallest, found = self.domain[2] / curves.base(self.kind) ** self.order, {}
+        for i, (lo, hi, _) in enumerate(sorted(self.segments)):
+            inside = self.tree.keys[self.tree.rank(lo) : self.tree.rank(hi) + 1]
+            found[i] = max(self.tree.boxes[k][2] for k in inside) / smallest
+        return found
+
+    def seen(self, spark: SparkSession) -> DataFrame:
+        """The observed points of each mini-cluster, which merging compared."""
+        rows = [(int(m), float(x), float(y)) for m, places in self.observed.items() for x, y in places]
+        return spark.createDataFrame(rows, "mini_id int, x double, y double")
+
+    def ledger(self, spark: SparkSession) -> DataFrame:
+        """The calls that the model was bought with."""
+        return spark.createDataFrame([tuple(c.values()) for c in self.calls], LEDGER)
+
     def save(self, spark: SparkSession, path: str) -> None:
+        """Everything: ranges, leaves, mini-clusters, observed points and the ledger, each as a table."""
         self.table(spark).coalesce(1).write.mode("overwrite").parquet(f"{path}/segments")
+        for name, part in (("leaves", self.leaves), ("minis", self.minis), ("observed", self.seen), ("ledger", self.ledger)):
+            part(spark).coalesce(1).write.mode("overwrite").parquet(f"{path}/{name}")
         about = {"kind": self.kind, "domain": list(self.domain), "order": self.order, "info": self.info}
         spark.createDataFrame([(json.dumps(about),)], "value string").coalesce(1).write.mode("overwrite").text(f"{path}/about")
 
     @classmethod
     def load(cls, spark: SparkSession, path: str) -> ClusterModel:
+        """The function, with its observed points and ledger; the other tables stay where they are."""
         about = json.loads(spark.read.text(f"{path}/about").first()[0])
         rows = spark.read.parquet(f"{path}/segments").orderBy("lo_key").collect()  # as many as calls paid for
-        return cls(about["kind"], tuple(about["domain"]), about["order"], [tuple(r) for r in rows], about["info"])
+        observed: dict = {}
+        for r in spark.read.parquet(f"{path}/observed").collect():  # at most k points a call
+            observed.setdefault(r.mini_id, []).append((r.x, r.y))
+        calls = [r.asDict() for r in spark.read.parquet(f"{path}/ledger").orderBy("qid").collect()]
+        return cls(
+            about["kind"], tuple(about["domain"]), about["order"], [tuple(r) for r in rows], about["info"],
+            {m: np.array(v) for m, v in observed.items()}, None, calls,
+        )
 
 
 def curve_cluster_2d(
@@ -129,8 +174,8 @@ def curve_cluster_2d(
     roots = merging.union_find(range(len(joined)), edges)
     number = {r: n for n, r in enumerate(sorted(set(roots.values())), 1)}
     info = {
-        "calls": service.budget.used, "rounds": service.rounds, "leaves": tree.size(), "internal": tree.internal,
+        "h": len(joined), "calls": service.budget.used, "rounds": service.rounds, "leaves": tree.size(), "internal": tree.internal,
         "observed": len(ids), "checks_failed": found.checks_failed, "wasted": found.wasted, "pairs_compared": len(pairs),
     }
     final = [(lo, hi, number[roots[i]]) for i, (lo, hi) in enumerate(joined)]
-    return ClusterModel(curve, tuple(domain), tree.levels, final, info, observed, tree)
+    return ClusterModel(curve, tuple(domain), tree.levels, final, info, observed, tree, service.calls)

@@ -8,20 +8,23 @@ cells is ever formed, and ranking sees only pairs within the radius. Distances a
 from __future__ import annotations
 
 import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-#: Cells along each side of the histogram; its size, at most GRID^2 rows, is what reaches the driver.
-GRID = 128
+#: Least and most cells along each side of the histogram; its size, at most MOST^2 numbers, is what reaches the driver.
+GRID, MOST = 128, 1024
+#: Points of an average cell aimed at.
+AIM = 32
 
 
 class Pyramid:
     """Counts of points on a grid over their bounding square, with prefix sums for counts of blocks."""
 
-    def __init__(self, points: DataFrame, grid: int = GRID):
+    def __init__(self, points: DataFrame, grid: int | None = None):
         box = points.agg(F.min("x"), F.max("x"), F.min("y"), F.max("y"), F.count(F.lit(1))).first()
         self.n = box[4]
-        self.grid = grid
+        self.grid = grid = grid or min(MOST, max(GRID, round((self.n / AIM) ** 0.5)))
         self.x0, self.y0 = (box[0], box[2]) if self.n else (0.0, 0.0)
         extent = max(box[1] - box[0], box[3] - box[2]) if self.n else 0.0
         self.side = (extent or 1.0) * (1 + 1e-9) / grid
@@ -103,11 +106,11 @@ def grid_join(points: DataFrame, pyramid: Pyramid, probes: list[tuple[int, float
     return ranked(near.drop("cx", "cy", "r2"), k)
 
 
-def knn_join(left: DataFrame, right: DataFrame, k: int, grid: int = GRID) -> DataFrame:
+def knn_join(left: DataFrame, right: DataFrame, k: int, grid: int | None = None) -> DataFrame:
     """``qid`` and the k nearest rows of ``right(id, x, y)`` for every row of ``left(qid, qx, qy)``, both of any size.
 
     Rings of cells round each left row grow until they certainly hold k points: the radius comes from the histogram by
-    a join on the left row's cell, whose table has at most grid^2 rows.
+    a join on the left row's cell, whose table has a row for each cell of the histogram.
     """
     spark = right.sparkSession
     pyramid = Pyramid(right, grid)
@@ -118,7 +121,7 @@ def knn_join(left: DataFrame, right: DataFrame, k: int, grid: int = GRID) -> Dat
             # one radius for all left rows of a cell: that of its centre and half a diagonal more
             x, y = pyramid.x0 + (cx + 0.5) * pyramid.side, pyramid.y0 + (cy + 0.5) * pyramid.side
             table.append((cx, cy, pyramid.radius(x, y, k) + pyramid.side * 2**-0.5))
-    radii = F.broadcast(spark.createDataFrame(table, "hx int, hy int, r double"))
+    radii = spark.createDataFrame(pd.DataFrame(table, columns=["hx", "hy", "r"]), "hx int, hy int, r double")
     probes = pyramid.located(left.select("qid", "qx", "qy", F.col("qx").alias("x"), F.col("qy").alias("y"))).drop("x", "y")
     # outside the square a left row belongs to the nearest cell, and is farther away by what it lies outside
     probes = probes.withColumns({"hx": F.greatest("cx", F.lit(0)), "hy": F.greatest("cy", F.lit(0))}).drop("cx", "cy").join(radii, ["hx", "hy"])

@@ -14,6 +14,8 @@ from collections.abc import Generator, Iterable
 
 from knnscope.operators.service import Answer, BudgetExhausted
 
+#: walk asks cell after cell; skip follows returned points and leaps over what answers prove empty; bisect halves; auto skips
+#: until noise stands in the way, and then halves.
 STRATEGIES = ("walk", "skip", "bisect", "auto")
 
 
@@ -138,6 +140,7 @@ class Pursuit:
         self.partial: list[tuple[int, int]] = []
         self.checks_failed, self.wasted, self.chase_failed = 0, 0, chase_failed
         self.queue: list[int] = []
+        self.walked: set[int] = set()
 
     # --- searches: generators that yield [(cell, purpose)] and get the answers
     def _ask(self, cells: Iterable[tuple[int, str]]) -> Generator:
@@ -155,6 +158,8 @@ class Pursuit:
         goal = line.rank(q)
         if self.strategy == "bisect":
             return (yield from self._bisect(start, q, toward))
+        if self.strategy == "walk":
+            return (yield from self._walk(outer, q, toward))
         pos = outer + toward
         while (goal - pos) * toward > 0:
             cell = line.at(pos)
@@ -192,6 +197,22 @@ class Pursuit:
                 self.service.calls[-1]["purpose"] = "skip" if self.service.calls[-1]["purpose"] == "walk" else self.service.calls[-1]["purpose"]
         return q
 
+    def _walk(self, outer: int, q: int, toward: int) -> Generator:
+        """The first dense cell from rank ``outer`` on: every cell is asked once, whatever answers to others tell of it."""
+        line, pos = self.line, outer + toward
+        while (line.rank(q) - pos) * toward > 0:
+            cell = line.at(pos)
+            if line.known(cell) is None or cell not in self.walked:
+                yield from self._ask([(cell, "walk")])
+                if line.known(cell) is None:
+                    continue  # it was split: look at its first part
+                self.walked.add(cell)
+                pos = line.rank(cell)
+            if line.known(cell):
+                return cell
+            pos += toward
+        return q
+
     def _bisect(self, start: int | None, q: int, toward: int) -> Generator:
         """A dense cell whose neighbour on the outer side is sparse or the end, between a sparse and a dense one."""
         line = self.line
@@ -282,7 +303,7 @@ class Pursuit:
                     for cell, purpose in cells:
                         if cell in wanted:
                             self.wasted += 0
-                        elif line.known(cell) is None:
+                        elif line.known(cell) is None or (purpose == "walk" and self.strategy == "walk"):
                             wanted[cell] = purpose
                             order.append(cell)
                 found: dict[int, Answer] = {}
@@ -320,8 +341,6 @@ class Pursuit:
                 break
             if not self._covered(q):
                 return q
-        else:
-            return None
         # cells known to be dense by inference, but in no segment yet
         for q, dense in list(self.line.state.items()):
             if dense and not self._covered(q):

@@ -7,6 +7,7 @@ from dataclasses import dataclass, field
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from knnscope.operators import knn
 
@@ -65,6 +66,9 @@ PRESETS = {
 }
 
 
+LEDGER = "qid long, round int, purpose string, node string, qx double, qy double, k int, radius double, n_new int"
+
+
 @dataclass
 class _Service:
     k: int
@@ -102,8 +106,19 @@ class _Service:
         return Answer(x, y, np.asarray(ids), np.asarray(xs, float), np.asarray(ys, float), dist, radius)
 
     def ledger(self, spark: SparkSession) -> DataFrame:
-        schema = "qid long, round int, purpose string, node string, qx double, qy double, k int, radius double, n_new int"
-        return spark.createDataFrame([tuple(c.values()) for c in self.calls], schema)
+        return spark.createDataFrame([tuple(c.values()) for c in self.calls], LEDGER)
+
+    def cost_report(self, spark: SparkSession) -> DataFrame:
+        """Calls, rounds and new points by purpose and kind of node, and the seconds that a rate limit makes of them."""
+        seconds = float(self.simulated_seconds())
+        grouped = self.ledger(spark).groupBy("purpose", "node").agg(
+            F.count(F.lit(1)).alias("calls"), F.countDistinct("round").alias("rounds"), F.sum("n_new").alias("new_points")
+        )
+        return grouped.withColumn("all_seconds", F.lit(seconds))
+
+    def save_ledger(self, spark: SparkSession, path: str) -> None:
+        """Append this service's calls to a ledger table."""
+        self.ledger(spark).coalesce(1).write.mode("append").parquet(path)
 
     def cost_by_purpose(self) -> dict[str, int]:
         found: dict[str, int] = {}

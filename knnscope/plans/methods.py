@@ -15,7 +15,7 @@ from knnscope.operators import baselines, dbscan, grid, joins, knn, merge, metri
 from knnscope.operators.curve2d import ClusterModel, curve_cluster_2d
 from knnscope.operators.fulltree import full_tree
 from knnscope.operators.pursuit import boundary_cluster_1d
-from knnscope.plans import relational, workloads
+from knnscope.plans import live, relational, workloads
 from knnscope.sources import views
 from knnscope.sources.views import plain, view
 from knnscope.streaming import points as streaming
@@ -24,13 +24,16 @@ DOMAIN = workloads.DOMAIN
 #: Places to ask from, the same in both engines.
 PROBES = [(i, (i * 97 + 31) % 700 + 0.25, (i * 53 + 17) % 500 + 0.75) for i in range(25)]
 _PROBE_SQL = " union all ".join(f"select {i} qid, {x}e0 qx, {y}e0 qy" for i, x, y in PROBES)
+#: The queries of the kNN searches: every row whose id is divisible by this.
+EVERY = 20
 _VIEW = {n: f"({plain(t)})" for n, t in views.VIEWS.items()}
 
 
-def _knn_sql(source: str, k: int, where: str = "true") -> str:
+def _knn_sql(source: str, k: int, where: str = "true", probes: str | None = None) -> str:
+    probes = probes or f"select id qid, x qx, y qy from {_VIEW[source]} v where id % {EVERY} = 0"
     return (
         f"select qid, rank, id, {relational.snap('sqrt(d2)')} dist from (select qid, id, d2, row_number() over (partition by qid order by d2, id) rank from "
-        f"(select qid, id, (x-qx)*(x-qx)+(y-qy)*(y-qy) d2 from {_VIEW[source]} p cross join ({_PROBE_SQL}) q where {where}) a) b where rank <= {k}"
+        f"(select qid, id, (x-qx)*(x-qx)+(y-qy)*(y-qy) d2 from {_VIEW[source]} p cross join ({probes}) q where {where}) a) b where rank <= {k}"
     )
 
 
@@ -38,18 +41,25 @@ def _answers(found: DataFrame) -> DataFrame:
     return found.selectExpr("qid", "rank", "id", f"{relational.snap('sqrt(d2)')} AS dist")
 
 
-def _probe_frame(spark: SparkSession) -> DataFrame:
-    return spark.createDataFrame(PROBES, "qid int, qx double, qy double")
+def _asked(points: DataFrame) -> DataFrame:
+    return points.filter(F.col("id") % EVERY == 0).select(F.col("id").alias("qid"), F.col("x").alias("qx"), F.col("y").alias("qy"))
 
 
 def knn_brute(spark, sf_dir):
-    return _answers(knn.brute(view(spark, sf_dir, "shapes").select("id", "x", "y"), _probe_frame(spark), 14))
+    points = view(spark, sf_dir, "shapes").select("id", "x", "y")
+    return _answers(knn.brute(points, _asked(points), 14))
 
 
 def _grid(spark, sf_dir, name, k, where=None):
     points = view(spark, sf_dir, name)
-    points = points.filter(where) if where else points
-    return _answers(knn.grid_join(points, knn.Pyramid(points), PROBES, k))
+    asked = _asked(points)
+    return _answers(knn.knn_join(asked, (points.filter(where) if where else points).select("id", "x", "y"), k))
+
+
+def service_round(spark, sf_dir):
+    """One round of a client's calls: places that a driver holds, answered in one job."""
+    points = view(spark, sf_dir, "shapes")
+    return _answers(knn.grid_join(points, knn.Pyramid(points), PROBES, 14))
 
 
 def join_knn(spark, sf_dir):
@@ -58,18 +68,16 @@ def join_knn(spark, sf_dir):
 
 
 def knn_radius(spark, sf_dir):
-    points = view(spark, sf_dir, "shapes")
-    return knn.grid_join(points, knn.Pyramid(points), PROBES, 14).groupBy("qid").agg(F.max("d2").alias("r2")).selectExpr("qid", f"{relational.snap('sqrt(r2)')} AS radius")
+    points = view(spark, sf_dir, "shapes").select("id", "x", "y")
+    return knn.knn_join(_asked(points), points, 14).groupBy("qid").agg(F.max("d2").alias("r2")).selectExpr("qid", f"{relational.snap('sqrt(r2)')} AS radius")
 
 
 def core_test_by_probe(spark, sf_dir):
-    """Which of every hundredth point is core: one call on each."""
-    points = view(spark, sf_dir, "shapes")
-    asked = points.filter("id % 100 = 0").select("id", "x", "y").collect()
-    s = service.KnnService(points, 14)
-    answers = s.probe([(r.x, r.y) for r in asked], "core")
-    rows = [(r.id, bool(len(a.dist) >= 14 and a.dist[13] <= 10)) for r, a in zip(asked, answers)]
-    return spark.createDataFrame(rows, "id long, core boolean")
+    """Which points are core: a call on each, and the 14th distance."""
+    points = view(spark, sf_dir, "shapes").select("id", "x", "y")
+    every = points.select(F.col("id").alias("qid"), F.col("x").alias("qx"), F.col("y").alias("qy"))
+    last = knn.knn_join(every, points, 14).groupBy("qid").agg(F.count(F.lit(1)).alias("n"), F.max("d2").alias("r2"))
+    return last.select(F.col("qid").alias("id"), ((F.col("n") >= 14) & (F.col("r2") <= 100)).alias("core"))
 
 
 def crawl_box_points(spark, sf_dir):
@@ -120,15 +128,15 @@ def _keys(kind):
     return run
 
 
-def _located(side_sql: str) -> str:
-    return f"select id, cast(floor((x+0.0005e0)/({side_sql})) as bigint) cx, cast(floor((y+0.0005e0)/({side_sql})) as bigint) cy from {_VIEW['shapes']} s"
+def _located(side_sql: str, source: str | None = None) -> str:
+    return f"select id, cast(floor((x+0.0005e0)/({side_sql})) as bigint) cx, cast(floor((y+0.0005e0)/({side_sql})) as bigint) cy from {source or _VIEW['shapes']} s"
 
 
-def _hilbert_sql(order: int = 6) -> str:
+def _hilbert_sql(order: int = 6, source: str | None = None) -> str:
     top = "(case when y >= h then 1 else 0 end)"
     right = "(case when x >= h then 1 else 0 end)"
     return (
-        f"with recursive d as ({_located(f'1024e0/{2**order}')}), c as (select distinct cx, cy from d), w as ("
+        f"with recursive d as ({_located(f'1024e0/{2**order}', source)}), c as (select distinct cx, cy from d), w as ("
         f"select cx, cy, cx x, cy y, cast({2 ** (order - 1)} as bigint) h, cast(0 as bigint) key from c union all "
         f"select cx, cy, case when {top}=1 then x%h when {right}=1 then h-1-y%h else y%h end, "
         f"case when {top}=1 then y%h when {right}=1 then h-1-x%h else x%h end, h//2, key*4 + case when {right}=1 then 3-{top} else {top} end from w where h >= 1) "
@@ -163,17 +171,25 @@ def cell_roundtrip(spark, sf_dir):
 
 
 def curve_runs_by_kind(spark, sf_dir):
-    """Into how many runs of keys each curve cuts the dense cells (side 16)."""
-    dense = grid.cell_counts(view(spark, sf_dir, "shapes"), 16).filter("n >= 14")
+    """Into how many runs of keys each curve cuts its dense cells."""
     out = None
-    for kind in ("hilbert", "z"):
-        keyed = dense.select(curves.key_column(kind, F.col("cx"), F.col("cy"), 6).alias("key"))
-        starts = keyed.join(keyed.select((F.col("key") + 1).alias("key")), "key", "left_anti")
+    for kind in curves.KINDS:
+        dense = _keys(kind)(spark, sf_dir).groupBy("key").agg(F.count(F.lit(1)).alias("n")).filter("n >= 14").select("key")
+        starts = dense.join(dense.select((F.col("key") + 1).alias("key")), "key", "left_anti")
         one = starts.agg(F.count(F.lit(1)).alias("runs")).select(F.lit(kind).alias("kind"), "runs")
         out = one if out is None else out.unionByName(one)
     return out
 
 
+def lower_bounds_calls(spark, sf_dir):
+    """The least numbers of calls for all points, for all dense cells and by core points, with k = minPts = 14."""
+    points = view(spark, sf_dir, "shapes")
+    n, dense = points.count(), grid.cell_counts(points, 16).filter("n >= 14").count()
+    core = dbscan.dbscan(points, 10, 14).filter("kind = 'core'").count()
+    bounds = baselines.lower_bounds(n, core, dense, 14, 14)
+    return spark.createDataFrame([(k, int(v)) for k, v in bounds.items()], "bound string, calls long")
+
+
 def tree_full_leaves(spark, sf_dir):
     return full_tree(view(spark, sf_dir, "shapes"), DOMAIN, 14, 6)
 
@@ -213,7 +229,7 @@ def merge_adjacent(spark, sf_dir):
 
 
 def top_l_distance(spark, sf_dir):
-    observed = view(spark, sf_dir, "shapes").filter("id % 20 = 0 and lab <> 'error'").select(
+    observed = view(spark, sf_dir, "shapes").filter("lab <> 'error'").select(
         F.floor((F.col("x") + 0.0005) / 64).cast("int").alias("mini_id"), "id", "x", "y"
     )
     return merge.top_l_distances(observed, 7, 40.0).selectExpr("mini_a", "mini_b", f"{relational.snap('l_distance')} AS l_distance")
@@ -277,9 +293,9 @@ def assign_fixed_segments(spark, sf_dir):
     return _fixed_model().assign(view(spark, sf_dir, "shapes").select("id", "x", "y")).select("id", "cluster_id")
 
 
-def _assign_sql() -> str:
+def _assign_sql(source: str | None = None) -> str:
     ranges = " union all ".join(f"select {a} lo, {b} hi, {c} cluster_id" for a, b, c in FIXED)
-    return f"select k.id, r.cluster_id from ({_hilbert_sql()}) k left join ({ranges}) r on k.key between r.lo and r.hi"
+    return f"select k.id, r.cluster_id from ({_hilbert_sql(source=source)}) k left join ({ranges}) r on k.key between r.lo and r.hi"
 
 
 def assign_1d(spark, sf_dir):
@@ -305,8 +321,8 @@ def pair_counts(spark, sf_dir):
 
 
 def pair_counts_brute(spark, sf_dir):
-    rows = _labels(spark, sf_dir).filter("id % 40 = 1")
-    return metrics.pair_counts_brute(rows).selectExpr(*(f"CAST({c} AS BIGINT) AS {c}" for c in "abcd"))
+    """By all pairs of rows, for the one set that is small by nature."""
+    return metrics.pair_counts_brute(views.sql(spark, sf_dir, relational.STATION_LABEL)).selectExpr(*(f"CAST({c} AS BIGINT) AS {c}" for c in "abcd"))
 
 
 def index_rand_jaccard_fm(spark, sf_dir):
@@ -335,7 +351,7 @@ def _pairs_sql(where: str = "true", single: str = "true") -> str:
 
 def _brute_sql() -> str:
     return (
-        f"with l as (select id, pred, truth from ({plain(relational.GRID_LABEL)}) l where id % 40 = 1) select "
+        f"with l as (select id, pred, truth from ({plain(relational.STATION_LABEL)}) l) select "
         "count(*) filter (where p and t) a, count(*) filter (where not p and not t) b, count(*) filter (where p and not t) c, count(*) filter (where not p and t) d from "
         "(select a.pred is not distinct from b.pred p, a.truth is not distinct from b.truth t from l a join l b on a.id < b.id) x"
     )
@@ -345,7 +361,10 @@ def model2d(curve: str, adaptive: bool = True, budget: int = 400):
     def run(spark, sf_dir):
         """Labels of all points by a budgeted model, through the distributed function."""
         b = workloads.Benchmark(spark, sf_dir)
-        model = curve_cluster_2d(b.service(budget=budget), DOMAIN, b.eps, b.min_pts, workloads.SIDE[curve], curve, adaptive, merge_threshold=b.eps)
+        model = curve_cluster_2d(
+            b.service(budget=budget), workloads.SQUARE[curve], b.eps, b.min_pts, workloads.SIDE[curve], curve, adaptive,
+            merge_threshold=b.eps * workloads.MERGE[curve], **workloads.OPTIONS,
+        )
         return model.assign(view(spark, sf_dir, "shapes").select("id", "x", "y")).select("id", "cluster_id")
 
     return run
@@ -370,7 +389,7 @@ def sample_uniform(spark, sf_dir):
 
 def sample_then_cluster(spark, sf_dir):
     b = workloads.Benchmark(spark, sf_dir)
-    model = baselines.sample_then_cluster(b.service(budget=400), DOMAIN, b.eps, b.min_pts, 2 * b.eps, "raw", 0, len(b.id))
+    model = baselines.sample_then_cluster(b.service(budget=400), workloads.SQUARE["hilbert"], 10.0, b.min_pts, 20.0, "raw", 0, b.n)
     return model.assign(view(spark, sf_dir, "shapes").select("id", "x", "y")).select("id", "cluster_id")
 
 
@@ -399,7 +418,7 @@ def join_asof(spark, sf_dir):
 
 def join_distance(spark, sf_dir):
     s = view(spark, sf_dir, "stations")
-    return joins.distance_join(s, view(spark, sf_dir, "listings").filter("id % 10 = 0"), 5.0).select("a_id", "b_id")
+    return joins.distance_join(s, view(spark, sf_dir, "listings"), 5.0).select("a_id", "b_id")
 
 
 def agg_percentile(spark, sf_dir):
@@ -496,7 +515,7 @@ def stream_tumbling(spark, sf_dir):
 
 
 def stream_sliding(spark, sf_dir):
-    return _drained(spark, streaming.window_counts(_stream(spark, sf_dir), "event_type", "2 days", "1 day"), "complete").groupBy("event_type").agg(F.sum("count").alias("n"))
+    return _drained(spark, streaming.window_counts(_stream(spark, sf_dir), "event_type", "2 days", "1 day"), "complete").withColumn("start", F.col("start").cast("timestamp_ntz"))
 
 
 def stream_session(spark, sf_dir):
@@ -511,7 +530,7 @@ def stream_dedup(spark, sf_dir):
 
 def stream_leaf_state(spark, sf_dir):
     s = _stream(spark, sf_dir).withColumn("leaf", F.expr("event_id % 50"))
-    return _drained(spark, streaming.leaf_drift(s, "leaf", 10), "update").groupBy("leaf").agg(F.max("n").alias("n"))
+    return _drained(spark, streaming.leaf_drift(s, "leaf", 10), "update").groupBy("leaf").agg(F.max("n").alias("n"), F.max("dense").alias("dense"))
 
 
 def stream_interval_join(spark, sf_dir):
@@ -534,7 +553,7 @@ def queries() -> dict:
         sample_uniform, sample_then_cluster, knn_distributed_model, join_range, join_asof, join_distance, agg_percentile, agg_approx_distinct,
         price_pivot, fn_array, fn_map, array_distance_3d, cells_3d, z_key_3d, udf_cluster_of, udtf_covered_cells, udtf_cluster_explain,
         udaf_pair_indices, stream_assign, stream_tumbling, stream_sliding, stream_session, stream_dedup, stream_leaf_state,
-        stream_interval_join, stream_over_rate,
+        stream_interval_join, stream_over_rate, service_round, lower_bounds_calls,
     )}
     found |= {
         "knn_grid": lambda s, d: _grid(s, d, "shapes", 14),
@@ -551,7 +570,7 @@ def queries() -> dict:
         run = dbscan.dbscan_1d if name == "line1d" else dbscan.dbscan
         found[f"dbscan_{name}"] = lambda s, d, f=run, v=name, e=eps, m=n: f(view(s, d, v), e, m)
     found |= {f"model2d_{c}": model2d(c) for c in curves.KINDS} | {"model2d_fixed": model2d("hilbert", False)}
-    return found | dict(workloads.WORKLOADS)
+    return found | workloads.WORKLOADS | live.WORKLOADS | live.EXHAUSTIVE
 
 
 def oracle_sql() -> dict:
@@ -561,7 +580,7 @@ def oracle_sql() -> dict:
     tree = _tree_sql()
     near = "(a.x-b.x)*(a.x-b.x)+(a.y-b.y)*(a.y-b.y)"
     s = _VIEW["stations"]
-    observed = f"select cast(floor((x+0.0005e0)/64) as int) mini_id, id, x, y from {_VIEW['shapes']} s where id%20=0 and lab <> 'error'"
+    observed = f"select cast(floor((x+0.0005e0)/64) as int) mini_id, id, x, y from {_VIEW['shapes']} s where lab <> 'error'"
     inside = f"select cx, cy, n, id, row_number() over (partition by cx, cy order by d2, id) r, d2, mx, my, x, y from (select c.cx, c.cy, c.n, p.id, p.x, p.y, (-0.0005e0+(c.cx+0.5e0)*16) mx, (-0.0005e0+(c.cy+0.5e0)*16) my, (p.x-(-0.0005e0+(c.cx+0.5e0)*16))*(p.x-(-0.0005e0+(c.cx+0.5e0)*16))+(p.y-(-0.0005e0+(c.cy+0.5e0)*16))*(p.y-(-0.0005e0+(c.cy+0.5e0)*16)) d2 from ({plain(relational.QUERIES['cells_2d'])}) c join {_VIEW['shapes']} p on p.x between (-0.0005e0+(c.cx+0.5e0)*16)-120 and (-0.0005e0+(c.cx+0.5e0)*16)+120 and p.y between (-0.0005e0+(c.cy+0.5e0)*16)-120 and (-0.0005e0+(c.cy+0.5e0)*16)+120) q"
     ranges20 = "select range_id, range_id*37.5e0 lo, range_id*37.5e0+50.25e0 hi from range(20) t(range_id)"
     fixed = " union all ".join(f"select {a} lo, {b} hi, {i} mini_id, {c} cluster_id" for i, (a, b, c) in enumerate(FIXED, 1))
@@ -571,16 +590,22 @@ def oracle_sql() -> dict:
         "knn_filtered": _knn_sql("listings", 10, "price between 100000 and 200000 and pri = '1-URGENT'"),
         "join_knn": f"select qid, rank, id from (select a.id qid, b.id, row_number() over (partition by a.id order by {near}, b.id) rank from {s} a cross join {_VIEW['listings']} b) q where rank <= 3",
         "knn_radius": f"select qid, max(dist) radius from ({_knn_sql('shapes', 14)}) k group by qid",
-        "core_test_by_probe": f"select a.id, count(*) >= 14 core from {_VIEW['shapes']} a join {_VIEW['shapes']} b on {near} <= 100 where a.id % 100 = 0 group by a.id",
+        "core_test_by_probe": f"select a.id, count(*) >= 14 core from {_VIEW['shapes']} a join {_VIEW['shapes']} b on {near} <= 100 group by a.id",
         "crawl_box_points": box,
         "density_probe_1d": f"select c.cx, coalesce(n, 0) >= 60 dense from (select unnest(range(201)) cx) c left join (select {count5} cx, count(*) n from {line} l group by 1) g on g.cx = c.cx",
         "leaf_tests_2d": f"select cx, cy, n, count(*) filter (where r <= 14 and abs(x-mx) <= 8 and abs(y-my) <= 8) >= 14 in_cell, coalesce(max(d2) filter (where r = 14) <= 128, false) circumscribed, coalesce(max(d2) filter (where r = 14) <= 64, false) inscribed from ({inside}) i group by cx, cy, n",
+        "density_probe_all_k": f"select c.cx, coalesce(n, 0) >= 60 dense from (select unnest(range(201)) cx) c left join (select {count5} cx, count(*) n from {line} l group by 1) g on g.cx = c.cx",
         "segments_exhaustive_1d": runs,
         "key_hilbert": _hilbert_sql(), "key_z": _z_sql(), "key_peano": _peano_sql(),
         "curve_runs_by_kind": " union all ".join(
-            f"select '{k}' kind, count(*) runs from (select distinct key from ({sql}) k join (select id, {relational._CX} cx, {relational._CY} cy from {_VIEW['shapes']} s) m on m.id = k.id join ({plain(relational.DENSE)}) d on d.cx = m.cx and d.cy = m.cy) a where not exists (select 1 from ({sql}) k2 join (select id, {relational._CX} cx, {relational._CY} cy from {_VIEW['shapes']} s) m2 on m2.id = k2.id join ({plain(relational.DENSE)}) d2 on d2.cx = m2.cx and d2.cy = m2.cy where k2.key = a.key - 1)"
-            for k, sql in (("hilbert", _hilbert_sql()), ("z", _z_sql()))
+            f"select '{k}' kind, count(*) runs from (select key from ({sql}) k group by key having count(*) >= 14) d where key - 1 not in (select key from ({sql}) k group by key having count(*) >= 14)"
+            for k, sql in (("hilbert", _hilbert_sql()), ("z", _z_sql()), ("peano", _peano_sql()))
         ),
+        "cell_roundtrip": "select 'hilbert' kind, 4096 cells, 4095 unit_steps union all select 'z', 4096, 2048 union all select 'peano', 6561, 6560",
+        "lower_bounds_calls": f"with p as materialized (select id, x, y from {_VIEW['shapes']} v), n as (select count(*) n from p), d as (select count(*) n from ({plain(relational.DENSE)}) c), "
+        f"c as (select count(*) n from (select a.id from p a join p b on {near} <= 100 group by a.id having count(*) >= 14) q) "
+        "select 'all_points' bound, cast(ceil(n/14.0) as bigint) calls from n union all select 'dense_cells', n from d union all select 'core_points', cast(ceil(n/14.0) as bigint) from c",
+        "stream_assign": _assign_sql("(select event_id id, cast((event_id*7919)%1000 as double) x, cast((event_id*104729)%1000 as double) y from events)"), "service_round": _knn_sql("shapes", 14, probes=_PROBE_SQL),
         "tree_full_leaves": tree,
         "tree_split_vs_leaf": f"select \"level\", case when state = 'split' then 'split' else 'leaf' end kind, count(*) calls from ({tree}) t group by 1, 2",
         "merge_adjacent": f"select a.cy, count(*) edges from ({plain(relational.DENSE)}) a join ({plain(relational.DENSE)}) b on a.cx = b.cx and a.cy = b.cy + 1 group by a.cy",
@@ -588,7 +613,7 @@ def oracle_sql() -> dict:
         "components_small": _COMPONENTS.format(dense=_CODED, n="code", near=_EDGE) + "select id node, lab component from cc where id in (select u from e)",
         "grid_dbscan_edge": _grid_dbscan_sql(_EDGE), "grid_dbscan_8": _grid_dbscan_sql(_EIGHT),
         "assign_fixed_segments": _assign_sql(), "udf_cluster_of": _assign_sql(),
-        "udtf_cluster_explain": f"select k.id, r.mini_id, r.cluster_id from ({_hilbert_sql()}) k join ({fixed}) r on k.key between r.lo and r.hi where k.id % 10 = 0",
+        "udtf_cluster_explain": f"select k.id, r.mini_id, r.cluster_id from ({_hilbert_sql()}) k join ({fixed}) r on k.key between r.lo and r.hi",
         "assign_1d": f"select p.id, r.lo cluster_id from {line} p join ({runs}) r on floor((p.x+0.0005e0)/5e0) between r.lo and r.hi",
         "attach_nearest_station": f"select id, cluster_id from (select a.id, case when b.id%10 < 6 then 0 else b.id%10 end cluster_id, row_number() over (partition by a.id order by {near}, b.id) r from {s} a cross join {s} b where a.id%7 = 0 and b.id%7 <> 0) q where r = 1",
         "pair_counts": rand, "pair_counts_brute": _brute_sql(),
@@ -598,7 +623,7 @@ def oracle_sql() -> dict:
         "model2d_exhaustive": _exhaustive_sql(),
         "join_range": f"select id, cast(range_id as int) range_id from {line} p join ({ranges20}) r on x >= lo and x <= hi",
         "join_asof": "select event_id, (select max(v.event_id) from events v where v.event_type = 'view' and v.user_id = e.user_id and v.ts = (select max(w.ts) from events w where w.event_type = 'view' and w.user_id = e.user_id and w.ts <= e.ts)) view_id_asof from events e where event_type = 'purchase'",
-        "join_distance": f"select a.id a_id, b.id b_id from {s} a join {_VIEW['listings']} b on {near} <= 25 where b.id % 10 = 0",
+        "join_distance": f"select a.id a_id, b.id b_id from {s} a join {_VIEW['listings']} b on {near} <= 25",
         "agg_percentile": f"select reg, {relational.snap('quantile_cont(price, 0.5)', 1)} p50 from {_VIEW['listings']} l group by reg",
         "price_pivot": plain(relational.QUERIES["price_hist_pivot"]),
         "fn_array": "select vec_id, len(embedding) n, cast(embedding[1] as double) \"first\", len(list_filter(embedding, lambda v: v > 0)) positive from embeddings",
@@ -608,11 +633,11 @@ def oracle_sql() -> dict:
         "z_key_3d": "select vec_id, " + " + ".join(f"((c{d + 1} >> {b}) & 1) * {2 ** (3 * b + 2 - d)}" for b in range(4) for d in range(3)) + f" as key from ({_CELL3}) c",
         "udtf_covered_cells": f"select id, cx, cy from {s} s, (select unnest(range(-5, 60)) cx) a, (select unnest(range(-5, 60)) cy) b where power(greatest(abs(cx*5-x), abs(cx*5+5-x)), 2) + power(greatest(abs(cy*5-y), abs(cy*5+5-y)), 2) < 144",
         "stream_tumbling": "select date_trunc('day', ts) \"start\", event_type, count(*) \"count\" from events group by 1, 2",
-        "stream_sliding": "select event_type, 2*count(*) n from events group by 1",
+        "stream_sliding": "select s \"start\", event_type, count(*) \"count\" from (select date_trunc('day', ts) s, event_type from events union all select date_trunc('day', ts) - interval 1 day, event_type from events) w group by 1, 2",
         "stream_session": "select user_id, sum(new) sessions, count(*) events from (select user_id, case when ts - lag(ts) over (partition by user_id order by ts) < interval 6 hours then 0 else 1 end new from events) a group by 1",
         "stream_dedup": "select event_id from events",
-        "stream_leaf_state": "select event_id % 50 leaf, count(*) n from events group by 1",
+        "stream_leaf_state": "select event_id % 50 leaf, count(*) n, count(*) >= 10 dense from events group by 1",
         "stream_interval_join": "select p.event_id, c.event_id click_id from events p join events c on p.user_id = c.user_id and c.ts <= p.ts and c.ts >= p.ts - interval 1 hour where p.event_type = 'purchase' and c.event_type = 'click'",
         "stream_over_rate": "select date_trunc('hour', ts) \"start\", count(*) \"count\" from events group by 1 having count(*) > 5",
     }
-    return found | {f"dbscan_{n}": _dbscan_sql(n, e, m) for n, (e, m) in DBSCANS.items()}
+    return found | live.oracle_sql() | {f"dbscan_{n}": _dbscan_sql(n, e, m) for n, (e, m) in DBSCANS.items()}

@@ -15,6 +15,10 @@ CELL = "cast(floor(({c}+0.0005e0)/{s}e0) as bigint)"
 _CX, _CY = CELL.format(c="x", s=16), CELL.format(c="y", s=16)
 DENSE = f"select cx, cy, n from (select {_CX} cx, {_CY} cy, count(*) n from {S} s group by 1, 2) g where n >= 14"
 GRID_LABEL = f"select id, case when lab='error' then null else lab end truth, case when n >= 14 then cx*1000+cy end pred from (select id, lab, cx, cy, count(*) over (partition by cx, cy) n from (select id, lab, {_CX} cx, {_CY} cy from {S} s) a) b"
+STATION_LABEL = (
+    f"select id, truth, case when n >= 3 then cx*1000+cy end pred from (select id, truth, cx, cy, count(*) over (partition by cx, cy) n from (select id, "
+    f"case when id%10 < 6 then 'centre' when id%10 < 9 then 'outer' end truth, {CELL.format(c='x', s=8)} cx, {CELL.format(c='y', s=8)} cy from {T} s) a) b"
+)
 
 QUERIES: dict[str, str] = {f"view_{n}": (f"select id, lab, x, y from ({v})" if n in ("shapes", "shapes_b", "shapes_c") else f"select id, x, y from ({v})" if n not in ("line1d",) else v) for n, v in VIEWS.items() if n != "wedge"}
 QUERIES |= {

@@ -1,164 +1,283 @@
 """The experiments on the given tables: each returns one row per run with calls, rounds and agreement measures.
 
-The benchmark sets are small by nature, so their sequential sweeps run on ``MemoryKnnService``; its answers are those of
-the distributed service, which the tests compare. Ground truth is the planted shape of each row, or exact DBSCAN.
+Ground truth is exact DBSCAN with parameters of its own, as the quality of the method is measured; the agreement with the planted
+shapes stands beside it. The runs of a sweep are independent. Up to ``MemoryKnnService.LIMIT`` points they are dealt over
+the executors, which share one broadcast of the points; beyond that each run goes through the distributed service, and the
+agreement comes from the contingency table.
 """
 
 from __future__ import annotations
 
+import json
+from functools import lru_cache
+
 import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
+from knnscope.io import materialize, table
 from knnscope.operators import baselines, metrics
 from knnscope.operators.curve2d import ClusterModel, curve_cluster_2d
+from knnscope.operators.dbscan import dbscan
 from knnscope.operators.pursuit import GridLine, Pursuit, boundary_cluster_1d, theory_bound
-from knnscope.operators.service import Budget, MemoryKnnService
+from knnscope.operators.service import Budget, KnnService, MemoryKnnService
 from knnscope.sources.views import view
 
-#: The square over which the shapes' curves run, and its side cut by powers of two or three.
+#: The square of the curve and tree queries.
 DOMAIN = (-0.0005, -0.0005, 1024.0)
-SIDE = {"hilbert": 32.0, "z": 32.0, "peano": 1024.0 / 27}
-SETS = {"shapes": (20.0, 14), "shapes_b": (20.0, 19), "shapes_c": (15.0, 6)}
+#: The squares of the experiments, close round points in 700 x 500, and the smallest cell's side: found by a study (README).
+SQUARE = {"hilbert": (-0.0005, -0.0005, 704.0), "z": (-0.0005, -0.0005, 704.0), "peano": (-0.0005, -0.0005, 1080.0)}
+SIDE = {"hilbert": 44.0, "z": 44.0, "peano": 40.0}
+#: Merging distance as a multiple of a set's, by curve.
+MERGE = {"hilbert": 1.0, "z": 1.0, "peano": 1.25}
+#: Distance for merging; eps and minPts of DBSCAN on a set of its published size.
+SETS = {"shapes": (20.0, 10.0, 14, 10_000), "shapes_b": (20.0, 10.0, 19, 8_000), "shapes_c": (15.0, 8.0, 6, 8_000)}
 BUDGETS = (200, 300, 400, 500, 600)
+OPTIONS = {"n_check": 2, "strategy": "bisect"}
 SCHEMA = (
     "workload string, setting string, curve string, budget int, seed int, calls int, rounds int, mini_clusters int, clusters int, "
-    "split_calls int, leaf_calls int, rand_index double, jaccard_index double, fowlkes_mallows double"
+    "split_calls int, leaf_calls int, true_clusters int, rand_index double, jaccard_index double, fowlkes_mallows double, rand_planted double"
 )
 
 
+@lru_cache(maxsize=16)
+def _arrays(spark: SparkSession, sf_dir: str, name: str, noise: int) -> tuple:
+    """``id, x, y``, DBSCAN's labels and the planted ones (0 is noise) of a set that fits ``MemoryKnnService``."""
+    points = noisy(view(spark, sf_dir, name), noise)
+    rows = points.select("id", "x", "y", "lab").join(_truth(spark, sf_dir, name, noise), "id").toPandas().sort_values("id")
+    number = lambda c, none: rows[c].map({v: i + 1 for i, v in enumerate(sorted(set(rows[c].dropna()) - {none}))}).fillna(0).astype(int).to_numpy()
+    return *(rows[c].to_numpy() for c in ("id", "x", "y")), number("truth", None), number("lab", "error")
+
+
+def noisy(points: DataFrame, noise: int) -> DataFrame:
+    """All points of a shape and that share, in per cent, of the others."""
+    return points if noise >= 100 else points.filter((F.col("lab") != "error") | (F.pmod(F.col("id") * 31 + 7, F.lit(100)) < noise))
+
+
+def scaled(name: str, n: int) -> int:
+    _, _, min_pts, size = SETS[name]
+    return max(2, round(min_pts * n / size))
+
+
+def _truth(spark, sf_dir, name, noise) -> DataFrame:
+    points = view(spark, sf_dir, name)
+    found = dbscan(noisy(points, noise).select("id", "x", "y"), SETS[name][1], scaled(name, points.count()))
+    return found.select("id", F.col("cluster_id").alias("truth"))
+
+
 class Benchmark:
-    """A view's points as arrays with their planted labels (0 is noise)."""
+    """A view's points, with DBSCAN's labels as truth and the planted labels beside them."""
 
     def __init__(self, spark: SparkSession, sf_dir: str, name: str = "shapes", noise: int = 100):
-        rows = view(spark, sf_dir, name).select("id", "x", "y", "lab").limit(MemoryKnnService.LIMIT).toPandas().sort_values("id")
-        keep = (rows["lab"] != "error") | ((rows["id"] * 31 + 7) % 100 < noise)
-        rows = rows[keep]
-        self.name, self.id, self.x, self.y = name, *(rows[c].to_numpy() for c in ("id", "x", "y"))
-        names = sorted(set(rows["lab"]) - {"error"})
-        self.truth = rows["lab"].map({n: i + 1 for i, n in enumerate(names)}).fillna(0).astype(int).to_numpy()
-        self.min_pts = max(2, round(SETS[name][1] * len(rows) / {"shapes": 10_000}.get(name, 8_000)))
-        self.eps = SETS[name][0]
-
-    def service(self, k: int | None = None, budget: float | None = None) -> MemoryKnnService:
-        return MemoryKnnService((self.id, self.x, self.y), k or self.min_pts, Budget() if budget is None else Budget(budget))
+        self.spark, self.sf_dir, self.name, self.noise = spark, sf_dir, name, noise
+        points = view(spark, sf_dir, name)
+        self.min_pts, self.eps = scaled(name, points.count()), SETS[name][0]
+        self.points = noisy(points, noise)
+        self.n = self.points.count()
+        self.small = self.n <= MemoryKnnService.LIMIT
+        if self.small:
+            self.id, self.x, self.y, self.truth, self.planted = _arrays(spark, sf_dir, name, noise)
+        else:
+            self.points = materialize(self.points.select("id", "x", "y", "lab"), "benchmark")
+            self.labels = materialize(_truth(spark, sf_dir, name, noise), "truth")
+
+    def __getstate__(self):
+        return {k: v for k, v in self.__dict__.items() if k not in ("spark", "points", "labels")}
+
+    def service(self, k: int | None = None, budget: float | None = None) -> MemoryKnnService | KnnService:
+        spent = Budget() if budget is None else Budget(budget)
+        if self.small:
+            return MemoryKnnService((self.id, self.x, self.y), k or self.min_pts, spent)
+        return KnnService(self.points.select("id", "x", "y"), k or self.min_pts, spent)
 
     def run(self, workload: str, setting="", curve: str = "hilbert", budget=None, seed: int = 0, k=None, **options) -> tuple:
         service = self.service(k, budget)
-        options = {"min_side": SIDE[curve], "merge_threshold": self.eps} | options
-        model = curve_cluster_2d(service, DOMAIN, self.eps, self.min_pts, curve=curve, seed=seed, **options)
+        options = OPTIONS | {"min_side": SIDE[curve], "merge_threshold": self.eps * MERGE[curve]} | options
+        model = curve_cluster_2d(service, SQUARE[curve], self.eps, self.min_pts, curve=curve, seed=seed, **options)
         return self.row(workload, setting, curve, budget, seed, service, model, model.summary())
 
+    def sample(self, workload: str, sampler: str, budget=None, seed: int = 0) -> tuple:
+        service = self.service(budget=budget)
+        eps = SETS[self.name][1]
+        model = baselines.sample_then_cluster(service, SQUARE["hilbert"], eps, self.min_pts, 2 * eps, sampler, seed, self.n)
+        return self.row(workload, f"sample_{sampler}", "", budget, seed, service, model)
+
     def row(self, workload, setting, curve, budget, seed, service, model, summary=None) -> tuple:
-        m = metrics.agreement_arrays(model.assign_arrays(self.x, self.y).tolist(), self.truth.tolist())
         s, node = summary or {}, service.cost_by_node()
+        if self.small:
+            got = model.assign_arrays(self.x, self.y).tolist()
+            m, planted = metrics.agreement_arrays(got, self.truth.tolist()), metrics.agreement_arrays(got, self.planted.tolist())
+            true = len(set(self.truth.tolist()) - {0})
+        else:
+            shape = F.when(F.col("lab") != "error", F.col("lab"))
+            got = model.assign(self.points.join(self.labels, "id")).select(F.col("cluster_id").alias("pred"), "truth", shape.alias("planted"))
+            got = materialize(got, "agreement")
+            m, planted = (metrics.agreement(got, truth=t).first().asDict() for t in ("truth", "planted"))
+            true = got.agg(F.countDistinct("truth")).first()[0]
         return (
             workload, str(setting), curve, None if budget is None else int(budget), seed, service.budget.used, service.rounds,
-            s.get("mini_clusters"), s.get("clusters"), node.get("split", 0), node.get("leaf", 0), *m.values(),
+            s.get("mini_clusters"), s.get("clusters"), node.get("split", 0), node.get("leaf", 0), true, *m.values(), planted["rand_index"],
         )
 
+    def sweep(self, runs: list[dict]) -> DataFrame:
+        """One row for each run: arguments of ``run``, or of ``sample`` if they name a sampler."""
+        if not self.small:
+            return self.spark.createDataFrame([self._one(r) for r in runs], SCHEMA)
+        shared = self.spark.sparkContext.broadcast(self)
+
+        def kernel(batches):
+            for batch in batches:
+                rows = [shared.value._one(json.loads(r)) for r in batch["run"]]
+                yield pd.DataFrame(rows, columns=[c.split()[0] for c in SCHEMA.split(", ")])
 
-def _frame(spark: SparkSession, rows: list[tuple]) -> DataFrame:
-    return spark.createDataFrame(rows, SCHEMA)
+        jobs = self.spark.createDataFrame([(json.dumps(r),) for r in runs], "run string")
+        return jobs.repartition(min(len(runs), 256)).mapInPandas(kernel, SCHEMA)
+
+    def _one(self, run: dict) -> tuple:
+        return self.sample(**run) if "sampler" in run else self.run(**run)
 
 
 def feasibility(spark, sf_dir, budget: int = 400) -> DataFrame:
     """Two benchmark sets at one budget."""
-    return _frame(spark, [Benchmark(spark, sf_dir, n).run("feasibility", n, budget=budget) for n in ("shapes_b", "shapes_c")])
+    a, b = (Benchmark(spark, sf_dir, n).sweep([{"workload": "feasibility", "setting": n, "budget": budget}]) for n in ("shapes_b", "shapes_c"))
+    return a.unionByName(b)
 
 
 def against_sample(spark, sf_dir, budgets=BUDGETS, seeds: int = 5) -> DataFrame:
-    """The clusterer and the sampling baseline at equal budgets."""
-    b, rows = Benchmark(spark, sf_dir), []
+    """The clusterer and the sampling baseline, by each way to draw, at equal budgets. ``uniform`` draws as no client could."""
+    runs = []
     for budget in budgets:
         for seed in range(seeds):
-            rows.append(b.run("against_sample", "pursuit", budget=budget, seed=seed))
-            for sampler in ("raw", "voronoi"):
-                service = b.service(budget=budget)
-                model = baselines.sample_then_cluster(service, DOMAIN, b.eps, b.min_pts, 2 * b.eps, sampler, seed, len(b.id))
-                rows.append(b.row("against_sample", f"sample_{sampler}", "", budget, seed, service, model))
-    return _frame(spark, rows)
+            at = {"workload": "against_sample", "budget": budget, "seed": seed}
+            runs += [at | {"setting": "pursuit", "curve": "peano"}, *(at | {"sampler": s} for s in ("raw", "voronoi", "uniform"))]
+    return Benchmark(spark, sf_dir).sweep(runs)
 
 
-def curve_kinds(spark, sf_dir, budget: int = 400, seeds: int = 5) -> DataFrame:
-    b = Benchmark(spark, sf_dir)
-    return _frame(spark, [b.run("curve_kinds", c, c, budget, s) for c in SIDE for s in range(seeds)])
+def curve_kinds(spark, sf_dir, budget: int = 200, seeds: int = 5) -> DataFrame:
+    runs = [{"workload": "curve_kinds", "setting": c, "curve": c, "budget": budget, "seed": s} for c in SIDE for s in range(seeds)]
+    return Benchmark(spark, sf_dir).sweep(runs)
 
 
-def quality_by_cost(spark, sf_dir, budgets=BUDGETS, seeds: int = 5) -> DataFrame:
-    b = Benchmark(spark, sf_dir)
-    return _frame(spark, [b.run("quality_by_cost", c, c, q, s) for c in ("hilbert", "peano") for q in budgets for s in range(seeds)])
+def quality_by_cost(spark, sf_dir, budgets=BUDGETS, seeds: int = 5, names=("shapes",)) -> DataFrame:
+    out = None
+    for name in names:
+        runs = [
+            {"workload": "quality_by_cost", "setting": c if len(names) == 1 else f"{name} {c}", "curve": c, "budget": q, "seed": s}
+            for c in ("hilbert", "peano") for q in budgets for s in range(seeds)
+        ]
+        one = Benchmark(spark, sf_dir, name).sweep(runs)
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+def quality_all_sets(spark, sf_dir) -> DataFrame:
+    return quality_by_cost(spark, sf_dir, names=tuple(SETS))
 
 
 def vary_k(spark, sf_dir, factors=(1, 2, 4, 8), seeds: int = 3) -> DataFrame:
     """Calls until nothing is unknown, for answers of more and more points."""
     b = Benchmark(spark, sf_dir)
-    return _frame(spark, [b.run("vary_k", f, seed=s, k=f * b.min_pts, min_side=16.0) for f in factors for s in range(seeds)])
+    return b.sweep([{"workload": "vary_k", "setting": f, "seed": s, "k": f * b.min_pts, "min_side": 22.0} for f in factors for s in range(seeds)])
 
 
-def vary_side(spark, sf_dir, sides=(8.0, 16.0, 32.0, 64.0), seeds: int = 2) -> DataFrame:
-    b = Benchmark(spark, sf_dir)
-    return _frame(spark, [b.run("vary_side", m, seed=s, min_side=m) for m in sides for s in range(seeds)])
+def vary_side(spark, sf_dir, sides=(11.0, 22.0, 44.0, 88.0), seeds: int = 3) -> DataFrame:
+    return Benchmark(spark, sf_dir).sweep([{"workload": "vary_side", "setting": m, "seed": s, "min_side": m} for m in sides for s in range(seeds)])
 
 
 def vary_children(spark, sf_dir, seeds: int = 2) -> DataFrame:
-    b, rows = Benchmark(spark, sf_dir), []
-    for curve, fans in (("hilbert", (4, 16, 64)), ("peano", (9, 81))):
-        side = 16.0 if curve == "hilbert" else 1024.0 / 81
-        rows += [b.run("vary_children", f, curve, seed=s, fanout=f, min_side=side) for f in fans for s in range(seeds)]
-    return _frame(spark, rows)
+    runs = []
+    for curve, fans, side in (("hilbert", (4, 16, 64), 11.0), ("peano", (9, 81), 1080.0 / 81)):
+        runs += [{"workload": "vary_children", "setting": f, "curve": curve, "seed": s, "fanout": f, "min_side": side} for f in fans for s in range(seeds)]
+    return Benchmark(spark, sf_dir).sweep(runs)
 
 
 def vary_noise(spark, sf_dir, shares=(0, 25, 50, 75, 100), seeds: int = 3) -> DataFrame:
-    rows = []
+    """Calls by the share of noise; minPts stays that of the whole set."""
+    out = None
     for share in shares:
-        b = Benchmark(spark, sf_dir, noise=share)
-        b.min_pts = max(2, round(14 * len(view(spark, sf_dir, "shapes").select("id").toPandas()) / 10_000))
-        rows += [b.run("vary_noise", share, seed=s, min_side=16.0) for s in range(seeds)]
-    return _frame(spark, rows)
+        one = Benchmark(spark, sf_dir, noise=share).sweep([{"workload": "vary_noise", "setting": share, "seed": s, "min_side": 22.0} for s in range(seeds)])
+        out = one if out is None else out.unionByName(one)
+    return out
 
 
 def merging(spark, sf_dir, budget: int = 500, ls=(1, 3, 7, 14, 28)) -> DataFrame:
     """No merging, merging by edges, and by l-distances for several l."""
-    b = Benchmark(spark, sf_dir)
-    rows = [b.run("merging", m, budget=budget, merge=m) for m in ("none", "adjacent")]
-    return _frame(spark, rows + [b.run("merging", f"l={l}", budget=budget, l=l) for l in ls])
+    runs = [{"workload": "merging", "setting": m, "budget": budget, "merge": m} for m in ("none", "adjacent")]
+    return Benchmark(spark, sf_dir).sweep(runs + [{"workload": "merging", "setting": f"l={l}", "budget": budget, "l": l} for l in ls])
 
 
 def fixed_or_adaptive(spark, sf_dir, seeds: int = 2) -> DataFrame:
-    """Equal cells of the smallest side against cells that shrink where points are, to full coverage."""
-    b = Benchmark(spark, sf_dir)
-    return _frame(spark, [b.run("fixed_or_adaptive", n, seed=s, adaptive=a) for n, a in (("fixed", False), ("adaptive", True)) for s in range(seeds)])
+    """Equal cells of the smallest side against cells that shrink where points are, to full coverage, each with both ways to merge."""
+    kinds = [("fixed", False, "top_l"), ("fixed + edges", False, "adjacent"), ("adaptive", True, "top_l"), ("adaptive + edges", True, "adjacent")]
+    runs = [{"workload": "fixed_or_adaptive", "setting": n, "seed": s, "adaptive": a, "merge": m} for n, a, m in kinds for s in range(seeds)]
+    return Benchmark(spark, sf_dir).sweep(runs)
 
 
 def steps(spark, sf_dir, budget: int = 600) -> tuple[ClusterModel, DataFrame]:
     """The stages of one run: the model, and its leaves as a table."""
     b = Benchmark(spark, sf_dir)
-    model = curve_cluster_2d(b.service(budget=budget), DOMAIN, b.eps, b.min_pts, SIDE["hilbert"], merge_threshold=b.eps)
-    schema = "level int, lo_key long, hi_key long, x double, y double, side double, state string"
-    return model, spark.createDataFrame(model.tree.table(), schema)
+    model = curve_cluster_2d(b.service(budget=budget), SQUARE["hilbert"], b.eps, b.min_pts, SIDE["hilbert"], merge_threshold=b.eps, **OPTIONS)
+    return model, model.leaves(spark)
+
+
+def stages(spark, sf_dir) -> DataFrame:
+    """The leaves of one run with the mini-cluster and the final cluster of each, and the mapping error of its segment."""
+    model, leaves = steps(spark, sf_dir)
+    mini = model.minis(spark).withColumnsRenamed({"lo_key": "first", "hi_key": "last"})
+    inside = F.expr("lo_key BETWEEN first AND last")
+    return leaves.join(F.broadcast(mini), inside, "left").select("level", "lo_key", "hi_key", "x", "y", "side", "state", "mini_id", "cluster_id", "mapping_error")
 
 
-def line_costs(spark, sf_dir, side: float = 5.0, min_pts: int = 60) -> DataFrame:
+def line_points(spark, sf_dir, column: str) -> DataFrame:
+    """``id, x``: one of the columns that stand for one-dimensional data, spread over 0 to 1000."""
+    if column == "line1d":
+        return view(spark, sf_dir, "line1d").select("id", "x")
+    source, ident, value = {"value": ("events", "event_id", "value"), "balance": ("customer", "c_custkey", "c_acctbal"), "total": ("orders", "o_orderkey", "o_totalprice")}[column]
+    rows = table(spark, sf_dir, source).select(F.col(ident).alias("id"), F.col(value).cast("double").alias("v")).filter("v IS NOT NULL AND NOT isnan(v)")
+    low, high = rows.agg(F.min("v"), F.max("v")).first()
+    return rows.select("id", (F.round((F.col("v") - F.lit(low)) * (1000.0 / ((high - low) or 1.0)), 3)).alias("x"))
+
+
+def line_costs(spark, sf_dir, column: str = "line1d", side: float = 5.0, min_pts: int = 60, noise: bool = True) -> DataFrame:
     """One dimension: each strategy and both baselines, calls against the bound of the analysis."""
-    rows = view(spark, sf_dir, "line1d").select("id", "x").limit(MemoryKnnService.LIMIT).toPandas()
-    n = len(rows)
-    min_pts = max(2, round(min_pts * n / 10_000))
-    points = (rows["id"].to_numpy(), rows["x"].to_numpy(), np.zeros(n))
+    points = line_points(spark, sf_dir, column)
+    if not noise:
+        points = view(spark, sf_dir, "line1d").filter("lab <> 'error'").select("id", "x")
+    n = points.count()
+    min_pts = max(2, round(min_pts * n / 10_000)) if column == "line1d" else max(2, round(n * side / 1000 * 1.1))
+    # one-dimensional data of more points than fit one machine are asked through the distributed service
+    service = lambda: MemoryKnnService(points.withColumn("y", F.lit(0.0)), min_pts) if n <= MemoryKnnService.LIMIT else KnnService(points.withColumn("y", F.lit(0.0)), min_pts)
     out = []
     for strategy in ("walk", "skip", "bisect", "auto"):
-        s = MemoryKnnService(points, min_pts, Budget())
+        s = service()
         p = boundary_cluster_1d(s, (-0.0005, 1000.5), side, min_pts, 5, strategy)
-        out.append((strategy, s.budget.used, s.rounds, len(p.segments), theory_bound(len(p.segments), 5, p.line.n)))
+        out.append((column, strategy, s.budget.used, s.rounds, len(p.segments), theory_bound(len(p.segments), 5, p.line.n)))
     for name, run in (("scan_all", baselines.scan_all_cells), ("random", baselines.random_cells)):
-        s, line = MemoryKnnService(points, min_pts, Budget()), GridLine(-0.0005, 1000.5, side, min_pts)
+        s, line = service(), GridLine(-0.0005, 1000.5, side, min_pts)
         found = run(line, s)
-        out.append((name, s.budget.used, s.rounds, len(found), theory_bound(len(found), 5, line.n)))
-    return spark.createDataFrame(out, "method string, calls int, rounds int, segments int, bound double")
+        out.append((column, name, s.budget.used, s.rounds, len(found), theory_bound(len(found), 5, line.n)))
+    return spark.createDataFrame(out, "data string, method string, calls int, rounds int, segments int, bound double")
+
+
+def line_costs_clean(spark, sf_dir) -> DataFrame:
+    """The same without noise, where skipping needs no bisection."""
+    return line_costs(spark, sf_dir, noise=False)
+
+
+def line_costs_columns(spark, sf_dir) -> DataFrame:
+    """The same on three columns of other tables."""
+    out = None
+    for column in ("value", "balance", "total"):
+        one = line_costs(spark, sf_dir, column)
+        out = one if out is None else out.unionByName(one)
+    return out
 
 
 WORKLOADS = {
     "w_feasibility": feasibility, "w_against_sample": against_sample, "w_curve_kinds": curve_kinds, "w_quality_by_cost": quality_by_cost,
-    "w_vary_k": vary_k, "w_vary_side": vary_side, "w_vary_children": vary_children, "w_vary_noise": vary_noise, "w_merging": merging,
-    "w_fixed_or_adaptive": fixed_or_adaptive, "w_line_costs": line_costs,
+    "w_quality_all_sets": quality_all_sets, "w_vary_k": vary_k, "w_vary_side": vary_side, "w_vary_children": vary_children,
+    "w_vary_noise": vary_noise, "w_merging": merging, "w_fixed_or_adaptive": fixed_or_adaptive, "w_stages": stages,
+    "w_line_costs": line_costs, "w_line_costs_clean": line_costs_clean, "w_line_costs_columns": line_costs_columns,
 }
 __all__ = ["WORKLOADS", "Benchmark", "Pursuit", "steps"]

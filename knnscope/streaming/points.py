@@ -2,9 +2,6 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
-
-import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -48,14 +45,8 @@ def interval_join(points: DataFrame, calls: DataFrame, key: str, before: str = "
 def leaf_drift(stream: DataFrame, leaf: str, min_pts: int) -> DataFrame:
     """``leaf, n, dense`` after each batch for every leaf that got points: a running count that crosses min_pts is drift."""
 
-    def count(key, batches: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
-        n = state.get[0] if state.exists else 0
-        n += sum(len(b) for b in batches)
-        state.update((n,))
-        yield pd.DataFrame({leaf: [key[0]], "n": [n], "dense": [n >= min_pts]})
-
-    schema = f"{leaf} long, n long, dense boolean"
-    return stream.groupBy(leaf).applyInPandasWithState(count, schema, "n long", "update", "NoTimeout")
+    counts = stream.groupBy(leaf).agg(F.count(F.lit(1)).alias("n"))
+    return counts.withColumn("dense", F.col("n") >= min_pts)
 
 
 def over_rate(ledger: DataFrame, calls: int, size: str = "1 hour") -> DataFrame:
