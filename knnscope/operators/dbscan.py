@@ -2,9 +2,15 @@
 
 Cells have the diagonal eps, so any two points of a cell are neighbours: a cell with min_pts points is all core and all
 one cluster. Only points of other cells count neighbours, in the 20 cells that eps can reach. Clusters are components of
-a graph of cells, in which two cells are linked if some core point of one is within eps of one of the other; what could
-decide that, the points near enough to the other cell's box, is all that is compared. A border point goes to the cluster
-of its nearest core point (the smallest id on ties).
+a graph of cells, in which two cells are linked if some core point of one is within eps of one of the other. A border point
+goes to the cluster of its nearest core point (the smallest id on ties).
+
+What is asked of a full cell is never asked of its points first. Every cell is cut into ``FINE`` x ``FINE`` parts, and each part
+again; a part counts as one row with its box and its number of points. Boxes decide most: a part wholly within eps counts
+at once, one wholly beyond it never, two parts of which every pair is within eps link their cells. Only parts on the edge of eps are
+cut again, and only the points of parts on the edge after that, each different place once, are compared; a point or a pair of cells for which
+a coarser step has settled the matter takes no part in the next. So two neighbouring cells with m points each cost some thousand
+pairs of parts, whatever m is.
 """
 
 from __future__ import annotations
@@ -17,6 +23,8 @@ from knnscope.io import materialize
 
 #: Cells that a distance of eps can reach from a cell of side eps / sqrt(2), without itself.
 NEAR = [(i, j) for i in range(-2, 3) for j in range(-2, 3) if (i, j) != (0, 0) and abs(i) + abs(j) < 4]
+#: Parts along each side of a cell, and of a part.
+FINE = 8
 
 
 def _d2(a: str, b: str) -> Column:
@@ -30,6 +38,49 @@ def _around(df: DataFrame, steps) -> DataFrame:
     return df.withColumn("_n", F.explode(cells)).select("*", "_n.nx", "_n.ny").drop("_n")
 
 
+class _Parts:
+    """Cells of ``points(id, x, y, cx, cy, px, py)``, their parts and the parts of these, with bounds of distances.
+
+    px, py number the finest parts over the plane; ``level`` 1 are the parts of cells, 2 the finest.
+    """
+
+    def __init__(self, points: DataFrame, side: float, eps: float):
+        self.points, self.side, self.eps = points, side, eps
+
+    def index(self, axis: str, level: int) -> Column:
+        return F.floor(F.col(axis) / FINE ** (2 - level)).cast("long")
+
+    def at(self, level: int) -> DataFrame:
+        """``cx, cy, i, j, n``: the parts that hold points, of either level."""
+        keyed = self.points.select("cx", "cy", self.index("px", level).alias("i"), self.index("py", level).alias("j"))
+        return keyed.groupBy("cx", "cy", "i", "j").agg(F.count(F.lit(1)).alias("n"))
+
+    def width(self, level: int) -> float:
+        return self.side / FINE**level
+
+    def least(self, *gaps: tuple[Column, Column, Column, Column]) -> Column:
+        """Squared least distance of two intervals on each axis: low and high of one, low and high of the other."""
+        return sum((F.pow(F.greatest(F.lit(0.0), c - b, a - d), 2) for a, b, c, d in gaps), F.lit(0.0))
+
+    def most(self, *gaps) -> Column:
+        return sum((F.pow(F.greatest(F.abs(d - a), F.abs(b - c)), 2) for a, b, c, d in gaps), F.lit(0.0))
+
+    def bounds(self, one: list[tuple[Column, Column]], i: str, j: str, level: int) -> tuple[Column, Column]:
+        """Whether all and whether none of a part can be within eps of a box (or a point, a box without extent)."""
+        w = self.width(level)
+        gaps = [(lo, hi, F.col(k) * F.lit(w), (F.col(k) + 1) * F.lit(w)) for (lo, hi), k in zip(one, (i, j))]
+        reach = self.eps * self.eps
+        return self.most(*gaps) <= reach * (1 - 1e-9), self.least(*gaps) > reach * (1 + 1e-9)
+
+
+def _box(i: str, j: str, width: float) -> list[tuple[Column, Column]]:
+    return [(F.col(k) * F.lit(width), (F.col(k) + 1) * F.lit(width)) for k in (i, j)]
+
+
+def _place(x: str, y: str) -> list[tuple[Column, Column]]:
+    return [(F.col(x), F.col(x)), (F.col(y), F.col(y))]
+
+
 def dbscan(points: DataFrame, eps: float, min_pts: int) -> DataFrame:
     """``id, cluster_id, kind`` of ``points(id, x, y)``; a cluster is named by its smallest core id, noise has NULL.
 
@@ -37,17 +88,14 @@ def dbscan(points: DataFrame, eps: float, min_pts: int) -> DataFrame:
     """
     side = eps / 2**0.5 * (1 - 1e-12)
     usable = points.select("id", "x", "y").filter("x = x AND y = y AND abs(x) < double('Infinity') AND abs(y) < double('Infinity')")
-    located = usable.withColumns({c: F.floor(F.col(a) / F.lit(side)).cast("long") for c, a in (("cx", "x"), ("cy", "y"))})
+    fine = F.lit(side / FINE**2)
+    located = usable.withColumns({p: F.floor(F.col(a) / fine).cast("long") for p, a in (("px", "x"), ("py", "y"))})
+    located = located.withColumns({c: F.floor(F.col(p) / FINE**2).cast("long") for c, p in (("cx", "px"), ("cy", "py"))})
     counts = located.groupBy("cx", "cy").agg(F.count(F.lit(1)).alias("n"))
     located = materialize(located.join(counts, ["cx", "cy"]), "located")
-    cells = located.select("cx", "cy", F.col("id").alias("pid"), F.col("x").alias("px"), F.col("y").alias("py"))
     open_ = located.filter(F.col("n") < min_pts)
-    # neighbours in other cells; those in the own cell are known to be n
-    asked = _around(open_.select("id", "n", F.col("cx"), F.col("cy"), F.col("x").alias("qx"), F.col("y").alias("qy")), NEAR)
-    near = asked.join(cells.withColumnsRenamed({"cx": "nx", "cy": "ny"}), ["nx", "ny"]).filter(_d2("q", "p") <= eps * eps)
-    enough = near.groupBy("id", "n").agg(F.count(F.lit(1)).alias("m")).filter(F.col("n") + F.col("m") >= min_pts).select("id")
-    cores = located.filter(F.col("n") >= min_pts).select("id", "x", "y", "cx", "cy").unionByName(
-        open_.join(enough, "id", "left_semi").select("id", "x", "y", "cx", "cy")
+    cores = located.filter(F.col("n") >= min_pts).drop("n").unionByName(
+        open_.join(_enough(open_, located, side, eps, min_pts), "id", "left_semi").drop("n")
     )
     cores = materialize(cores, "cores")
     firsts = cores.groupBy("cx", "cy").agg(F.min("id").alias("node"))
@@ -56,40 +104,99 @@ def dbscan(points: DataFrame, eps: float, min_pts: int) -> DataFrame:
     edges = linked.join(names("cx", "cy", "u"), ["cx", "cy"]).join(names("nx", "ny", "v"), ["nx", "ny"]).select("u", "v")
     found = connected(edges)
     clusters = firsts.join(found, "node", "left").select("cx", "cy", F.coalesce("component", "node").alias("cluster_id"))
-    core_labels = materialize(cores.join(clusters, ["cx", "cy"]).select("id", "x", "y", "cx", "cy", "cluster_id"), "core-labels")
-
-    rest = located.join(core_labels.select("id"), "id", "left_anti")
-    asked = _around(rest.select("id", "cx", "cy", F.col("x").alias("qx"), F.col("y").alias("qy")), [*NEAR, (0, 0)])
-    at = core_labels.select(F.col("id").alias("pid"), F.col("x").alias("px"), F.col("y").alias("py"), F.col("cx").alias("nx"), F.col("cy").alias("ny"), "cluster_id")
-    border = asked.join(at, ["nx", "ny"]).withColumn("d2", _d2("q", "p")).filter(F.col("d2") <= eps * eps)
-    border = border.groupBy("id").agg(F.min(F.struct("d2", "pid", "cluster_id")).alias("m")).select("id", F.col("m.cluster_id").alias("of"))
-    outer = rest.select("id").join(border, "id", "left").select(
+    core_labels = materialize(cores.join(clusters, ["cx", "cy"]), "core-labels")
+
+    rest = open_.join(core_labels.select("id"), "id", "left_anti").select("id", "x", "y", "cx", "cy")
+    outer = rest.select("id").join(_border(rest, core_labels, side, eps), "id", "left").select(
         "id", F.col("of").alias("cluster_id"), F.when(F.col("of").isNotNull(), "border").otherwise("noise").alias("kind")
     )
     return core_labels.select("id", "cluster_id", F.lit("core").alias("kind")).unionByName(outer)
 
 
+def _enough(open_: DataFrame, located: DataFrame, side: float, eps: float, min_pts: int) -> DataFrame:
+    """``id`` of the points of cells that aren't full which have min_pts neighbours."""
+    parts = _Parts(located, side, eps)
+    asked = _around(open_.select("id", "n", F.col("cx"), F.col("cy"), F.col("x").alias("qx"), F.col("y").alias("qy")), NEAR)
+    all_, none = parts.bounds(_place("qx", "qy"), "i", "j", 1)
+    of = parts.at(1).withColumnsRenamed({"cx": "nx", "cy": "ny", "n": "m"})
+    met = asked.drop("cx", "cy").join(of, ["nx", "ny"]).withColumn("sure", all_).filter(~none)
+    met = materialize(met, "neighbour-parts")
+    sure = met.groupBy("id", "n").agg(F.sum(F.when(F.col("sure"), F.col("m")).otherwise(0)).alias("s"), F.sum("m").alias("all"))
+    sure = materialize(sure.withColumn("s", F.col("n") + F.col("s")).withColumn("all", F.col("n") + F.col("all")), "neighbours")
+    done = sure.filter(F.col("s") >= min_pts).select("id")
+    left = sure.filter((F.col("s") < min_pts) & (F.col("all") >= min_pts)).select("id", "s")
+    # parts on the edge of eps: their parts, then the points of those that are on the edge again
+    edge = met.filter("NOT sure").join(left, "id").select("id", "s", "qx", "qy", "nx", "ny", F.col("i").alias("a"), F.col("j").alias("b"))
+    inner = parts.at(2).select(F.col("cx").alias("nx"), F.col("cy").alias("ny"), "i", "j", F.col("n").alias("m"))
+    inner = inner.withColumns({"a": F.floor(F.col("i") / FINE).cast("long"), "b": F.floor(F.col("j") / FINE).cast("long")})
+    all_, none = parts.bounds(_place("qx", "qy"), "i", "j", 2)
+    finer = materialize(edge.join(inner, ["nx", "ny", "a", "b"]).withColumn("sure", all_).filter(~none), "neighbour-parts-2")
+    sums = finer.groupBy("id", "s").agg(F.sum(F.when(F.col("sure"), F.col("m")).otherwise(0)).alias("more"))
+    sums = materialize(left.join(sums, ["id", "s"], "left").select("id", (F.col("s") + F.coalesce("more", F.lit(0))).alias("s")), "neighbours-2")
+    last = finer.filter("NOT sure").select("id", "qx", "qy", F.col("i").alias("px"), F.col("j").alias("py"))
+    last = last.join(sums.filter(F.col("s") < min_pts).select("id"), "id", "left_semi")
+    places = located.groupBy("px", "py", "x", "y").agg(F.count(F.lit(1)).alias("m")).withColumnsRenamed({"x": "rx", "y": "ry"})
+    near = last.join(places, ["px", "py"]).filter(_d2("q", "r") <= eps * eps).groupBy("id").agg(F.sum("m").alias("more"))
+    total = sums.join(near, "id", "left").filter(F.col("s") + F.coalesce("more", F.lit(0)) >= min_pts).select("id")
+    return done.unionByName(total)
+
+
 def _linked_cells(cores: DataFrame, eps: float, side: float) -> DataFrame:
     """``cx, cy, nx, ny``: pairs of cells with core points within eps of each other."""
     half = [(i, j) for i, j in NEAR if (i, j) > (0, 0)]
-    reach = eps * eps * (1 + 1e-9)
-
-    def to_box(x: str, y: str, i: str, j: str) -> Column:
-        """Squared distance from a point to a cell."""
-        out = F.lit(0.0)
-        for p, c in ((x, i), (y, j)):
-            low = F.col(c) * F.lit(side)
-            gap = F.greatest(F.lit(0.0), low - F.col(p), F.col(p) - low - F.lit(side))
-            out = out + gap * gap
-        return out
-
-    a = _around(cores.select("cx", "cy", F.col("x").alias("qx"), F.col("y").alias("qy")), half)
-    a = a.filter(to_box("qx", "qy", "nx", "ny") <= reach)
-    b = _around(cores.select("cx", "cy", F.col("x").alias("px"), F.col("y").alias("py")), [(-i, -j) for i, j in half])
-    b = b.filter(to_box("px", "py", "nx", "ny") <= reach)
-    b = b.select(F.col("nx").alias("cx"), F.col("ny").alias("cy"), F.col("cx").alias("nx"), F.col("cy").alias("ny"), "px", "py")
-    pairs = a.join(b, ["cx", "cy", "nx", "ny"]).filter(_d2("q", "p") <= eps * eps)
-    return pairs.select("cx", "cy", "nx", "ny").distinct()
+    parts, pair = _Parts(cores, side, eps), ["cx", "cy", "nx", "ny"]
+    found, edge = None, None
+    for level in (1, 2):
+        own = parts.at(level).drop("n")
+        other = own.withColumnsRenamed({"cx": "nx", "cy": "ny", "i": "k", "j": "l"})
+        all_, none = parts.bounds(_box("i", "j", parts.width(level)), "k", "l", level)
+        if level == 1:
+            # of a cell only the parts near enough to the other cell's box
+            a = _around(own, half)
+            b = _around(other.withColumnsRenamed({"nx": "cx", "ny": "cy"}), [(-i, -j) for i, j in half])
+            b = b.select("k", "l", F.col("cx").alias("nx"), F.col("cy").alias("ny"), F.col("nx").alias("cx"), F.col("ny").alias("cy"))
+            a = a.filter(~parts.bounds(_box("i", "j", parts.width(1)), "nx", "ny", 0)[1])
+            b = b.filter(~parts.bounds(_box("k", "l", parts.width(1)), "cx", "cy", 0)[1])
+            met = a.join(b, pair)
+        else:
+            up = lambda df, *c: df.withColumns({f"u{x}": F.floor(F.col(x) / FINE).cast("long") for x in c})
+            coarse = edge.withColumnsRenamed({c: f"u{c}" for c in "ijkl"})
+            met = coarse.join(up(own, "i", "j"), ["cx", "cy", "ui", "uj"]).join(up(other, "k", "l"), ["nx", "ny", "uk", "ul"])
+        met = materialize(met.withColumn("sure", all_).filter(~none).select(*pair, "i", "j", "k", "l", "sure"), "part-pairs")
+        sure = met.filter("sure").select(*pair).distinct()
+        found = sure if found is None else found.unionByName(sure)
+        edge = materialize(met.filter("NOT sure").join(sure, pair, "left_anti").drop("sure"), "part-edges")
+    places = cores.select("px", "py", "x", "y").distinct()
+    a = places.select(F.col("px").alias("i"), F.col("py").alias("j"), F.col("x").alias("qx"), F.col("y").alias("qy"))
+    b = places.select(F.col("px").alias("k"), F.col("py").alias("l"), F.col("x").alias("rx"), F.col("y").alias("ry"))
+    last = edge.join(a, ["i", "j"]).join(b, ["k", "l"]).filter(_d2("q", "r") <= eps * eps).select(*pair).distinct()
+    return found.unionByName(last).distinct()
+
+
+def _border(rest: DataFrame, cores: DataFrame, side: float, eps: float) -> DataFrame:
+    """``id, of``: the cluster of the nearest core point of each row of ``rest`` that has one within eps."""
+    parts, reach = _Parts(cores, side, eps), eps * eps * (1 + 1e-9)
+    asked = _around(rest.select("id", "cx", "cy", F.col("x").alias("qx"), F.col("y").alias("qy")), [*NEAR, (0, 0)]).drop("cx", "cy")
+    for level in (1, 2):
+        of = parts.at(level).drop("n").withColumnsRenamed({"cx": "nx", "cy": "ny"})
+        w = parts.width(level)
+        gaps = [(F.col(q), F.col(q), F.col(k) * F.lit(w), (F.col(k) + 1) * F.lit(w)) for q, k in (("qx", "i"), ("qy", "j"))]
+        if level == 1:
+            met = asked.join(of, ["nx", "ny"])
+        else:
+            of = of.withColumns({"a": F.floor(F.col("i") / FINE).cast("long"), "b": F.floor(F.col("j") / FINE).cast("long")})
+            met = asked.join(of, ["nx", "ny", "a", "b"])
+        met = met.select("id", "qx", "qy", "nx", "ny", "i", "j", parts.least(*gaps).alias("least"), parts.most(*gaps).alias("most"))
+        met = materialize(met.filter(F.col("least") <= reach), "border-parts")
+        # a part can only hold the nearest if it is no farther than another is at most
+        nearest = met.groupBy("id").agg((F.min("most") * (1 + 1e-9)).alias("top"))
+        asked = met.join(nearest, "id").filter("least <= top").select("id", "qx", "qy", "nx", "ny", F.col("i").alias("a"), F.col("j").alias("b"))
+    last = asked.select("id", "qx", "qy", F.col("a").alias("px"), F.col("b").alias("py"))
+    # of core points in one place only the smallest id can matter
+    places = cores.groupBy("px", "py", "x", "y").agg(F.min(F.struct("id", "cluster_id")).alias("c"))
+    places = places.select("px", "py", F.col("x").alias("rx"), F.col("y").alias("ry"), F.col("c.id").alias("pid"), F.col("c.cluster_id").alias("cluster_id"))
+    border = last.join(places, ["px", "py"]).withColumn("d2", _d2("q", "r")).filter(F.col("d2") <= eps * eps)
+    return border.groupBy("id").agg(F.min(F.struct("d2", "pid", "cluster_id")).alias("m")).select("id", F.col("m.cluster_id").alias("of"))
 
 
 def dbscan_1d(points: DataFrame, eps: float, min_pts: int) -> DataFrame:

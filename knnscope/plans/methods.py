@@ -483,7 +483,7 @@ def udtf_covered_cells(spark, sf_dir):
 
 def udtf_cluster_explain(spark, sf_dir):
     sqlfuncs.register_cluster_explain(spark, _fixed_model())
-    view(spark, sf_dir, "shapes").filter("id % 10 = 0").createOrReplaceTempView("knnscope_points")
+    view(spark, sf_dir, "shapes").createOrReplaceTempView("knnscope_points")
     return spark.sql("select id, mini_id, cluster_id from knnscope_points, lateral cluster_explain(x, y)")
 
 
