@@ -145,7 +145,7 @@ def curve_cluster_2d(
     seed_policy: str = "leaf", prior=None, recompute: bool = False, init_level: int = 1,
 ) -> ClusterModel:
     """Find mini-clusters on the curve until the service's budget is used up, merge them, and return the function."""
-    tree = CurveTree(domain, min_side, min_pts, curve, fanout, adaptive, init_level, split_threshold, leaf_test, infer, seed_policy, prior)
+    tree = CurveTree(domain, min_side, min_pts, curve, fanout, adaptive, init_level, split_threshold, leaf_test, infer, seed_policy, prior, service)
     checks = tree.width if n_check is None else n_check
     found = Pursuit(tree, service, checks, strategy, seeds_per_round, seed, on_split).run()
     segments = sorted((lo, tree.last_key(tree.current(hi))) for lo, hi in found.segments)

@@ -13,9 +13,10 @@ import random
 import numpy as np
 
 from knnscope.functions import curves
-from knnscope.operators.service import Answer
+from knnscope.operators.service import Answer, crawl_box
 
-LEAF_TESTS = ("in_cell", "circumscribed", "inscribed")
+#: exact crawls a smallest leaf that an answer leaves open, at the price of more calls.
+LEAF_TESTS = ("in_cell", "circumscribed", "inscribed", "exact")
 
 
 class CurveTree:
@@ -29,8 +30,11 @@ class CurveTree:
     def __init__(
         self, domain, min_side: float, min_pts: int, kind: str = "hilbert", fanout: int | None = None, adaptive: bool = True,
         init_level: int = 1, split_threshold: int | None = None, leaf_test: str = "in_cell", infer: bool = True,
-        seed_policy: str = "leaf", prior=None,
+        seed_policy: str = "leaf", prior=None, service=None,
     ):
+        if leaf_test == "exact" and service is None:
+            raise ValueError("the exact leaf test needs the service")
+        self.service = service
         self.domain, self.kind, self.min_pts, self.infer = domain, kind, min_pts, infer
         b = curves.base(kind)
         self.fanout = fanout or b * b
@@ -124,9 +128,13 @@ class CurveTree:
             self.mark(key, False)
         else:
             at = self.min_pts - 1
-            if self.leaf_test == "in_cell":
+            if self.leaf_test in ("in_cell", "exact"):
                 half = side / 2
-                n = int(((answer.xs >= x - half) & (answer.xs < x + half) & (answer.ys >= y - half) & (answer.ys < y + half)).sum())
+                inside = lambda xs, ys: int(((xs >= x - half) & (xs < x + half) & (ys >= y - half) & (ys < y + half)).sum())
+                n = inside(answer.xs, answer.ys)
+                if self.leaf_test == "exact" and n < self.min_pts and answer.radius <= side / 2**0.5:
+                    found = np.array(list(crawl_box(self.service, (x - half, y - half, x + half, y + half), "leaf").values())).reshape(-1, 2)
+                    n = inside(found[:, 0], found[:, 1])
                 dense = n >= self.min_pts
             else:
                 reach = side / 2 * (2**0.5 if self.leaf_test == "circumscribed" else 1)

@@ -38,7 +38,7 @@ def top_l(observed: dict[int, np.ndarray], l: int, threshold: float, recompute:
         for i, a in enumerate(names):
             for b in names[i + 1 :]:
                 gap = np.maximum(0, np.maximum(boxes[a][0] - boxes[b][1], boxes[b][0] - boxes[a][1]))
-                if np.hypot(*gap) > threshold:
+                if float((gap * gap).sum()) ** 0.5 > threshold:
                     continue  # the smallest distance is larger, and so is the mean
                 d = np.sqrt(((groups[a][:, None, :] - groups[b][None, :, :]) ** 2).sum(2)).ravel()
                 n = min(l, len(d))

@@ -308,7 +308,7 @@ class Pursuit:
                             order.append(cell)
                 found: dict[int, Answer] = {}
                 if order:
-                    before = len(self.service.calls)
+                    before = len(self.service.calls)  # learning may make further calls, after those of the round
                     got = self.service.probe([line.place(c) for c in order], [wanted[c] for c in order])
                     for i, (cell, answer) in enumerate(zip(order, got)):
                         found[cell] = answer

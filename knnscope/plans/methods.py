@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from knnscope.components import connected
 from knnscope.functions import curves, sqlfuncs
 from knnscope.io import materialize, shared_dir, table
-from knnscope.operators import baselines, dbscan, grid, joins, knn, merge, metrics, service
+from knnscope.operators import baselines, cluster_nd, dbscan, grid, joins, knn, merge, metrics, service
 from knnscope.operators.curve2d import ClusterModel, curve_cluster_2d
 from knnscope.operators.fulltree import full_tree
 from knnscope.operators.pursuit import boundary_cluster_1d
@@ -403,6 +403,37 @@ def knn_distributed_model(spark, sf_dir, budget: int = 120):
     return s.ledger(spark)
 
 
+# --- three dimensions
+def _vectors(spark, sf_dir):
+    e = table(spark, sf_dir, "embeddings")
+    return e.select(F.col("vec_id").alias("id"), F.transform(F.slice("embedding", 1, 3), lambda v: v.cast("double")).alias("v"))
+
+
+def _model3d(spark, sf_dir, k, budget, min_pts, **options):
+    points = _vectors(spark, sf_dir).filter("v IS NOT NULL AND size(v) = 3")
+    n = points.count()
+    if n <= service.MemoryKnnService.LIMIT:
+        rows = points.orderBy("id").toPandas()
+        s = cluster_nd.MemoryKnnServiceNd(rows["id"].to_numpy(), np.stack(rows["v"].to_numpy()), k, service.Budget(budget))
+    else:
+        s = cluster_nd.KnnServiceNd(materialize(points, "vectors"), k, service.Budget(budget))
+    model = cluster_nd.cluster_nd(s, [-4.0] * 3, 8.0, 3, 4, min_pts, 0.6, **options)
+    return model.assign(points).select(F.col("id").alias("vec_id"), "cluster_id")
+
+
+def model3d(spark, sf_dir, budget: int = 300):
+    """Clusters of the first three components, under a budget."""
+    points = table(spark, sf_dir, "embeddings").count()
+    min_pts = max(2, points // 125)
+    return _model3d(spark, sf_dir, min_pts, budget, min_pts)
+
+
+def model3d_exhaustive(spark, sf_dir):
+    """Which points lie in dense cells, by a budget without end and answers as large as the set."""
+    found = _model3d(spark, sf_dir, 1_000_000, float("inf"), 4, n_check=5000)
+    return found.filter("cluster_id IS NOT NULL").select("vec_id")
+
+
 # --- joins, aggregates, functions beyond shared SQL
 def join_range(spark, sf_dir):
     ranges = spark.createDataFrame([(i, i * 37.5, i * 37.5 + 50.25) for i in range(20)], "range_id int, lo double, hi double")
@@ -553,7 +584,8 @@ def queries() -> dict:
         sample_uniform, sample_then_cluster, knn_distributed_model, join_range, join_asof, join_distance, agg_percentile, agg_approx_distinct,
         price_pivot, fn_array, fn_map, array_distance_3d, cells_3d, z_key_3d, udf_cluster_of, udtf_covered_cells, udtf_cluster_explain,
         udaf_pair_indices, stream_assign, stream_tumbling, stream_sliding, stream_session, stream_dedup, stream_leaf_state,
-        stream_interval_join, stream_over_rate, service_round, lower_bounds_calls,
+        stream_interval_join, stream_over_rate, service_round, lower_bounds_calls, model3d,
+        model3d_exhaustive,
     )}
     found |= {
         "knn_grid": lambda s, d: _grid(s, d, "shapes", 14),
@@ -629,6 +661,8 @@ def oracle_sql() -> dict:
         "fn_array": "select vec_id, len(embedding) n, cast(embedding[1] as double) \"first\", len(list_filter(embedding, lambda v: v > 0)) positive from embeddings",
         "fn_map": "select doc_id, source, 2 n from documents",
         "array_distance_3d": f"select a.vec_id, {relational.snap('(cast(a.embedding[1] as double)-b.embedding[1])*(cast(a.embedding[1] as double)-b.embedding[1])+(cast(a.embedding[2] as double)-b.embedding[2])*(cast(a.embedding[2] as double)-b.embedding[2])+(cast(a.embedding[3] as double)-b.embedding[3])*(cast(a.embedding[3] as double)-b.embedding[3])', 4)} d2 from embeddings a cross join (select * from embeddings where vec_id = 1) b",
+        "model3d_exhaustive": "with c as (select vec_id, floor((cast(embedding[1] as double)+4)*2) a, floor((cast(embedding[2] as double)+4)*2) b, floor((cast(embedding[3] as double)+4)*2) c from embeddings) "
+        "select vec_id from (select vec_id, a, b, c, count(*) over (partition by a, b, c) n from c) d where n >= 4 and a between 0 and 15 and b between 0 and 15 and c between 0 and 15",
         "cells_3d": f"select c1 cx, c2 cy, c3 cz, count(*) n from ({_CELL3}) c group by 1, 2, 3",
         "z_key_3d": "select vec_id, " + " + ".join(f"((c{d + 1} >> {b}) & 1) * {2 ** (3 * b + 2 - d)}" for b in range(4) for d in range(3)) + f" as key from ({_CELL3}) c",
         "udtf_covered_cells": f"select id, cx, cy from {s} s, (select unnest(range(-5, 60)) cx) a, (select unnest(range(-5, 60)) cy) b where power(greatest(abs(cx*5-x), abs(cx*5+5-x)), 2) + power(greatest(abs(cy*5-y), abs(cy*5+5-y)), 2) < 144",

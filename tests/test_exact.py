@@ -37,6 +37,26 @@ def test_dbscan_edge_cases(spark):
     assert dbscan.dbscan(border, 1.05, 4).filter("id = 20").first().cluster_id == 0
 
 
+def test_neighbouring_full_cells_never_form_pairs(spark):
+    import numpy as np
+
+    rng = np.random.default_rng(8)
+    n = 50_000
+    left = np.stack([rng.uniform(0.0, 0.7, n), rng.uniform(0, 0.7, n)], 1)
+    right = np.stack([rng.uniform(0.72, 1.4, n), rng.uniform(0, 0.7, n)], 1)
+    apart = np.stack([rng.uniform(3.6, 4.2, n), rng.uniform(0, 0.7, n)], 1)
+    lone = np.array([[2.0, 0.35], [2.35, 0.35], [3.0, 3.0]])
+    x = np.concatenate([left, right, apart, lone])
+    import pandas as pd
+
+    points = spark.createDataFrame(pd.DataFrame({"id": np.arange(len(x)), "x": x[:, 0], "y": x[:, 1]}))
+    got = dbscan.dbscan(points, 1.0, 40).toPandas().sort_values("id")
+    kinds, of = got["kind"].to_numpy(), got["cluster_id"].to_numpy()
+    assert (kinds[: 3 * n] == "core").all() and set(of[: 2 * n]) == {0} and set(of[2 * n : 3 * n]) == {2 * n}
+    reach = [(((x[: 3 * n] - p) ** 2).sum(1) <= 1).sum() for p in lone]
+    assert [k for k in kinds[3 * n :]] == ["core" if r + 1 >= 40 else "border" if r else "noise" for r in reach]
+
+
 def test_grid_clusters(spark, sf):
     shapes = view(spark, sf.replace("0.001", "0.01"), "shapes")
     assert grid.grid_dbscan(shapes, 16, 14, 4).select("cluster_id").distinct().count() == 6

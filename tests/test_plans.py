@@ -39,6 +39,44 @@ def test_more_points_per_answer_cost_fewer_calls(spark, sf):
     assert p["8"] < p["1"]
 
 
+def test_quality_rises_with_the_budget_and_is_measured_against_dbscan(spark):
+    rows = workloads.quality_by_cost(spark, "/root/testdata/sf0.01", budgets=(100, 200, 300), seeds=3).toPandas()
+    mean = rows.groupby(["setting", "budget"]).rand_index.mean()
+    for curve in ("hilbert", "peano"):
+        assert mean[curve, 100] < mean[curve, 200] < mean[curve, 300]
+    assert mean["peano", 300] >= 0.85 and (rows.true_clusters == 4).all()
+
+
+def test_large_sets_go_through_the_distributed_service(spark, sf, monkeypatch):
+    small = workloads.Benchmark(spark, sf).sweep([{"workload": "x", "budget": 30, "min_side": 88.0}]).first()
+    monkeypatch.setattr(MemoryKnnService, "LIMIT", 10)
+    large = workloads.Benchmark(spark, sf)
+    assert not large.small
+    again = large.sweep([{"workload": "x", "budget": 30, "min_side": 88.0}]).first()
+    assert again.calls == small.calls and again.clusters == small.clusters
+    assert again.rand_index == pytest.approx(small.rand_index) and again.rand_planted == pytest.approx(small.rand_planted)
+
+
+def test_live_sites_are_clustered(spark):
+    from knnscope.plans import live
+
+    sites = {r.site: r for r in live.summary(spark, "/root/testdata/sf0.01").collect()}
+    assert sites["photos"].clusters >= 6 and sites["stations"].clusters >= 2 and sites["listings_a"].calls <= 600
+    assert all(r.clustered > 0.3 * r.points for r in sites.values())
+
+
+def test_the_exact_leaf_test_pays_for_certainty(spark, sf):
+    from knnscope.operators.curve2d import curve_cluster_2d
+
+    points = view(spark, "/root/testdata/sf0.01", "shapes")
+    calls, dense = {}, {}
+    for test in ("in_cell", "exact"):
+        s = MemoryKnnService(points, 14)
+        model = curve_cluster_2d(s, (-0.0005, -0.0005, 704.0), 20.0, 14, 44.0, leaf_test=test, infer=False)
+        calls[test], dense[test] = s.budget.used, {r[1] for r in model.tree.table() if r[-1] == "dense"}
+    assert calls["exact"] > calls["in_cell"] and dense["exact"] >= {k for k in dense["in_cell"] if k in dense["exact"]}
+
+
 def test_memory_service_guards_its_size(monkeypatch):
     monkeypatch.setattr(MemoryKnnService, "LIMIT", 2)
     with pytest.raises(ValueError):

@@ -86,3 +86,13 @@ def test_miss_probability():
     assert miss_probability(10, 1, 5) == pytest.approx(0.5)
     assert miss_probability(10, 0, 5) == 1
     assert miss_probability(10, 6, 5) == 0
+
+
+def test_walking_costs_more_than_skipping_and_halving(spark):
+    from knnscope.plans import workloads
+
+    for run in (workloads.line_costs, workloads.line_costs_clean):
+        rows = {r.method: r for r in run(spark, "/root/testdata/sf0.01").collect()}
+        assert rows["walk"].calls > rows["skip"].calls >= rows["bisect"].calls
+        assert rows["auto"].calls <= rows["skip"].calls < rows["scan_all"].calls
+        assert len({rows[m].segments for m in ("walk", "skip", "bisect", "auto")}) == 1
