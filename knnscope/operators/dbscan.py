@@ -142,29 +142,32 @@ def _enough(open_: DataFrame, located: DataFrame, side: float, eps: float, min_p
 
 
 def _linked_cells(cores: DataFrame, eps: float, side: float) -> DataFrame:
-    """``cx, cy, nx, ny``: pairs of cells with core points within eps of each other."""
+    """``cx, cy, nx, ny``: pairs of cells with core points within eps of each other.
+
+    The two points nearest to the other's cell settle most pairs; parts and, on the edge of eps, points the others.
+    """
     half = [(i, j) for i, j in NEAR if (i, j) > (0, 0)]
     parts, pair = _Parts(cores, side, eps), ["cx", "cy", "nx", "ny"]
-    found, edge = None, None
+    open_ = materialize(_nearest_to_box(cores, half, side, eps, "q").join(
+        _nearest_to_box(cores, [(-i, -j) for i, j in half], side, eps, "r").select(
+            F.col("cx").alias("nx"), F.col("cy").alias("ny"), F.col("nx").alias("cx"), F.col("ny").alias("cy"), "rx", "ry"
+        ), pair,
+    ).select(*pair, (_d2("q", "r") <= eps * eps).alias("sure")), "cell-pairs")
+    found, edge = open_.filter("sure").select(*pair), open_.filter("NOT sure").select(*pair)
     for level in (1, 2):
         own = parts.at(level).drop("n")
         other = own.withColumnsRenamed({"cx": "nx", "cy": "ny", "i": "k", "j": "l"})
         all_, none = parts.bounds(_box("i", "j", parts.width(level)), "k", "l", level)
         if level == 1:
-            # of a cell only the parts near enough to the other cell's box
-            a = _around(own, half)
-            b = _around(other.withColumnsRenamed({"nx": "cx", "ny": "cy"}), [(-i, -j) for i, j in half])
-            b = b.select("k", "l", F.col("cx").alias("nx"), F.col("cy").alias("ny"), F.col("nx").alias("cx"), F.col("ny").alias("cy"))
-            a = a.filter(~parts.bounds(_box("i", "j", parts.width(1)), "nx", "ny", 0)[1])
-            b = b.filter(~parts.bounds(_box("k", "l", parts.width(1)), "cx", "cy", 0)[1])
-            met = a.join(b, pair)
+            met = edge.join(own, ["cx", "cy"]).filter(~parts.bounds(_box("i", "j", parts.width(1)), "nx", "ny", 0)[1])
+            met = met.join(other, ["nx", "ny"])
         else:
             up = lambda df, *c: df.withColumns({f"u{x}": F.floor(F.col(x) / FINE).cast("long") for x in c})
             coarse = edge.withColumnsRenamed({c: f"u{c}" for c in "ijkl"})
             met = coarse.join(up(own, "i", "j"), ["cx", "cy", "ui", "uj"]).join(up(other, "k", "l"), ["nx", "ny", "uk", "ul"])
         met = materialize(met.withColumn("sure", all_).filter(~none).select(*pair, "i", "j", "k", "l", "sure"), "part-pairs")
         sure = met.filter("sure").select(*pair).distinct()
-        found = sure if found is None else found.unionByName(sure)
+        found = found.unionByName(sure)
         edge = materialize(met.filter("NOT sure").join(sure, pair, "left_anti").drop("sure"), "part-edges")
     places = cores.select("px", "py", "x", "y").distinct()
     a = places.select(F.col("px").alias("i"), F.col("py").alias("j"), F.col("x").alias("qx"), F.col("y").alias("qy"))
@@ -173,6 +176,21 @@ def _linked_cells(cores: DataFrame, eps: float, side: float) -> DataFrame:
     return found.unionByName(last).distinct()
 
 
+def _nearest_to_box(cores: DataFrame, steps, side: float, eps: float, name: str) -> DataFrame:
+    """For each cell and neighbouring cell the place of the cell's core point nearest to the neighbour's box, if that is within eps.
+
+    One aggregation with partial results; no pairs of points.
+    """
+    a = _around(cores.select("cx", "cy", "x", "y"), steps)
+    out = F.lit(0.0)
+    for v, c in (("x", "nx"), ("y", "ny")):
+        low = F.col(c) * F.lit(side)
+        out = out + F.pow(F.greatest(F.lit(0.0), low - F.col(v), F.col(v) - low - F.lit(side)), 2)
+    near = a.withColumn("away", out).filter(F.col("away") <= eps * eps * (1 + 1e-9))
+    best = near.groupBy("cx", "cy", "nx", "ny").agg(F.min(F.struct("away", "x", "y")).alias("m"))
+    return best.select("cx", "cy", "nx", "ny", F.col("m.x").alias(f"{name}x"), F.col("m.y").alias(f"{name}y"))
+
+
 def _border(rest: DataFrame, cores: DataFrame, side: float, eps: float) -> DataFrame:
     """``id, of``: the cluster of the nearest core point of each row of ``rest`` that has one within eps."""
     parts, reach = _Parts(cores, side, eps), eps * eps * (1 + 1e-9)
