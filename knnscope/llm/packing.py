@@ -33,7 +33,7 @@ from knnscope.llm.common import ENTRY_BYTES, map_rows
 
 CAPACITY, END_ID = 4096, 1
 #: Pieces of one length that look up their places together.
-RANKS = 1 << 14
+RANKS = 1 << 11
 
 
 class WordTokenizer:
