@@ -29,3 +29,14 @@ def test_stages_in_order_and_columns(spark):
 
 def test_run(spark):
     assert corpus_pipeline.run(spark, SF).count() > 0
+
+
+def test_odd_tables(spark, make_docs):
+    odd = make_docs([None, "", "short", *(f"these are the words of text number {i} and of no other one at all {i * 7919}" for i in range(12))])
+    for docs in (odd, odd.limit(0), odd.unionByName(odd).withColumn("lang", odd.lang)):
+        columns = docs.columns
+        for _, stage in corpus_pipeline.STAGES[:-1]:
+            docs = materialize(stage(spark, docs, SF), "odd")
+            assert docs.columns == columns
+        packed = corpus_pipeline.STAGES[-1][1](spark, docs, SF)
+        assert packed.select("doc_id").distinct().count() == docs.select("doc_id").distinct().count()
