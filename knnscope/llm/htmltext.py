@@ -41,6 +41,11 @@ INLINE = {
 }
 VOID = {"br", "img", "input", "wbr", "hr", "meta", "link", "area", "base", "col", "embed", "source", "track", "param"}
 ARTICLE = {"article", "main"}
+#: Tags of single stretches of text, which stand in articles and beside them alike: only their classes say something.
+PLAIN = {
+    "p", "h1", "h2", "h3", "h4", "h5", "h6", "ul", "ol", "li", "dl", "dt", "dd", "table", "thead", "tbody", "tr", "th", "td", "pre", "blockquote",
+    "figure", "figcaption", "html", "body", "center", "hgroup", "caption",
+}
 HEADINGS = {"h1", "h2", "h3", "h4", "h5", "h6"}
 ENDS_P = {
     "address", "article", "aside", "blockquote", "div", "dl", "fieldset", "figure", "footer", "form", "h1", "h2", "h3", "h4",
@@ -55,7 +60,7 @@ def names(tag: str, attributes: str, inside: bool) -> list[str]:
 
     A tag inside the article is another one than outside. Names like ``with-sidebar`` speak of the page, not of their content.
     """
-    found = [] if tag in INLINE else [f"<{tag}>" + (" inside" if inside else "")]
+    found = [] if tag in INLINE or tag in PLAIN else [f"<{tag}>" + (" inside" if inside else "")]
     if "=" in attributes:
         for m in ATTRIBUTE.finditer(attributes):
             for name in CAMEL.sub(r"\1-\2", m[1] or m[2] or m[3] or "").lower().split():
@@ -238,11 +243,11 @@ MAIN = "\ue000"
 #: Fixed names that pages use for what isn't the article, by kind, and for the article.
 OTHERS = {
     "menu": "nav navbar navigation menu masthead topbar toolbar header breadcrumb breadcrumbs",
-    "short": "footer legal copyright tags byline pager pagination teaser",
+    "short": "footer contentinfo legal copyright tags byline pager pagination teaser",
     "advert": "ad ads adv advert adverts advertisement banner promo sponsor sponsored",
     "notice": "cookie cookies consent gdpr notice alert modal popup newsletter subscribe signup login search",
     "comments": "comment comments reply replies discussion responses disqus reader readers",
-    "links": "related recommended sidebar widget social share sharing",
+    "links": "related complementary recommended sidebar widget social share sharing",
 }
 OWN = "content post entry story body text article main"
 
@@ -264,8 +269,11 @@ def labelled_pages(pages: int = 900, seed: int = 11) -> list[str]:
         """What isn't the article, in a tag that says so, or with a class that does, or neither."""
         if not says:
             return f"<div>{inner}</div>"
+        if chance(0.3):
+            title = pick("h1 h2 h3 h4")
+            inner = f"<{title}>{words(1, 4)}</{title}>" + inner
         tag = pick(tags) if chance(0.5) else ""
-        name = "" if tag and chance(0.5) else f" {pick('class id')}='{pick(OTHERS[kind])}{pick('-box -area -1 - -') if chance(0.3) else ''}'"
+        name = "" if tag not in ("", "section", "div") and chance(0.5) else f" {pick('class id')}='{pick(OTHERS[kind])}{pick('-box -area -1 - -') if chance(0.3) else ''}'"
         return f"<{tag or 'div'}{name}>{inner}</{tag or 'div'}>"
 
     def list_of_links() -> str:
@@ -284,23 +292,29 @@ def labelled_pages(pages: int = 900, seed: int = 11) -> list[str]:
 
     found = []
     for _ in range(pages):
-        tagged, says, bare = chance(0.6), chance(0.8), chance(0.2)
+        tagged, says, bare = chance(0.5), chance(0.8), chance(0.25)
         body = [f"<h1>{words(1, 14, True)}</h1>"] if chance(0.75) else []
         for _ in range(rng.integers(1, 14) if chance(0.7) else 1):
             short = chance(0.35 if tagged else 0.04)
             inner = words(1, 12, True) if short else words(15, 220, True, rng.random() * 0.15)
-            body.append(f"<p>{inner}</p>" if chance(0.9) else f"<blockquote>{inner}</blockquote>" if chance(0.5) else f"<div>{inner}</div>")
-            if chance(0.06):
-                body.append(f"<h2>{words(1, 9, True)}</h2>")
+            tag = "p" if chance(0.85) else pick("blockquote pre div section figure dd")
+            body.append(f"<{tag}>{inner}</{tag}>")
+            if chance(0.1):
+                title = pick("h2 h3 h4")
+                body.append(f"<{title}>{words(1, 9, True)}</{title}>")
+            if tagged and chance(0.15):
+                group, item = [("ul", "li"), ("ol", "li"), ("table", "td")][int(rng.integers(3))]
+                items = "".join(f"<{item}>{words(1, 25, True)}</{item}>" for _ in range(rng.integers(1, 6)))
+                body.append(f"<{group}>{'<tr>' if item == 'td' else ''}{items}{'</tr>' if item == 'td' else ''}</{group}>")
             if chance(0.12):
                 body += beside(True)
         if tagged and chance(0.3):
             body[0] = f"<header>{body[0]}</header>"
         if tagged and chance(0.25):
-            body.append(other("comments", "section aside", "".join(f"<p>{words(3, 70)}</p>" for _ in range(rng.integers(1, 5))), True))
+            body.append(other("comments", "section aside div", "".join(f"<p>{words(3, 70)}</p>" for _ in range(rng.integers(1, 5))), True))
         if tagged:
-            tag = pick("article main div") if says else pick("article main")
-            name = f" class='{pick(OWN)}'" if tag == "div" or chance(0.3) else ""
+            tag = pick("article main div section") if says else pick("article main")
+            name = f" {pick('class id')}='{pick(OWN)}'" if tag in ("div", "section") or chance(0.3) else ""
             article = f"<{tag}{name}>{''.join(body)}</{tag}>"
         else:
             article = "".join(body) if chance(0.5) else f"<div>{''.join(body)}</div>"
@@ -311,7 +325,7 @@ def labelled_pages(pages: int = 900, seed: int = 11) -> list[str]:
             before += beside(says)
             after += beside(says)
             if chance(0.4):
-                after.append(other("comments", "aside section", "".join(f"<p>{words(3, 70)}</p>" for _ in range(rng.integers(1, 4))), True))
+                after.append(other("comments", "aside section div", "".join(f"<p>{words(3, 70)}</p>" for _ in range(rng.integers(1, 4))), True))
             if chance(0.8):
                 after.append(other("short", "footer", words(3, 14, links=rng.random() * 0.5), says))
         found.append("<body>" + "".join([*before, article, *after]) + "</body>")

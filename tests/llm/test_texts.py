@@ -198,6 +198,8 @@ PAGES = {
     # nothing but words and links tells these apart
     "<div><a href=a>Home</a></div><div><a href=b>All our news</a></div><div>" + "some long text of it " * 20 + "</div><div><a href=c>Next</a></div>": ("some long text of it " * 20).strip(),
     "<table><tr><td><a href=a>One</a><td><a href=b>Two</a></table><p>" + "plain words " * 40 + "<p>" + "more words " * 40: ("plain words " * 40).strip() + "\n\n" + ("more words " * 40).strip(),
+    "<header><h1>Site</h1></header><section class='post'><h1>Title</h1><p>Body one two three.</p><ul><li>An item</li><li>More</li></ul><table><tr><td>cell</td></tr></table></section><section id='comments'><article><p>reader says hello</p></article></section>": "Title\n\nBody one two three.\n\nAn item\n\nMore\n\ncell",
+    "<article><p>Para one is here.</p><div class='newsletter-signup'><p>Subscribe now</p></div><p class='byline'>By Me</p><div class='related-posts'><h3>More</h3><ul><li><a href=y>Other</a></li></ul></div><section class='comments'><h2>Comments</h2><p>First!</p></section></article>": "Para one is here.",
     "<article><p>Kept</p><p>Also kept <": "Kept\n\nAlso kept <",
     "": "", "<p>": "", "<script>never ends <p>x</p>": "",
 }
