@@ -153,6 +153,7 @@ def pieces(docs: DataFrame, path: str, capacity: int = CAPACITY, with_ids: bool
                     if with_ids:
                         out["ids"].append(np.frombuffer(cut, "<u4").tolist())
             yield out
+        own.forget()
 
     schema = "doc_id long, piece int, start long, length long, ids_crc32 long, part int, nth long"
     return map_rows(docs, ["doc_id", "text"], kernel, schema + (", ids array<long>" if with_ids else ""))
