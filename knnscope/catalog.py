@@ -20,7 +20,7 @@ def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {n: _relational(t) for n, t in relational.QUERIES.items()} | methods.queries()
+    return {n: _relational(relational.SPARK.get(n, t)) for n, t in relational.QUERIES.items()} | methods.queries()
 
 
 def oracle_sql() -> dict:

@@ -104,3 +104,10 @@ def test_late_rows_are_dropped(spark, tmp_path):
     s = streaming.window_counts(streaming.point_stream(spark, str(flat), spark.createDataFrame([], schema).schema), "event_type", "1 day")
     got = {str(r.start)[:10]: r["count"] for r in streaming.drain(s, "late_rows").collect()}
     assert got["2024-01-01"] == 3 and got["2024-01-20"] == 2
+
+
+def test_of_equal_prices_the_first_order_is_taken(spark, tmp_path):
+    rows = [(3, 1, 5.0), (4, 1, 5.0), (7, 1, 4.0), (None, 1, 9.0), (5, 2, None), (6, 2, 1.0)]
+    spark.createDataFrame(rows, "o_orderkey long, o_custkey long, o_totalprice double").coalesce(1).write.parquet(str(tmp_path / "orders.parquet"))
+    got = {r.o_custkey: (r.top, r.of) for r in catalog.queries()["agg_max_by"](spark, str(tmp_path)).collect()}
+    assert got == {1: (9.0, 3), 2: (1.0, 6)}
