@@ -111,3 +111,14 @@ def test_of_equal_prices_the_first_order_is_taken(spark, tmp_path):
     spark.createDataFrame(rows, "o_orderkey long, o_custkey long, o_totalprice double").coalesce(1).write.parquet(str(tmp_path / "orders.parquet"))
     got = {r.o_custkey: (r.top, r.of) for r in catalog.queries()["agg_max_by"](spark, str(tmp_path)).collect()}
     assert got == {1: (9.0, 3), 2: (1.0, 6)}
+
+
+def test_cells_come_back_from_the_keys_of_a_table(spark, sf):
+    df = catalog.queries()["cell_roundtrip"](spark, sf)
+    got = {r.kind: (r.cells, r.unit_steps) for r in df.collect()}
+    import duckdb
+
+    con = duckdb.connect()
+    con.execute(f"create view events as from '{sf}/events.parquet'")
+    assert got == {k: (c, u) for k, c, u in con.execute(catalog.oracle_sql()["cell_roundtrip"]).fetchall()}
+    assert all(0 < u < c for c, u in got.values()) and got["z"][1] < got["hilbert"][1]
