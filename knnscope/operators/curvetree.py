@@ -119,7 +119,7 @@ class CurveTree:
     def learn(self, key: int, answer: Answer) -> str:
         """Split the leaf that was asked, or set its state; then set what the certified ball tells of other leaves."""
         x, y, side = self.boxes[key]
-        may = len(answer.dist) >= self.split_threshold and answer.dist[self.split_threshold - 1] <= side * 2**0.5 / 2
+        may = answer.reach(self.split_threshold) <= side * 2**0.5 / 2
         node = "leaf"
         if self.level[key] < self.levels and may:
             self._split(key)
@@ -127,18 +127,17 @@ class CurveTree:
         elif self.level[key] < self.levels:
             self.mark(key, False)
         else:
-            at = self.min_pts - 1
             if self.leaf_test in ("in_cell", "exact"):
                 half = side / 2
-                inside = lambda xs, ys: int(((xs >= x - half) & (xs < x + half) & (ys >= y - half) & (ys < y + half)).sum())
-                n = inside(answer.xs, answer.ys)
+                inside = lambda xs, ys, w=1: int((((xs >= x - half) & (xs < x + half) & (ys >= y - half) & (ys < y + half)) * w).sum())
+                n = inside(answer.xs, answer.ys, answer.weights)
                 if self.leaf_test == "exact" and n < self.min_pts and answer.radius <= side / 2**0.5:
                     found = np.array(list(crawl_box(self.service, (x - half, y - half, x + half, y + half), "leaf").values())).reshape(-1, 2)
                     n = inside(found[:, 0], found[:, 1])
                 dense = n >= self.min_pts
             else:
                 reach = side / 2 * (2**0.5 if self.leaf_test == "circumscribed" else 1)
-                dense = len(answer.dist) > at and bool(answer.dist[at] <= reach)
+                dense = answer.reach(self.min_pts) <= reach
             self.mark(key, dense)
         if self.infer:
             self._infer(answer)
@@ -168,7 +167,7 @@ class CurveTree:
         if not inside.any():
             return
         own = self.locate(answer.xs, answer.ys)
-        counts = np.bincount(np.searchsorted(keys, own[own >= 0], side="right") - 1, minlength=len(keys))
+        counts = np.bincount(np.searchsorted(keys, own[own >= 0], side="right") - 1, answer.weights[own >= 0], len(keys))
         for i in np.flatnonzero(inside).tolist():
             key, dense = int(keys[i]), bool(counts[i] >= self.min_pts)
             # a large leaf that holds enough points is still to be cut
@@ -216,6 +215,17 @@ class CurveTree:
         ]
 
 
+def centres(domain, min_side: float, kind: str = "hilbert", adaptive: bool = True) -> list[tuple[float, float]]:
+    """Where a tree may ask: the centres of its cells of every level, or of the smallest alone."""
+    b, (x0, y0, whole) = curves.base(kind), domain
+    levels = round(math.log(whole / min_side, b))
+    found = []
+    for level in range(1 if adaptive else levels, levels + 1):
+        side = whole / b**level
+        found += [(x0 + (i + 0.5) * side, y0 + (j + 0.5) * side) for i in range(b**level) for j in range(b**level)]
+    return found
+
+
 def weights_from_counts(counts: list[tuple[float, float, float]], reach: float):
     """A prior for ``seed_policy='prior'``: counts at places (population, housing units), summed over a leaf and round it."""
     c = np.array(counts, float).reshape(-1, 3)

@@ -21,16 +21,19 @@ AIM = 32
 class Pyramid:
     """Counts of points on a grid over their bounding square, with prefix sums for counts of blocks."""
 
-    def __init__(self, points: DataFrame, grid: int | None = None):
+    def __init__(self, points: DataFrame, grid: int | None = None, k: int = 1):
         box = points.agg(F.min("x"), F.max("x"), F.min("y"), F.max("y"), F.count(F.lit(1))).first()
         self.n = box[4]
-        self.grid = grid = grid or min(MOST, max(GRID, round((self.n / AIM) ** 0.5)))
+        # for large k the cells are larger, so that a ball touches few of them
+        aim, least = (AIM, GRID) if k <= 16 * AIM else (k / 8, GRID // 4)
+        self.grid = grid = grid or min(MOST, max(least, round((self.n / aim) ** 0.5)))
         self.x0, self.y0 = (box[0], box[2]) if self.n else (0.0, 0.0)
         extent = max(box[1] - box[0], box[3] - box[2]) if self.n else 0.0
         self.side = (extent or 1.0) * (1 + 1e-9) / grid
         counts = np.zeros((grid, grid), np.int64)
-        for cx, cy, n in self.located(points).groupBy("cx", "cy").count().collect():
-            counts[cx, cy] = n
+        found = self.located(points).groupBy("cx", "cy").count().toArrow()
+        cx, cy, n = (found.column(c).to_numpy() for c in found.column_names)
+        counts[cx, cy] = n
         self.sums = np.zeros((grid + 1, grid + 1), np.int64)
         self.sums[1:, 1:] = counts.cumsum(0).cumsum(1)
 
@@ -94,16 +97,81 @@ def brute(points: DataFrame, probes: DataFrame, k: int) -> DataFrame:
 
 def grid_join(points: DataFrame, pyramid: Pyramid, probes: list[tuple[int, float, float]], k: int, columns=("id", "x", "y")) -> DataFrame:
     """As ``brute``, for a list of ``(qid, qx, qy)`` that a driver holds; the list's size is its caller's budget."""
-    spark = points.sparkSession
+    return ranked(_candidates(points, pyramid, probes, k, columns).drop("r2"), k)
+
+
+def _candidates(points: DataFrame, pyramid: Pyramid, probes, k: int, columns=("id", "x", "y")) -> DataFrame:
+    """``qid, qx, qy, r2, d2`` and the columns of all rows within the radius that certainly holds a probe's k nearest."""
     rows = []
     for qid, qx, qy in probes:
         r = pyramid.radius(qx, qy, k)
         rows += [(qid, float(qx), float(qy), r * r, cx, cy) for cx, cy in pyramid.touched(qx, qy, r)]
     schema = "qid long, qx double, qy double, r2 double, cx int, cy int"
-    wanted = F.broadcast(spark.createDataFrame(rows, schema))
+    wanted = F.broadcast(points.sparkSession.createDataFrame(pd.DataFrame(rows, columns=["qid", "qx", "qy", "r2", "cx", "cy"]), schema))
     located = pyramid.located(points.select(*columns))
-    near = with_distance(located.join(wanted, ["cx", "cy"])).filter(F.col("d2") <= F.col("r2"))
-    return ranked(near.drop("cx", "cy", "r2"), k)
+    return with_distance(located.join(wanted, ["cx", "cy"])).filter(F.col("d2") <= F.col("r2")).drop("cx", "cy")
+
+
+#: Rings into which a probe's candidates are counted.
+RINGS = 1024
+
+
+def counted(points: DataFrame, pyramid: Pyramid, probes: list[tuple[int, float, float]], ranks: list[int], cells) -> list[tuple]:
+    """For each probe, in order, what its ``max(ranks)`` nearest rows are, without the rows: a dict of ``rank -> (distance, id, d2)``
+    (the last row alone if there are fewer) and, as arrays, the cells ``i, j`` of ``cells = (x0, y0, side)`` with their numbers of rows.
+
+    Candidates are counted by rings, the rows of the rings that hold a rank give it exactly, and what is not beyond the last is
+    counted by cells; nothing is sorted but these rings, and only counts reach the driver.
+    """
+    if not pyramid.n:
+        return [({}, *(np.zeros(0, np.int64),) * 3) for _ in probes]
+    ranks = sorted({min(r, pyramid.n) for r in ranks})
+    near = _candidates(points, pyramid, probes, ranks[-1]).withColumn("ring", F.least(F.lit(RINGS - 1), F.floor(F.col("d2") / F.col("r2") * RINGS)))
+    rings = near.groupBy("qid", "ring").agg(F.count(F.lit(1)).alias("n"))
+    before = F.sum("n").over(Window.partitionBy("qid").orderBy("ring"))
+    held = rings.withColumn("upto", before).withColumn("rank", F.explode(F.lit(ranks)))
+    held = held.filter("rank <= upto AND rank > upto - n").select("qid", "ring", "rank", (F.col("upto") - F.col("n")).alias("before"))
+    held = _local(held, "qid long, ring long, rank long, before long")
+    spots = held.groupBy("qid", "ring").agg(F.collect_set("rank").alias("ranks"), F.min("before").alias("before"))
+    close = near.join(F.broadcast(spots), ["qid", "ring"]).select("qid", "ring", "d2", "id", "ranks", "before")
+    order = Window.partitionBy("qid", "ring").orderBy("d2", "id")
+    ends = close.withColumn("rank", F.col("before") + F.row_number().over(order)).filter(F.array_contains("ranks", F.col("rank").cast("int")))
+    ends = ends.select("qid", F.col("rank").cast("long").alias("rank"), "d2", "id").toArrow().to_pylist()
+    lasts = [(e["qid"], e["d2"], e["id"]) for e in ends if e["rank"] == ranks[-1]]
+    last = F.broadcast(points.sparkSession.createDataFrame(lasts, "qid long, l2 double, lid long"))
+    mine = near.join(last, "qid").filter("d2 < l2 OR (d2 = l2 AND id <= lid)")
+    x0, y0, side = cells
+    cell = lambda c, o: F.floor((F.col(c) - F.lit(o)) / F.lit(side)).cast("long")
+    counts = mine.groupBy("qid", cell("x", x0).alias("i"), cell("y", y0).alias("j")).agg(F.count(F.lit(1)).alias("n")).toArrow()
+    qid, i, j, n = (counts.column(c).to_numpy() for c in counts.column_names)
+    at = np.argsort(qid, kind="stable")
+    qid, i, j, n = qid[at], i[at], j[at], n[at]
+    found: dict[int, dict] = {}
+    for e in ends:
+        found.setdefault(e["qid"], {})[e["rank"]] = (float(np.sqrt(e["d2"])), e["id"], e["d2"])
+    names = np.array([p[0] for p in probes])
+    lo, hi = np.searchsorted(qid, names), np.searchsorted(qid, names, side="right")
+    return [(found.get(q, {}), i[a:b], j[a:b], n[a:b]) for q, a, b in zip(names.tolist(), lo, hi)]
+
+
+def _local(df: DataFrame, schema: str) -> DataFrame:
+    """A small table, computed once: it goes through the driver."""
+    return df.sparkSession.createDataFrame(df.toArrow().to_pandas(), schema)
+
+
+def inside(points: DataFrame, pyramid: Pyramid, balls: list[tuple]) -> DataFrame:
+    """The rows of ``points`` in any of the ``balls``: ``(qid, x, y, distance, id, d2)``, with rows of that very d2 up to that id."""
+    rows: dict[tuple[int, int], list] = {}
+    every = [(x, y, float("inf"), 0) for _, x, y, _, _, d2 in balls if d2 == float("inf")]
+    if every:
+        return points
+    for _, x, y, r, last, d2 in balls:
+        for c in pyramid.touched(x, y, r * (1 + 1e-9)):
+            rows.setdefault(c, []).append((x, y, d2, last))
+    schema = "cx int, cy int, balls array<struct<x:double,y:double,d2:double,id:long>>"
+    table = points.sparkSession.createDataFrame([(*c, b) for c, b in rows.items()], schema)
+    hit = "exists(balls, b -> (x-b.x)*(x-b.x)+(y-b.y)*(y-b.y) < b.d2 OR ((x-b.x)*(x-b.x)+(y-b.y)*(y-b.y) = b.d2 AND id <= b.id))"
+    return pyramid.located(points).join(F.broadcast(table), ["cx", "cy"]).filter(hit).select(*points.columns)
 
 
 def knn_join(left: DataFrame, right: DataFrame, k: int, grid: int | None = None) -> DataFrame:

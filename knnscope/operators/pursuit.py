@@ -37,6 +37,9 @@ class GridLine:
         c = math.floor((x - self.low) / self.side)
         return c if 0 <= c < self.n else None
 
+    def places(self) -> list[tuple[float, float]]:
+        return [self.place(c) for c in range(self.n)]
+
     def rank(self, cell: int) -> int:
         return cell
 
@@ -58,8 +61,10 @@ class GridLine:
     def learn(self, cell: int, answer: Answer) -> str:
         """The cell's state from the call at its centre; and, free of charge, those of cells inside the certified ball."""
         inside = [self.cell_of(x) for x in answer.xs.tolist()]
-        if self.rule == "all_k":
-            dense = len(inside) >= self.min_pts and all(c == cell for c in inside)
+        if self.rule == "all_k" or answer.weight is not None:
+            if self.rule != "all_k" and answer.n > self.min_pts:
+                raise ValueError("counted answers have no order: k must be min_pts")
+            dense = answer.n >= self.min_pts and all(c == cell for c in inside)
         else:
             first = inside[: self.min_pts]
             dense = len(first) >= self.min_pts and all(c == cell for c in first)
@@ -81,9 +86,9 @@ class GridLine:
             lo = math.ceil((answer.x - answer.radius - self.low) / self.side + 1e-9)
             hi = math.floor((answer.x + answer.radius - self.low) / self.side - 1e-9) - 1
         counts: dict[int, int] = {}
-        for c in inside:
+        for c, n in zip(inside, answer.weights.tolist()):
             if c is not None:
-                counts[c] = counts.get(c, 0) + 1
+                counts[c] = counts.get(c, 0) + n
         return {c: counts.get(c, 0) >= self.min_pts for c in range(max(0, lo), min(self.n - 1, hi) + 1)}
 
     def beyond(self, cell: int, answer: Answer, toward: int) -> int | None:

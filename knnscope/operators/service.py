@@ -45,7 +45,11 @@ class RateLimit:
 
 @dataclass
 class Answer:
-    """The rows nearest to (x, y), nearest first. Nothing closer than ``radius`` is missing (an open ball)."""
+    """The rows nearest to (x, y), nearest first. Nothing closer than ``radius`` is missing (an open ball).
+
+    A counted answer holds cells in place of rows: ``xs`` and ``ys`` are their centres, ``weight`` says how many of the rows lie
+    in each, ``reaches`` the distances to some of the rows by rank, and ``ids`` and ``dist`` are empty.
+    """
 
     x: float
     y: float
@@ -54,6 +58,22 @@ class Answer:
     ys: np.ndarray
     dist: np.ndarray
     radius: float
+    weight: np.ndarray | None = None
+    reaches: dict | None = None
+
+    @property
+    def n(self) -> int:
+        return len(self.dist) if self.weight is None else int(self.weight.sum())
+
+    @property
+    def weights(self) -> np.ndarray:
+        return np.ones(len(self.xs), np.int64) if self.weight is None else self.weight
+
+    def reach(self, rank: int) -> float:
+        """The distance to the row of that rank; infinite if there are fewer."""
+        if self.n < rank:
+            return math.inf
+        return float(self.dist[rank - 1]) if self.weight is None else self.reaches[rank]
 
 
 #: Fixed presets after the services described: k, budget, rate and what a filter may name.
@@ -91,12 +111,12 @@ class _Service:
         self.rounds += 1
         answers = self._answer(places[:n])
         for a, p in zip(answers, purposes):
-            new = [i for i in a.ids.tolist() if i not in self.seen]
+            new = [i for i in a.ids.tolist() if i not in self.seen] if a.weight is None else None
             for i, x, y in zip(a.ids.tolist(), a.xs.tolist(), a.ys.tolist()):
                 self.seen[i] = (x, y)
             self.calls.append({
                 "qid": len(self.calls), "round": self.rounds, "purpose": p, "node": None, "qx": float(a.x), "qy": float(a.y),
-                "k": self.k, "radius": a.radius if math.isfinite(a.radius) else None, "n_new": len(new),
+                "k": self.k, "radius": a.radius if math.isfinite(a.radius) else None, "n_new": None if new is None else len(new),
             })
         return answers
 
@@ -141,10 +161,10 @@ class _Service:
 class KnnService(_Service):
     """Over a DataFrame ``(id, x, y, ...)`` of any size; each round of probes is one job."""
 
-    def __init__(self, points: DataFrame, k: int, budget: Budget | None = None, rate: RateLimit | None = None, where=None):
+    def __init__(self, points: DataFrame, k: int, budget: Budget | None = None, rate: RateLimit | None = None, where=None, pyramid=None):
         super().__init__(k, budget or Budget(), rate)
         self.points = points if where is None else points.filter(where)  # below the join, so it reaches the scan
-        self.pyramid = knn.Pyramid(self.points)
+        self.pyramid = pyramid or knn.Pyramid(self.points)
 
     @classmethod
     def preset(cls, name: str, points: DataFrame, budget: Budget | None = None, where=None) -> KnnService:
@@ -158,15 +178,64 @@ class KnnService(_Service):
         return knn.grid_join(self.points, self.pyramid, [(i, x, y) for i, (x, y) in enumerate(places)], self.k)
 
     def _answer(self, places):
-        rows: list[list] = [[] for _ in places]
-        for r in self.answers(places).select("qid", "rank", "id", "x", "y").collect():  # k rows for each probe
-            rows[r.qid].append((r["rank"], r["id"], r["x"], r["y"]))
+        found = self.answers(places).select("qid", "rank", "id", "x", "y").toArrow()  # k rows for each probe
+        qid, rank, ids, xs, ys = (found.column(c).to_numpy() for c in found.column_names)
+        order = np.lexsort((rank, qid))
+        qid, ids, xs, ys = qid[order], ids[order], xs[order], ys[order]
+        ends = np.searchsorted(qid, np.arange(len(places) + 1))
+        return [self._certified(x, y, ids[a:b], xs[a:b], ys[a:b]) for (x, y), a, b in zip(places, ends, ends[1:])]
+
+
+class PreparedKnnService(KnnService):
+    """The same answers for a client that asks at places known beforehand (centres of a line's or a tree's cells): the first call
+    looks up ``places`` in one job, and what isn't asked isn't charged. ``book`` may be shared by the runs over one set of points.
+    """
+
+    def __init__(self, points: DataFrame, k: int, places, budget: Budget | None = None, pyramid=None, book: dict | None = None):
+        super().__init__(points, k, budget, pyramid=pyramid or knn.Pyramid(points, k=k))
+        self.places, self.book = list(places), {} if book is None else book
+
+    def _answer(self, places):
+        if any(p not in self.book for p in places):
+            missing = list(dict.fromkeys(p for p in (places if self.book else [*places, *self.places]) if p not in self.book))
+            self.book.update(zip(missing, self._look_up(missing)))
+        return [self.book[p] for p in places]
+
+    def _look_up(self, places) -> list[Answer]:
+        return super()._answer(places)
+
+
+class CountedKnnService(PreparedKnnService):
+    """The same for k in proportion to the points: an answer reaches the client as counts by the cells of ``cells = (x0, y0, side)``,
+    which are all that a client of these cells uses, so the driver holds places and cells, never rows.
+
+    ``ranks`` are those whose distances the client compares, k among them. What the calls have shown is the table ``seen_in``.
+    """
+
+    def __init__(self, points, k, places, cells, ranks=(), budget=None, pyramid=None, book=None):
+        super().__init__(points, k, places, budget, pyramid, book)
+        self.cells, self.ranks = cells, sorted({k, *ranks})
+        if self.ranks[-1] > k:
+            raise ValueError("an answer holds k rows")
+
+    def _look_up(self, places):
+        x0, y0, side = self.cells
+        found = knn.counted(self.points, self.pyramid, [(i, x, y) for i, (x, y) in enumerate(places)], self.ranks, self.cells)
         out = []
-        for (x, y), found in zip(places, rows):
-            found.sort()
-            out.append(self._certified(x, y, [f[1] for f in found], [f[2] for f in found], [f[3] for f in found]))
+        for (x, y), (ends, i, j, n) in zip(places, found):
+            radius = math.inf if n.sum() < self.k else ends[self.k][0]
+            none = np.zeros(0)
+            a = Answer(x, y, none.astype(np.int64), x0 + (i + 0.5) * side, y0 + (j + 0.5) * side, none, radius, n, {r: e[0] for r, e in ends.items()})
+            a.last = ends[min(self.k, max(ends, default=self.k))] if ends else None
+            out.append(a)
         return out
 
+    def seen_in(self, points: DataFrame) -> DataFrame:
+        """The rows of ``points`` that the calls have returned."""
+        asked = {(c["qx"], c["qy"]) for c in self.calls}
+        balls = [(i, *p, *(self.book[p].last or (math.inf, 0, math.inf))) for i, p in enumerate(sorted(asked))]
+        return knn.inside(points, self.pyramid, balls)
+
 
 class MemoryKnnService(_Service):
     """The same answers from arrays, for benchmark sets of at most ``LIMIT`` points, so that sweeps of many sequential

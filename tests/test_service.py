@@ -70,3 +70,31 @@ def test_empty_and_few(points):
     s = KnnService(points.limit(0), 3)
     assert len(s.probe([(0.0, 0.0)])[0].ids) == 0
     assert KnnService(points.limit(2), 3).probe([(0.0, 0.0)])[0].radius == np.inf
+
+
+def test_prepared_answers_are_charged_as_they_are_asked(points):
+    b = MemoryKnnService(arrays(), 7).probe(PLACES[:2])
+    s = service.PreparedKnnService(points, 7, PLACES, Budget(3))
+    a = s.probe(PLACES[:2])
+    assert [p.ids.tolist() for p in a] == [q.ids.tolist() for q in b] and s.budget.used == len(s.calls) == 2
+    s.points = None  # no further job
+    assert len(s.probe(PLACES)) == 1
+    with pytest.raises(BudgetExhausted):
+        s.probe(PLACES)
+
+
+@pytest.mark.parametrize("k", [1, 7, 60, 400])
+def test_counted_answers_equal_the_rows(points, k):
+    cells = (-0.5, -0.5, 8.0)
+    a = service.CountedKnnService(points, k, PLACES, cells, [1, (k + 1) // 2])
+    for p, q in zip(a.probe(PLACES), MemoryKnnService(arrays(), k).probe(PLACES)):
+        want = {}
+        for x, y in zip(q.xs, q.ys):
+            c = (int((x + 0.5) // 8), int((y + 0.5) // 8))
+            want[c] = want.get(c, 0) + 1
+        assert {(int((x + 0.5) // 8), int((y + 0.5) // 8)): n for x, y, n in zip(p.xs, p.ys, p.weight)} == want
+        assert p.n == q.n and p.radius == q.radius
+        if k <= q.n:
+            assert p.reach((k + 1) // 2) == q.reach((k + 1) // 2) and p.reach(k) == q.reach(k)
+    want = set().union(*(q.ids.tolist() for q in MemoryKnnService(arrays(), k).probe(PLACES)))
+    assert {r.id for r in a.seen_in(points).collect()} == want
