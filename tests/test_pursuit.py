@@ -96,3 +96,22 @@ def test_walking_costs_more_than_skipping_and_halving(spark):
         assert rows["walk"].calls > rows["skip"].calls >= rows["bisect"].calls
         assert rows["auto"].calls <= rows["skip"].calls < rows["scan_all"].calls
         assert len({rows[m].segments for m in ("walk", "skip", "bisect", "auto")}) == 1
+
+
+def test_a_line_of_many_points_costs_the_same_calls(spark, monkeypatch):
+    from knnscope.plans import workloads
+
+    sf = "/root/testdata/sf0.01"
+    small = workloads.line_costs(spark, sf, "value").collect()
+    monkeypatch.setattr(workloads, "LINE_LIMIT", 10)
+    assert workloads.line_costs(spark, sf, "value").collect() == small
+
+
+def test_lines_are_never_collected(spark, monkeypatch):
+    from knnscope import catalog
+    from knnscope.operators.service import MemoryKnnService
+
+    monkeypatch.setattr(MemoryKnnService, "LIMIT", 10)
+    q, sf = catalog.queries(), "/root/testdata/sf0.01"
+    for name in ("density_probe_1d", "density_probe_all_k", "segments_exhaustive_1d", "segments_walk_1d", "segments_auto_1d"):
+        assert q[name](spark, sf).count() > 0, name
