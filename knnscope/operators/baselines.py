@@ -184,6 +184,16 @@ def draw(service, domain, seed: int = 42, sampler: str = "voronoi", batch: int =
     return found
 
 
+def drawn_places(domain, n: int, seed: int = 42, sampler: str = "raw") -> list[tuple[float, float]]:
+    """The first n places at which ``draw`` asks, one a round; ``voronoi`` draws two more numbers for each."""
+    rng, (x0, y0, side), found = random.Random(seed), domain, []
+    for _ in range(n):
+        found.append((x0 + rng.random() * side, y0 + rng.random() * side))
+        if sampler != "raw":
+            rng.random(), rng.random()
+    return found
+
+
 def sample_then_cluster(
     service, domain, eps: float, min_pts: int, noise_distance: float | None = None, sampler: str = "raw", seed: int = 42, scale_to: int | None = None,
 ) -> SampleModel:
@@ -193,7 +203,12 @@ def sample_then_cluster(
     that answers held are used with ``sampler='all'``. ``sampler='uniform'`` draws uniformly, one point a call of the budget,
     which the interface doesn't offer: the best that a sampling client could hope for.
     """
-    if sampler == "uniform":
+    if sampler == "uniform" and not hasattr(service, "id"):
+        n = int(min(service.budget.left, service.pyramid.n))
+        service.budget.charge(n)
+        service.rounds += 1
+        found = {r.id: (r.x, r.y) for r in sample_uniform(service.points, n, seed).select("id", "x", "y").collect()}
+    elif sampler == "uniform":
         n = int(min(service.budget.left, len(service.id)))
         service.budget.charge(n)
         service.rounds += 1

@@ -10,10 +10,11 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from knnscope.functions import curves
+from knnscope.io import materialize
 from knnscope.operators import merge as merging
 from knnscope.operators.curvetree import CurveTree
 from knnscope.operators.pursuit import Pursuit
-from knnscope.operators.service import LEDGER
+from knnscope.operators.service import LEDGER, CountedKnnService
 
 LEAVES = "level int, lo_key long, hi_key long, x double, y double, side double, state string"
 
@@ -144,7 +145,10 @@ def curve_cluster_2d(
     seed: int = 42, infer: bool = True, split_threshold: int | None = None, leaf_test: str = "in_cell",
     seed_policy: str = "leaf", prior=None, recompute: bool = False, init_level: int = 1,
 ) -> ClusterModel:
-    """Find mini-clusters on the curve until the service's budget is used up, merge them, and return the function."""
+    """Find mini-clusters on the curve until the service's budget is used up, merge them, and return the function.
+
+    With a service that counts answers by the tree's cells, what was observed stays a table, and merging compares it there.
+    """
     tree = CurveTree(domain, min_side, min_pts, curve, fanout, adaptive, init_level, split_threshold, leaf_test, infer, seed_policy, prior, service)
     checks = tree.width if n_check is None else n_check
     found = Pursuit(tree, service, checks, strategy, seeds_per_round, seed, on_split).run()
@@ -155,11 +159,21 @@ def curve_cluster_2d(
             joined[-1] = (joined[-1][0], max(joined[-1][1], hi))
         else:
             joined.append((lo, hi))
-    ids = np.array(sorted(service.seen), np.int64)
-    places = np.array([service.seen[i] for i in ids.tolist()], float).reshape(-1, 2)
-    keys = tree.locate(places[:, 0], places[:, 1])
-    observed = {i: places[(keys >= lo) & (keys <= hi)] for i, (lo, hi) in enumerate(joined)}
-    if merge == "top_l":
+    counts = isinstance(service, CountedKnnService)
+    if counts:
+        seen, n_seen, observed = service.seen_in(service.points.select("id", "x", "y")), None, {}
+    else:
+        ids = np.array(sorted(service.seen), np.int64)
+        places = np.array([service.seen[i] for i in ids.tolist()], float).reshape(-1, 2)
+        keys, n_seen = tree.locate(places[:, 0], places[:, 1]), len(ids)
+        observed = {i: places[(keys >= lo) & (keys <= hi)] for i, (lo, hi) in enumerate(joined)}
+    if merge == "top_l" and counts:
+        if recompute:
+            raise ValueError("counted answers are merged once")
+        at = ClusterModel(curve, tuple(domain), tree.levels, [(lo, hi, i) for i, (lo, hi) in enumerate(joined)])
+        held = at.assign(seen, name="mini").filter("mini IS NOT NULL").select("mini", "x", "y")
+        pairs, edges = merging.top_l_table(materialize(held, "observed"), list(range(len(joined))), l or max(1, min_pts // 2), merge_threshold or eps)
+    elif merge == "top_l":
         pairs, edges = merging.top_l(observed, l or max(1, min_pts // 2), merge_threshold or eps, recompute)
     elif merge == "adjacent":
         pairs = {}
@@ -175,7 +189,7 @@ def curve_cluster_2d(
     number = {r: n for n, r in enumerate(sorted(set(roots.values())), 1)}
     info = {
         "h": len(joined), "calls": service.budget.used, "rounds": service.rounds, "leaves": tree.size(), "internal": tree.internal,
-        "observed": len(ids), "checks_failed": found.checks_failed, "wasted": found.wasted, "pairs_compared": len(pairs),
+        "observed": n_seen, "checks_failed": found.checks_failed, "wasted": found.wasted, "pairs_compared": len(pairs),
     }
     final = [(lo, hi, number[roots[i]]) for i, (lo, hi) in enumerate(joined)]
     return ClusterModel(curve, tuple(domain), tree.levels, final, info, observed, tree, service.calls)

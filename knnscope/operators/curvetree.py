@@ -226,6 +226,12 @@ def centres(domain, min_side: float, kind: str = "hilbert", adaptive: bool = Tru
     return found
 
 
+def smallest_cells(domain, min_side: float, kind: str = "hilbert") -> tuple[float, float, float]:
+    """Corner and side of a tree's smallest cells, by which a service may count its answers."""
+    b = curves.base(kind)
+    return domain[0], domain[1], domain[2] / b ** round(math.log(domain[2] / min_side, b))
+
+
 def weights_from_counts(counts: list[tuple[float, float, float]], reach: float):
     """A prior for ``seed_policy='prior'``: counts at places (population, housing units), summed over a leaf and round it."""
     c = np.array(counts, float).reshape(-1, 3)

@@ -64,9 +64,16 @@ def agreement_arrays(pred, truth) -> dict[str, float | None]:
     """The three indices of two sequences of labels on the driver, for benchmark sets."""
     from collections import Counter
 
+    return agreement_counts(Counter(zip(pred, truth)))
+
+
+def agreement_counts(table: dict) -> dict[str, float | None]:
+    """The same from the number of rows of each pair of labels."""
     two = lambda counts: sum(n * (n - 1) // 2 for n in counts.values())
-    pred, truth = list(pred), list(truth)
-    a, ac, ad, n = two(Counter(zip(pred, truth))), two(Counter(pred)), two(Counter(truth)), len(pred)
+    by_pred, by_truth = {}, {}
+    for (p, t), m in table.items():
+        by_pred[p], by_truth[t] = by_pred.get(p, 0) + m, by_truth.get(t, 0) + m
+    a, ac, ad, n = two(table), two(by_pred), two(by_truth), sum(table.values())
     total = n * (n - 1) // 2
     return {
         "rand_index": (total - ac - ad + 2 * a) / total if total else None,

@@ -186,6 +186,10 @@ class KnnService(_Service):
         return [self._certified(x, y, ids[a:b], xs[a:b], ys[a:b]) for (x, y), a, b in zip(places, ends, ends[1:])]
 
 
+#: Rows of answers that come to the driver at once when they are looked up beforehand.
+ROWS = 1_000_000
+
+
 class PreparedKnnService(KnnService):
     """The same answers for a client that asks at places known beforehand (centres of a line's or a tree's cells): the first call
     looks up ``places`` in one job, and what isn't asked isn't charged. ``book`` may be shared by the runs over one set of points.
@@ -202,7 +206,8 @@ class PreparedKnnService(KnnService):
         return [self.book[p] for p in places]
 
     def _look_up(self, places) -> list[Answer]:
-        return super()._answer(places)
+        step = max(1, ROWS // self.k)
+        return [a for at in range(0, len(places), step) for a in super(PreparedKnnService, self)._answer(places[at : at + step])]
 
 
 class CountedKnnService(PreparedKnnService):

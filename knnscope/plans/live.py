@@ -11,9 +11,9 @@ from pyspark.sql import functions as F
 from knnscope.io import materialize, table
 from knnscope.operators import grid
 from knnscope.operators.curve2d import ClusterModel, curve_cluster_2d
-from knnscope.operators.curvetree import weights_from_counts
+from knnscope.operators.curvetree import centres, smallest_cells, weights_from_counts
 from knnscope.operators.dbscan import attach_nearest
-from knnscope.operators.service import Budget, KnnService, MemoryKnnService
+from knnscope.operators.service import Budget, CountedKnnService, MemoryKnnService
 from knnscope.plans.relational import snap
 from knnscope.sources.views import VIEWS, plain, view
 
@@ -24,6 +24,8 @@ SITES = {
     "listings_b": {"k": 200, "min_pts": 10, "of": 12_250, "square": (-0.0005, -0.0005, 1024.0), "side": 32.0, "budget": 600, "merge": 20.0},
     "stations": {"k": 20, "min_pts": 3, "of": 350, "square": (-0.0005, -0.0005, 128.0), "side": 8.0, "budget": 150, "merge": 8.0},
 }
+#: Points of a site that are asked on the driver; more stay distributed.
+LIMIT = 100_000
 #: Clusters that the reports show on their own.
 SHOWN = 100
 
@@ -55,7 +57,11 @@ def fit(spark: SparkSession, sf_dir: str, site: str, seed: int = 1) -> tuple[Clu
     points = materialize(site_points(spark, sf_dir, site), site)
     n = points.count()
     k, min_pts = at_size(site, n)
-    service = (MemoryKnnService if n <= MemoryKnnService.LIMIT else KnnService)(points.select("id", "x", "y"), k, Budget(p["budget"]))
+    asked = points.select("id", "x", "y")
+    if n <= LIMIT:
+        service = MemoryKnnService(asked, k, Budget(p["budget"]))
+    else:  # k grows with the points, so answers come as counts by the tree's cells
+        service = CountedKnnService(asked, k, centres(p["square"], p["side"]), smallest_cells(p["square"], p["side"]), [min_pts], Budget(p["budget"]))
     prior = prior_of_counts(spark, sf_dir) if site.startswith("listings") else None
     model = curve_cluster_2d(
         service, p["square"], p["merge"], min_pts, p["side"], merge_threshold=p["merge"], seed=seed, n_check=2,

@@ -105,3 +105,20 @@ def test_method_beats_the_sample_at_equal_budget():
         model = baselines.sample_then_cluster(s, DOMAIN, 4.0, 40, 8.0, "raw", seed, len(i))
         base.append(agreement_arrays(model.assign_arrays(x, y).tolist(), truth.tolist())["rand_index"])
     assert np.mean(ours) > np.mean(base)
+
+
+def test_the_mean_of_the_nearest_needs_no_matrix(spark, monkeypatch):
+    rng = np.random.default_rng(3)
+    a, b, c = (np.round(rng.normal(0, 3, (900, 2)) + at, 3) for at in ([0, 0], [9, 2], [40, 0]))
+    brute = lambda p, q, l: float(np.sort(np.sqrt(((p[:, None] - q[None]) ** 2).sum(2)).ravel())[:l].mean())
+    monkeypatch.setattr(merge, "BLOCK", 256)
+    for l in (1, 7, 400, 10**7):
+        assert merge.mean_of_nearest(a, b, l) == pytest.approx(brute(a, b, l))
+    same = np.ones((900, 2))
+    assert merge.mean_of_nearest(same, same + 1, 5) == pytest.approx(2**0.5)
+    rows = [(m, float(x), float(y)) for m, p in enumerate((a, b, c)) for x, y in p]
+    table = spark.createDataFrame(rows, "mini int, x double, y double")
+    for l in (3, 300):
+        for threshold in (0.5, brute(a, b, l) * 0.999, brute(a, b, l) * 1.001, 60.0):
+            edges = merge.top_l({0: a, 1: b, 2: c}, l, threshold)[1]
+            assert merge.top_l_table(table, [0, 1, 2], l, threshold)[1] == edges, (l, threshold)

@@ -122,3 +122,28 @@ def test_cells_come_back_from_the_keys_of_a_table(spark, sf):
     con.execute(f"create view events as from '{sf}/events.parquet'")
     assert got == {k: (c, u) for k, c, u in con.execute(catalog.oracle_sql()["cell_roundtrip"]).fetchall()}
     assert all(0 < u < c for c, u in got.values()) and got["z"][1] < got["hilbert"][1]
+
+
+def test_sites_of_many_points_give_the_same_clusters(spark, monkeypatch):
+    from knnscope.plans import live
+
+    sf = "/root/testdata/sf0.01"
+    for site in ("stations", "listings_b"):
+        want, small = live.fit(spark, sf, site)
+        monkeypatch.setattr(live, "LIMIT", 10)
+        got, large = live.fit(spark, sf, site)
+        monkeypatch.undo()
+        assert got.segments == want.segments and got.info["calls"] == want.info["calls"] and not got.observed
+        assert small.select("id", "cluster_id").exceptAll(large.select("id", "cluster_id")).count() == 0
+
+
+def test_samplers_and_curves_of_large_sets(spark, sf, monkeypatch):
+    at = {"workload": "x", "budget": 40, "seed": 3}
+    runs = [at | {"curve": "peano"}, at | {"merge": "adjacent", "adaptive": False}, at | {"sampler": "raw"}, at | {"sampler": "voronoi"}]
+    small = {(r.setting, r.curve): r for r in workloads.Benchmark(spark, sf).sweep(runs).collect()}
+    monkeypatch.setattr(MemoryKnnService, "LIMIT", 10)
+    large = workloads.Benchmark(spark, sf).sweep([*runs, at | {"sampler": "uniform"}]).collect()
+    assert len(large) == 5
+    for r in large:
+        if r.setting != "sample_uniform":
+            assert list(r)[:12] == list(small[r.setting, r.curve])[:12] and list(r)[12:] == pytest.approx(list(small[r.setting, r.curve])[12:])
