@@ -64,6 +64,24 @@ class Pyramid:
         xs, ys = self.x0 + np.array([a, b]) * self.side, self.y0 + np.array([c, d]) * self.side
         return float(np.hypot(np.abs(xs - x).max(), np.abs(ys - y).max())) * (1 + 1e-9)
 
+    def radii(self, k: int) -> np.ndarray:
+        """``radius`` at the centre of every cell."""
+        g = self.grid
+        cx, cy = np.meshgrid(np.arange(g), np.arange(g), indexing="ij")
+        need, lo, hi = min(k, self.n), np.zeros((g, g), np.int64), np.full((g, g), g)
+
+        def block(r):
+            return np.maximum(0, cx - r), np.minimum(g, cx + r + 1), np.maximum(0, cy - r), np.minimum(g, cy + r + 1)
+
+        while (lo < hi).any():
+            r = (lo + hi) // 2
+            a, b, c, d = block(r)
+            enough = self.sums[b, d] - self.sums[a, d] - self.sums[b, c] + self.sums[a, c] >= need
+            lo, hi = np.where((lo < hi) & ~enough, r + 1, lo), np.where((lo < hi) & enough, r, hi)
+        a, b, c, d = block(lo)
+        far = [np.maximum(at + 0.5 - low, high - at - 0.5) * self.side for at, low, high in ((cx, a, b), (cy, c, d))]
+        return np.hypot(*far) * (1 + 1e-9)
+
     def touched(self, x: float, y: float, r: float) -> list[tuple[int, int]]:
         """The cells that a ball touches."""
         g = self.grid
@@ -95,6 +113,16 @@ def brute(points: DataFrame, probes: DataFrame, k: int) -> DataFrame:
     return ranked(with_distance(points.crossJoin(F.broadcast(probes))), k)
 
 
+#: Pairs that are all compared.
+PAIRS = 1_000_000_000
+
+
+def brute_or_join(points: DataFrame, probes: DataFrame, k: int) -> DataFrame:
+    """As ``brute``; where all pairs are too many to compare, the join by cells gives the same rows."""
+    few = points.count() * probes.count() <= PAIRS
+    return brute(points, probes, k) if few else knn_join(probes, points, k)
+
+
 def grid_join(points: DataFrame, pyramid: Pyramid, probes: list[tuple[int, float, float]], k: int, columns=("id", "x", "y")) -> DataFrame:
     """As ``brute``, for a list of ``(qid, qx, qy)`` that a driver holds; the list's size is its caller's budget."""
     return ranked(_candidates(points, pyramid, probes, k, columns).drop("r2"), k)
@@ -174,22 +202,18 @@ def inside(points: DataFrame, pyramid: Pyramid, balls: list[tuple]) -> DataFrame
     return pyramid.located(points).join(F.broadcast(table), ["cx", "cy"]).filter(hit).select(*points.columns)
 
 
-def knn_join(left: DataFrame, right: DataFrame, k: int, grid: int | None = None) -> DataFrame:
+def knn_join(left: DataFrame, right: DataFrame, k: int, grid: int | None = None, pyramid: Pyramid | None = None) -> DataFrame:
     """``qid`` and the k nearest rows of ``right(id, x, y)`` for every row of ``left(qid, qx, qy)``, both of any size.
 
     Rings of cells round each left row grow until they certainly hold k points: the radius comes from the histogram by
     a join on the left row's cell, whose table has a row for each cell of the histogram.
     """
-    spark = right.sparkSession
-    pyramid = Pyramid(right, grid)
+    pyramid = pyramid or Pyramid(right, grid)
     g = pyramid.grid
-    table = []
-    for cx in range(g):
-        for cy in range(g):
-            # one radius for all left rows of a cell: that of its centre and half a diagonal more
-            x, y = pyramid.x0 + (cx + 0.5) * pyramid.side, pyramid.y0 + (cy + 0.5) * pyramid.side
-            table.append((cx, cy, pyramid.radius(x, y, k) + pyramid.side * 2**-0.5))
-    radii = spark.createDataFrame(pd.DataFrame(table, columns=["hx", "hy", "r"]), "hx int, hy int, r double")
+    # one radius for all left rows of a cell: that of its centre and half a diagonal more
+    cx, cy = (v.ravel().astype(np.int32) for v in np.meshgrid(np.arange(g), np.arange(g), indexing="ij"))
+    table = pd.DataFrame({"hx": cx, "hy": cy, "r": pyramid.radii(k).ravel() + pyramid.side * 2**-0.5})
+    radii = right.sparkSession.createDataFrame(table, "hx int, hy int, r double")
     probes = pyramid.located(left.select("qid", "qx", "qy", F.col("qx").alias("x"), F.col("qy").alias("y"))).drop("x", "y")
     # outside the square a left row belongs to the nearest cell, and is farther away by what it lies outside
     probes = probes.withColumns({"hx": F.greatest("cx", F.lit(0)), "hy": F.greatest("cy", F.lit(0))}).drop("cx", "cy").join(radii, ["hx", "hy"])

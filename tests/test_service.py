@@ -1,8 +1,9 @@
 import numpy as np
 import pytest
 
-from knnscope.operators import service
+from knnscope.operators import knn, service
 from knnscope.operators.service import Budget, BudgetExhausted, KnnService, MemoryKnnService, RateLimit
+from knnscope.plans import methods
 
 POINTS = [(i, float((i * 37) % 101), float((i * 53) % 97)) for i in range(300)]
 
@@ -51,6 +52,25 @@ def test_crawl_finds_all_points_of_a_box():
     assert set(found) == {i for i, x, y in POINTS if 10 <= x <= 40 and 10 <= y <= 60}
 
 
+def test_core_by_probe_asks_only_outside_full_cells(spark, points):
+    _, x, y = arrays()
+    want = {i: int(((x - px) ** 2 + (y - py) ** 2 <= 64).sum()) >= 8 for i, px, py in POINTS}
+    assert {r.id: r.core for r in methods.core_by_probe(points, 8.0, 8).collect()} == want
+    assert len(set(want.values())) == 2
+
+
+def test_radii_and_brute_over_the_limit(spark, points, monkeypatch):
+    p = knn.Pyramid(points, 16)
+    centre = lambda low, c: low + (c + 0.5) * p.side
+    assert np.allclose(p.radii(5), [[p.radius(centre(p.x0, i), centre(p.y0, j), 5) for j in range(16)] for i in range(16)], rtol=1e-12)
+    probes = points.selectExpr("id AS qid", "x AS qx", "y AS qy").filter("id % 3 = 0")
+    rows = lambda: sorted((r.qid, r["rank"], r.id) for r in knn.brute_or_join(points, probes, 4).collect())
+    compared = rows()
+    monkeypatch.setattr(knn, "PAIRS", 1)
+    monkeypatch.setattr(knn, "brute", None)
+    assert rows() == compared
+
+
 @pytest.mark.parametrize("k", [20, 3])
 def test_core_test_with_and_without_crawl(k):
     _, x, y = arrays()
