@@ -202,18 +202,24 @@ def inside(points: DataFrame, pyramid: Pyramid, balls: list[tuple]) -> DataFrame
     return pyramid.located(points).join(F.broadcast(table), ["cx", "cy"]).filter(hit).select(*points.columns)
 
 
-def knn_join(left: DataFrame, right: DataFrame, k: int, grid: int | None = None, pyramid: Pyramid | None = None) -> DataFrame:
+def radius_table(spark, pyramid: Pyramid, k: int) -> DataFrame:
+    """``hx, hy, r``: one radius for all left rows of a cell, that of its centre and half a diagonal more."""
+    cx, cy = (v.ravel().astype(np.int32) for v in np.meshgrid(np.arange(pyramid.grid), np.arange(pyramid.grid), indexing="ij"))
+    table = pd.DataFrame({"hx": cx, "hy": cy, "r": pyramid.radii(k).ravel() + pyramid.side * 2**-0.5})
+    return spark.createDataFrame(table, "hx int, hy int, r double")
+
+
+def knn_join(
+    left: DataFrame, right: DataFrame, k: int, grid: int | None = None, pyramid: Pyramid | None = None, radii: DataFrame | None = None,
+) -> DataFrame:
     """``qid`` and the k nearest rows of ``right(id, x, y)`` for every row of ``left(qid, qx, qy)``, both of any size.
 
     Rings of cells round each left row grow until they certainly hold k points: the radius comes from the histogram by
-    a join on the left row's cell, whose table has a row for each cell of the histogram.
+    a join on the left row's cell, whose table has a row for each cell of the histogram; who asks again passes both.
     """
     pyramid = pyramid or Pyramid(right, grid)
     g = pyramid.grid
-    # one radius for all left rows of a cell: that of its centre and half a diagonal more
-    cx, cy = (v.ravel().astype(np.int32) for v in np.meshgrid(np.arange(g), np.arange(g), indexing="ij"))
-    table = pd.DataFrame({"hx": cx, "hy": cy, "r": pyramid.radii(k).ravel() + pyramid.side * 2**-0.5})
-    radii = right.sparkSession.createDataFrame(table, "hx int, hy int, r double")
+    radii = radius_table(right.sparkSession, pyramid, k) if radii is None else radii
     probes = pyramid.located(left.select("qid", "qx", "qy", F.col("qx").alias("x"), F.col("qy").alias("y"))).drop("x", "y")
     # outside the square a left row belongs to the nearest cell, and is farther away by what it lies outside
     probes = probes.withColumns({"hx": F.greatest("cx", F.lit(0)), "hy": F.greatest("cy", F.lit(0))}).drop("cx", "cy").join(radii, ["hx", "hy"])

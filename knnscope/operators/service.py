@@ -9,6 +9,7 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from knnscope.io import materialize
 from knnscope.operators import knn
 
 
@@ -304,3 +305,37 @@ def crawl_box(service: _Service, box: tuple[float, float, float, float], purpose
             raise BudgetExhausted("the crawl is incomplete")
         frontier = deeper
     return found
+
+
+def crawl_box_distributed(points: DataFrame, k: int, box: tuple[float, float, float, float]) -> DataFrame:
+    """The ids of all points in a closed box, found as by ``crawl_box`` with answers of k rows; boxes and answers stay tables.
+
+    Each depth is one round. An answer matters up to half a box's diagonal, so nothing beyond that round the box is looked at.
+    """
+    a, b, c, d = box
+    out = math.hypot(c - a, d - b) / 2 * (1 + 1e-9)
+    near = points.select("id", "x", "y").filter(F.col("x").between(a - out, c + out) & F.col("y").between(b - out, d + out))
+    near = materialize(near, "crawl-points")
+    pyramid = knn.Pyramid(near, min(knn.MOST, max(knn.GRID, round((near.count() / 4) ** 0.5))))
+    radii = materialize(knn.radius_table(points.sparkSession, pyramid, k), "crawl-radii")
+    frontier, depth, found = points.sparkSession.createDataFrame([(0, 0)], "i long, j long"), 0, None
+    while True:
+        w, h = (c - a) / 2**depth, (d - b) / 2**depth
+        half = math.hypot(w, h) / 2
+        probes = frontier.select(
+            F.struct("i", "j").alias("qid"), (F.lit(a) + (F.col("i") + 0.5) * w).alias("qx"), (F.lit(b) + (F.col("j") + 0.5) * h).alias("qy")
+        )
+        inside = (F.col("x").between(a, c) & F.col("y").between(b, d)).alias("inside")
+        answers = materialize(knn.knn_join(probes, near, k, pyramid=pyramid, radii=radii).select("qid", "d2", "id", inside), "crawl-answers")
+        held = answers.filter("inside").select("id")
+        found = held if found is None else found.unionByName(held)
+        # the ball is open; and boxes smaller than rounding hold co-located points that no call can tell apart
+        wide = answers.groupBy("qid").agg(F.count(F.lit(1)).alias("n"), F.max("d2").alias("r2")).filter((F.col("n") >= k) & (F.sqrt("r2") <= half))
+        if half <= 1e-9:
+            break
+        parts = wide.select("qid", F.explode(F.sequence(F.lit(0), F.lit(3))).alias("part"))
+        cut = parts.selectExpr("2 * qid.i + part % 2 AS i", "2 * qid.j + part div 2 AS j")
+        frontier, depth = materialize(cut, "crawl-boxes"), depth + 1
+        if frontier.isEmpty():
+            break
+    return found.distinct()

@@ -52,6 +52,20 @@ def test_crawl_finds_all_points_of_a_box():
     assert set(found) == {i for i, x, y in POINTS if 10 <= x <= 40 and 10 <= y <= 60}
 
 
+@pytest.mark.parametrize("box", [(10.0, 10.0, 40.0, 60.0), (1000.0, 1000.0, 1001.0, 1001.0)])
+def test_crawl_as_tables_finds_the_same(spark, box):
+    points = [*POINTS, *((1000 + i, 22.5, 33.5) for i in range(5))]  # fewer than k lie at one place
+    a, b, c, d = box
+    found = service.crawl_box_distributed(spark.createDataFrame(points, "id long, x double, y double"), 6, box)
+    assert sorted(r.id for r in found.collect()) == sorted(i for i, x, y in points if a <= x <= c and b <= y <= d)
+
+
+def test_crawl_query_over_more_points_than_memory_takes(spark, sf, monkeypatch):
+    few = {r.id for r in methods.crawl_box_points(spark, sf).collect()}
+    monkeypatch.setattr(MemoryKnnService, "LIMIT", 100)
+    assert few and {r.id for r in methods.crawl_box_points(spark, sf).collect()} == few
+
+
 def test_core_by_probe_asks_only_outside_full_cells(spark, points):
     _, x, y = arrays()
     want = {i: int(((x - px) ** 2 + (y - py) ** 2 <= 64).sum()) >= 8 for i, px, py in POINTS}
