@@ -142,44 +142,122 @@ def _candidates(points: DataFrame, pyramid: Pyramid, probes, k: int, columns=("i
 
 #: Rings into which a probe's candidates are counted.
 RINGS = 1024
+#: Fine cells along each side of the points, and pairs of a fine cell and a probe that are shipped at once.
+FINE, SHIPPED = 512, 1_000_000
+
+
+class FineCounts:
+    """Counts of points by cells ``cells = (x0, y0, side)`` cut into 2^m x 2^m, as fine as ``FINE`` cells along the points allow."""
+
+    def __init__(self, points: DataFrame, pyramid: Pyramid, cells):
+        self.x0, self.y0, side = cells
+        extent = pyramid.side * pyramid.grid
+        self.m = 0
+        while extent * 2 ** (self.m + 1) <= FINE * side:
+            self.m += 1
+        self.side = side / 2**self.m  # by powers of two, so that fine cells nest exactly
+        found = self.located(points).groupBy("fx", "fy").count().toArrow()
+        fx, fy, n = (found.column(c).to_numpy() for c in found.column_names)
+        self.low = fx.min(), fy.min()
+        self.counts = np.zeros((fx.max() - self.low[0] + 1, fy.max() - self.low[1] + 1), np.int64)
+        self.counts[fx - self.low[0], fy - self.low[1]] = n
+
+    def located(self, points: DataFrame) -> DataFrame:
+        cell = lambda c, o: F.floor((F.col(c) - F.lit(o)) / F.lit(self.side)).cast("int")
+        return points.withColumns({"fx": cell("x", self.x0), "fy": cell("y", self.y0)})
+
+    def around(self, x: float, y: float, r: float):
+        """Of the cells near a ball that hold points: ``fx, fy``, counts, and squared distances to their nearest and farthest places."""
+        cut = []
+        for c, o, low, size in ((x, self.x0, self.low[0], self.counts.shape[0]), (y, self.y0, self.low[1], self.counts.shape[1])):
+            lo, hi = (int(np.floor((v - o) / self.side)) - low for v in (c - r, c + r))
+            cut.append(slice(max(0, lo - 1), min(size, max(0, hi + 2))))
+        i, j = np.nonzero(part := self.counts[cut[0], cut[1]])
+        n, near, far = part[i, j], 0.0, 0.0
+        i, j = i + cut[0].start + self.low[0], j + cut[1].start + self.low[1]
+        for c, o, at in ((x, self.x0, i), (y, self.y0, j)):
+            low = o + at * self.side - c
+            near = near + np.maximum(0, np.maximum(low, -low - self.side)) ** 2
+            far = far + np.maximum(np.abs(low), np.abs(low + self.side)) ** 2
+        return i, j, n, near * (1 - 1e-9), far * (1 + 1e-9)
+
+
+def _bound(by: np.ndarray, n: np.ndarray, rank: int) -> float:
+    order = np.argsort(by, kind="stable")
+    at = np.searchsorted(np.cumsum(n[order]), rank)
+    return float(by[order[at]]) if at < len(by) else float("inf")
 
 
 def counted(points: DataFrame, pyramid: Pyramid, probes: list[tuple[int, float, float]], ranks: list[int], cells) -> list[tuple]:
     """For each probe, in order, what its ``max(ranks)`` nearest rows are, without the rows: a dict of ``rank -> (distance, id, d2)``
     (the last row alone if there are fewer) and, as arrays, the cells ``i, j`` of ``cells = (x0, y0, side)`` with their numbers of rows.
 
-    Candidates are counted by rings, the rows of the rings that hold a rank give it exactly, and what is not beyond the last is
-    counted by cells; nothing is sorted but these rings, and only counts reach the driver.
+    Counts by fine cells say between which distances a rank lies: cells within the lesser are counted whole, and only rows of the cells
+    between are looked at. These are counted by rings, the rows of the rings that hold a rank give it exactly, and what is not
+    beyond the last is counted by cells; nothing is sorted but these rings, and only counts reach the driver.
     """
     if not pyramid.n:
         return [({}, *(np.zeros(0, np.int64),) * 3) for _ in probes]
     ranks = sorted({min(r, pyramid.n) for r in ranks})
-    near = _candidates(points, pyramid, probes, ranks[-1]).withColumn("ring", F.least(F.lit(RINGS - 1), F.floor(F.col("d2") / F.col("r2") * RINGS)))
-    rings = near.groupBy("qid", "ring").agg(F.count(F.lit(1)).alias("n"))
-    before = F.sum("n").over(Window.partitionBy("qid").orderBy("ring"))
-    held = rings.withColumn("upto", before).withColumn("rank", F.explode(F.lit(ranks)))
-    held = held.filter("rank <= upto AND rank > upto - n").select("qid", "ring", "rank", (F.col("upto") - F.col("n")).alias("before"))
-    held = _local(held, "qid long, ring long, rank long, before long")
-    spots = held.groupBy("qid", "ring").agg(F.collect_set("rank").alias("ranks"), F.min("before").alias("before"))
-    close = near.join(F.broadcast(spots), ["qid", "ring"]).select("qid", "ring", "d2", "id", "ranks", "before")
-    order = Window.partitionBy("qid", "ring").orderBy("d2", "id")
-    ends = close.withColumn("rank", F.col("before") + F.row_number().over(order)).filter(F.array_contains("ranks", F.col("rank").cast("int")))
-    ends = ends.select("qid", F.col("rank").cast("long").alias("rank"), "d2", "id").toArrow().to_pylist()
-    lasts = [(e["qid"], e["d2"], e["id"]) for e in ends if e["rank"] == ranks[-1]]
-    last = F.broadcast(points.sparkSession.createDataFrame(lasts, "qid long, l2 double, lid long"))
-    mine = near.join(last, "qid").filter("d2 < l2 OR (d2 = l2 AND id <= lid)")
-    x0, y0, side = cells
-    cell = lambda c, o: F.floor((F.col(c) - F.lit(o)) / F.lit(side)).cast("long")
-    counts = mine.groupBy("qid", cell("x", x0).alias("i"), cell("y", y0).alias("j")).agg(F.count(F.lit(1)).alias("n")).toArrow()
-    qid, i, j, n = (counts.column(c).to_numpy() for c in counts.column_names)
-    at = np.argsort(qid, kind="stable")
-    qid, i, j, n = qid[at], i[at], j[at], n[at]
-    found: dict[int, dict] = {}
-    for e in ends:
-        found.setdefault(e["qid"], {})[e["rank"]] = (float(np.sqrt(e["d2"])), e["id"], e["d2"])
-    names = np.array([p[0] for p in probes])
-    lo, hi = np.searchsorted(qid, names), np.searchsorted(qid, names, side="right")
-    return [(found.get(q, {}), i[a:b], j[a:b], n[a:b]) for q, a, b in zip(names.tolist(), lo, hi)]
+    fine, out, held, size = FineCounts(points, pyramid, cells), [], [], 0
+    for _, x, y in probes:
+        r = pyramid.radius(x, y, ranks[-1])
+        i, j, n, near, far = fine.around(x, y, r)
+        rings = []
+        for rank in ranks:
+            low, high = _bound(near, n, rank), min(r * r, _bound(far, n, rank))
+            sure, open_ = far < low, (far >= low) & (near <= high)
+            rings.append((x, y, low, high, rank - int(n[sure].sum()), i[open_].astype(np.int32), j[open_].astype(np.int32)))
+            size += int(open_.sum())
+        held.append((rings, (i[sure] >> fine.m, j[sure] >> fine.m, n[sure])))
+        if size > SHIPPED:
+            out, held, size = out + _settled(points, fine, held, ranks, cells), [], 0
+    return out + (_settled(points, fine, held, ranks, cells) if held else [])
+
+
+def _settled(points: DataFrame, fine: FineCounts, held: list, ranks: list[int], cells) -> list[tuple]:
+    import pyarrow as pa
+
+    spark, each = points.sparkSession, [r for rings, _ in held for r in rings]  # numbered by probe, then rank
+    table = pd.DataFrame([(q, *r[:5]) for q, r in enumerate(each)], columns=["q", "qx", "qy", "low", "high", "need"])
+    asked = F.broadcast(spark.createDataFrame(table, "q int, qx double, qy double, low double, high double, need long"))
+    q = np.repeat(np.arange(len(each), dtype=np.int32), [len(r[5]) for r in each])
+    fx, fy = (np.concatenate([r[c] for r in each]).astype(np.int32) for c in (5, 6))
+    at = np.lexsort((fy, fx))
+    q, fx, fy = q[at], fx[at], fy[at]
+    first = np.flatnonzero(np.r_[True, (np.diff(fx) != 0) | (np.diff(fy) != 0)])
+    lists = pa.ListArray.from_arrays(pa.array(np.r_[first, len(q)].astype(np.int32)), pa.array(q))
+    wanted = F.broadcast(spark.createDataFrame(pa.table({"fx": fx[first], "fy": fy[first], "qs": lists})))
+    near = fine.located(points.select("id", "x", "y")).join(wanted, ["fx", "fy"]).withColumn("q", F.explode("qs")).join(asked, "q")
+    near = with_distance(near).filter("d2 <= high")
+    share = (F.col("d2") - F.col("low")) / F.greatest(F.col("high") - F.col("low"), F.lit(1e-300)) * RINGS
+    near = near.withColumn("ring", F.greatest(F.lit(0), F.least(F.lit(RINGS - 1), F.floor(F.greatest(F.lit(-1.0), F.least(share, F.lit(float(RINGS))))))))
+    rings = near.groupBy("q", "need", "ring").agg(F.count(F.lit(1)).alias("n"))
+    upto = rings.withColumn("upto", F.sum("n").over(Window.partitionBy("q").orderBy("ring")))
+    spots = upto.filter("need <= upto AND need > upto - n").select("q", "ring", (F.col("need") - F.col("upto") + F.col("n")).alias("place"))
+    spots = F.broadcast(_local(spots, "q int, ring long, place long"))
+    order = Window.partitionBy("q").orderBy("d2", "id")
+    close = near.join(spots, ["q", "ring"]).select("q", "d2", "id", "place").withColumn("rank", F.row_number().over(order))
+    found: list[dict] = [{} for _ in held]
+    lasts = []
+    for e in close.filter("rank = place").select("q", "d2", "id").toArrow().to_pylist():
+        probe, rank = divmod(e["q"], len(ranks))
+        found[probe][ranks[rank]] = (float(np.sqrt(e["d2"])), e["id"], e["d2"])
+        if rank == len(ranks) - 1:
+            lasts.append((e["q"], e["d2"], e["id"]))
+    last = F.broadcast(spark.createDataFrame(lasts, "q int, l2 double, lid long"))
+    mine = near.join(last, "q").filter("d2 < l2 OR (d2 = l2 AND id <= lid)")
+    cell = lambda c: F.shiftright(c, fine.m).cast("long")
+    counts = mine.groupBy("q", cell("fx").alias("i"), cell("fy").alias("j")).agg(F.count(F.lit(1)).alias("n")).toArrow()
+    q, i, j, n = (counts.column(c).to_numpy() for c in counts.column_names)
+    at = np.argsort(q, kind="stable")
+    q, i, j, n = q[at], i[at], j[at], n[at]
+    out = []
+    for probe, (_, sure) in enumerate(held):
+        own = slice(*np.searchsorted(q, [(p := (probe + 1) * len(ranks) - 1), p + 1]))
+        part = pd.DataFrame({"i": np.r_[sure[0], i[own]], "j": np.r_[sure[1], j[own]], "n": np.r_[sure[2], n[own]]}).groupby(["i", "j"], as_index=False)["n"].sum()
+        out.append((found[probe], *(part[c].to_numpy() for c in ("i", "j", "n"))))
+    return out
 
 
 def _local(df: DataFrame, schema: str) -> DataFrame:

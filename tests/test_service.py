@@ -132,3 +132,21 @@ def test_counted_answers_equal_the_rows(points, k):
             assert p.reach((k + 1) // 2) == q.reach((k + 1) // 2) and p.reach(k) == q.reach(k)
     want = set().union(*(q.ids.tolist() for q in MemoryKnnService(arrays(), k).probe(PLACES)))
     assert {r.id for r in a.seen_in(points).collect()} == want
+
+
+@pytest.mark.parametrize(("side", "shipped"), [(0.5, 4_000_000), (8.0, 1), (64.0, 4_000_000)])
+def test_counts_equal_rows_at_every_size_of_cell(spark, points, monkeypatch, side, shipped):
+    monkeypatch.setattr(knn, "SHIPPED", shipped)
+    looked_at = []
+    monkeypatch.setattr(knn, "_settled", lambda p, f, held, *a, own=knn._settled: looked_at.extend(len(r[5]) for rings, _ in held for r in rings) or own(p, f, held, *a))
+    probes = [(i, *p) for i, p in enumerate(PLACES)]
+    for ranks in ([7, 60], [400]):
+        found = knn.counted(points, knn.Pyramid(points, k=ranks[-1]), probes, ranks, (-0.25, -0.25, side))
+        for (ends, i, j, n), a in zip(found, MemoryKnnService(arrays(), ranks[-1]).probe(PLACES)):
+            assert {r: e[1] for r, e in ends.items()} == {r: a.ids[r - 1] for r in {min(r, 300) for r in ranks}}
+            want = {}
+            for x, y in zip(a.xs, a.ys):
+                c = (int((x + 0.25) // side), int((y + 0.25) // side))
+                want[c] = want.get(c, 0) + 1
+            assert dict(zip(zip(i.tolist(), j.tolist()), n.tolist())) == want
+    assert min(looked_at) < 60
