@@ -5,7 +5,7 @@ one cluster. Only points of other cells count neighbours, in the 20 cells that e
 a graph of cells, in which two cells are linked if some core point of one is within eps of one of the other. A border point
 goes to the cluster of its nearest core point (the smallest id on ties).
 
-What is asked of a full cell is never asked of its points first. Every cell is cut into ``FINE`` x ``FINE`` parts, and each part
+What is asked of a full cell is never asked of its points first, and a part of any other cell asks before its points do. Every cell is cut into ``FINE`` x ``FINE`` parts, and each part
 again; a part counts as one row with its box and its number of points. Boxes decide most: a part wholly within eps counts
 at once, one wholly beyond it never, two parts of which every pair is within eps link their cells. Only parts on the edge of eps are
 cut again, and only the points of parts on the edge after that, each different place once, are compared; a point or a pair of cells for which
@@ -106,7 +106,7 @@ def dbscan(points: DataFrame, eps: float, min_pts: int) -> DataFrame:
     clusters = firsts.join(found, "node", "left").select("cx", "cy", F.coalesce("component", "node").alias("cluster_id"))
     core_labels = materialize(cores.join(clusters, ["cx", "cy"]), "core-labels")
 
-    rest = open_.join(core_labels.select("id"), "id", "left_anti").select("id", "x", "y", "cx", "cy")
+    rest = open_.join(core_labels.select("id"), "id", "left_anti").select("id", "x", "y", "cx", "cy", "px", "py")
     outer = rest.select("id").join(_border(rest, core_labels, side, eps), "id", "left").select(
         "id", F.col("of").alias("cluster_id"), F.when(F.col("of").isNotNull(), "border").otherwise("noise").alias("kind")
     )
@@ -114,19 +114,39 @@ def dbscan(points: DataFrame, eps: float, min_pts: int) -> DataFrame:
 
 
 def _enough(open_: DataFrame, located: DataFrame, side: float, eps: float, min_pts: int) -> DataFrame:
-    """``id`` of the points of cells that aren't full which have min_pts neighbours."""
-    parts = _Parts(located, side, eps)
-    asked = _around(open_.select("id", "n", F.col("cx"), F.col("cy"), F.col("x").alias("qx"), F.col("y").alias("qy")), NEAR)
-    all_, none = parts.bounds(_place("qx", "qy"), "i", "j", 1)
-    of = parts.at(1).withColumnsRenamed({"cx": "nx", "cy": "ny", "n": "m"})
-    met = asked.drop("cx", "cy").join(of, ["nx", "ny"]).withColumn("sure", all_).filter(~none)
-    met = materialize(met, "neighbour-parts")
-    sure = met.groupBy("id", "n").agg(F.sum(F.when(F.col("sure"), F.col("m")).otherwise(0)).alias("s"), F.sum("m").alias("all"))
-    sure = materialize(sure.withColumn("s", F.col("n") + F.col("s")).withColumn("all", F.col("n") + F.col("all")), "neighbours")
-    done = sure.filter(F.col("s") >= min_pts).select("id")
-    left = sure.filter((F.col("s") < min_pts) & (F.col("all") >= min_pts)).select("id", "s")
+    """``id`` of the points of cells that aren't full which have min_pts neighbours.
+
+    Parts ask first, for all of their points: most have enough neighbours for certain, or too few. Only the points of the others ask, and
+    only about parts that are on the edge of eps for their own part.
+    """
+    parts, own = _Parts(located, side, eps), ["cx", "cy", "i", "j"]
+    of = materialize(parts.at(1), "parts")
+    other = of.withColumnsRenamed({"cx": "nx", "cy": "ny", "i": "k", "j": "l", "n": "m"})
+    box = _box("i", "j", parts.width(1))
+
+    def met_by(asking: DataFrame) -> DataFrame:
+        near = _around(asking, NEAR).filter(~parts.bounds(box, "nx", "ny", 0)[1])
+        all_, none = parts.bounds(box, "k", "l", 1)
+        return near.join(other, ["nx", "ny"]).withColumn("sure", all_).filter(~none)
+
+    def reached(met: DataFrame, *key: str) -> DataFrame:
+        """Neighbours for certain, ``s``, of those that can have min_pts."""
+        found = met.groupBy(*key, "s").agg(F.sum(F.when(F.col("sure"), F.col("m")).otherwise(0)).alias("more"), F.sum("m").alias("most"))
+        found = found.filter(F.col("s") + F.col("most") >= min_pts)
+        return found.select(*key, (F.col("s") + F.col("more")).alias("s"))
+
+    cells = of.groupBy("cx", "cy").agg(F.sum("n").alias("s")).filter(F.col("s") < min_pts)
+    asked = materialize(reached(met_by(of.select(*own).join(cells, ["cx", "cy"])), *own), "asked-parts")
+    points = open_.select("id", "cx", "cy", parts.index("px", 1).alias("i"), parts.index("py", 1).alias("j"), F.col("x").alias("qx"), F.col("y").alias("qy"))
+    done = points.join(asked.filter(F.col("s") >= min_pts), own, "left_semi").select("id")
+    all_, none = parts.bounds(_place("qx", "qy"), "k", "l", 1)
+    met = points.join(met_by(asked.filter(F.col("s") < min_pts)).filter("NOT sure").drop("sure"), own).withColumn("sure", all_).filter(~none)
+    met = materialize(met.select("id", "s", "qx", "qy", "nx", "ny", F.col("k").alias("a"), F.col("l").alias("b"), "m", "sure"), "neighbour-parts")
+    sure = materialize(reached(met, "id"), "neighbours")
+    done = done.unionByName(sure.filter(F.col("s") >= min_pts).select("id"))
+    left = sure.filter(F.col("s") < min_pts)
     # parts on the edge of eps: their parts, then the points of those that are on the edge again
-    edge = met.filter("NOT sure").join(left, "id").select("id", "s", "qx", "qy", "nx", "ny", F.col("i").alias("a"), F.col("j").alias("b"))
+    edge = met.filter("NOT sure").drop("s").join(left, "id").select("id", "s", "qx", "qy", "nx", "ny", "a", "b")
     inner = parts.at(2).select(F.col("cx").alias("nx"), F.col("cy").alias("ny"), "i", "j", F.col("n").alias("m"))
     inner = inner.withColumns({"a": F.floor(F.col("i") / FINE).cast("long"), "b": F.floor(F.col("j") / FINE).cast("long")})
     all_, none = parts.bounds(_place("qx", "qy"), "i", "j", 2)
@@ -192,23 +212,34 @@ def _nearest_to_box(cores: DataFrame, steps, side: float, eps: float, name: str)
 
 
 def _border(rest: DataFrame, cores: DataFrame, side: float, eps: float) -> DataFrame:
-    """``id, of``: the cluster of the nearest core point of each row of ``rest`` that has one within eps."""
-    parts, reach = _Parts(cores, side, eps), eps * eps * (1 + 1e-9)
-    asked = _around(rest.select("id", "cx", "cy", F.col("x").alias("qx"), F.col("y").alias("qy")), [*NEAR, (0, 0)]).drop("cx", "cy")
+    """``id, of``: the cluster of the nearest core point of each row of ``rest`` that has one within eps.
+
+    Parts of ``rest`` ask first, for all of their points, then the points themselves.
+    """
+    parts, own, reach = _Parts(cores, side, eps), ["cx", "cy", "i", "j"], eps * eps * (1 + 1e-9)
+    points = rest.select("id", "cx", "cy", parts.index("px", 1).alias("i"), parts.index("py", 1).alias("j"), F.col("x").alias("qx"), F.col("y").alias("qy"))
+    w = parts.width(1)
+    other = parts.at(1).drop("n").withColumnsRenamed({"cx": "nx", "cy": "ny", "i": "a", "j": "b"})
+    gaps = [(lo, hi, F.col(k) * F.lit(w), (F.col(k) + 1) * F.lit(w)) for (lo, hi), k in zip(_box("i", "j", w), ("a", "b"))]
+    asking = _around(points.select(*own).distinct(), [*NEAR, (0, 0)])
+    met = asking.join(other, ["nx", "ny"]).select(*own, "nx", "ny", "a", "b", parts.least(*gaps).alias("least"), parts.most(*gaps).alias("most"))
+    met = materialize(met.filter(F.col("least") <= reach), "border-parts")
+    # a part can only hold the nearest if it is no farther than another is at most
+    nearest = met.groupBy(*own).agg(F.least(F.min("most") * (1 + 1e-9), F.lit(reach)).alias("top"))
+    asked = points.join(met.join(nearest, own).filter("least <= top").drop("least", "most"), own).drop(*own)
     for level in (1, 2):
-        of = parts.at(level).drop("n").withColumnsRenamed({"cx": "nx", "cy": "ny"})
         w = parts.width(level)
         gaps = [(F.col(q), F.col(q), F.col(k) * F.lit(w), (F.col(k) + 1) * F.lit(w)) for q, k in (("qx", "i"), ("qy", "j"))]
         if level == 1:
-            met = asked.join(of, ["nx", "ny"])
+            met = asked.withColumnsRenamed({"a": "i", "b": "j"})
         else:
+            of = parts.at(2).drop("n").withColumnsRenamed({"cx": "nx", "cy": "ny"})
             of = of.withColumns({"a": F.floor(F.col("i") / FINE).cast("long"), "b": F.floor(F.col("j") / FINE).cast("long")})
             met = asked.join(of, ["nx", "ny", "a", "b"])
-        met = met.select("id", "qx", "qy", "nx", "ny", "i", "j", parts.least(*gaps).alias("least"), parts.most(*gaps).alias("most"))
-        met = materialize(met.filter(F.col("least") <= reach), "border-parts")
-        # a part can only hold the nearest if it is no farther than another is at most
-        nearest = met.groupBy("id").agg((F.min("most") * (1 + 1e-9)).alias("top"))
-        asked = met.join(nearest, "id").filter("least <= top").select("id", "qx", "qy", "nx", "ny", F.col("i").alias("a"), F.col("j").alias("b"))
+        met = met.select("id", "qx", "qy", "nx", "ny", "i", "j", "top", parts.least(*gaps).alias("least"), parts.most(*gaps).alias("most"))
+        met = materialize(met.filter("least <= top").drop("top"), "border-points")
+        nearest = met.groupBy("id").agg(F.least(F.min("most") * (1 + 1e-9), F.lit(reach)).alias("top"))
+        asked = met.join(nearest, "id").filter("least <= top").select("id", "qx", "qy", "nx", "ny", "top", F.col("i").alias("a"), F.col("j").alias("b"))
     last = asked.select("id", "qx", "qy", F.col("a").alias("px"), F.col("b").alias("py"))
     # of core points in one place only the smallest id can matter
     places = cores.groupBy("px", "py", "x", "y").agg(F.min(F.struct("id", "cluster_id")).alias("c"))

@@ -57,6 +57,26 @@ def test_neighbouring_full_cells_never_form_pairs(spark):
     assert [k for k in kinds[3 * n :]] == ["core" if r + 1 >= 40 else "border" if r else "noise" for r in reach]
 
 
+def test_parts_ask_before_their_points(spark, monkeypatch):
+    import numpy as np
+    import pandas as pd
+
+    rng = np.random.default_rng(9)
+    p = np.concatenate([rng.normal(10, 0.05, (20_000, 2)), rng.uniform(0, 3, (6_000, 2))])  # wholly core, and wholly noise
+    written, write = {}, dbscan.materialize
+
+    def counted(df, name="table"):
+        out = write(df, name)
+        written[name] = out.count()
+        return out
+
+    monkeypatch.setattr(dbscan, "materialize", counted)
+    points = spark.createDataFrame(pd.DataFrame({"id": np.arange(len(p)), "x": p[:, 0], "y": p[:, 1]}))
+    got = dbscan.dbscan(points, 1.0, 19_000).toPandas().sort_values("id")
+    assert (got["kind"][:20_000] == "core").all() and (got["kind"][20_000:] == "noise").all()
+    assert written["neighbour-parts"] < len(p)
+
+
 def test_grid_clusters(spark, sf):
     shapes = view(spark, sf.replace("0.001", "0.01"), "shapes")
     assert grid.grid_dbscan(shapes, 16, 14, 4).select("cluster_id").distinct().count() == 6
