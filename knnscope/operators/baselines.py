@@ -169,12 +169,7 @@ def draw(service, domain, seed: int = 42, sampler: str = "voronoi", batch: int =
                     continue
                 # the other points of the answer bound the cell: half way to each, along each ray
                 turn, area = rng.random() * 2 * math.pi, 0.0
-                for r in range(rays * 4):
-                    ux, uy = math.cos(turn + r * math.pi / rays / 2), math.sin(turn + r * math.pi / rays / 2)
-                    dx, dy = a.xs[1:] - px, a.ys[1:] - py
-                    along = dx * ux + dy * uy
-                    ahead = along > 1e-12
-                    reach = ((dx * dx + dy * dy)[ahead] / (2 * along[ahead])).min() if ahead.any() else side
+                for reach in _free(a, directions(turn, rays)) if a.rays is None else a.rays:
                     area += min(float(reach), side) ** 2
                 smallest = min(smallest, area)
                 if area <= 0 or rng.random() < min(1.0, 8 * smallest / area):
@@ -184,14 +179,30 @@ def draw(service, domain, seed: int = 42, sampler: str = "voronoi", batch: int =
     return found
 
 
-def drawn_places(domain, n: int, seed: int = 42, sampler: str = "raw") -> list[tuple[float, float]]:
-    """The first n places at which ``draw`` asks, one a round; ``voronoi`` draws two more numbers for each."""
-    rng, (x0, y0, side), found = random.Random(seed), domain, []
+def directions(turn: float, rays: int = 4) -> list[tuple[float, float]]:
+    """Of the rays along which ``draw`` looks."""
+    return [(math.cos(turn + r * math.pi / rays / 2), math.sin(turn + r * math.pi / rays / 2)) for r in range(rays * 4)]
+
+
+def _free(a, rays: list[tuple[float, float]]) -> list[float]:
+    """How far along each ray from the nearest row of an answer that row remains the nearest."""
+    found, dx, dy = [], a.xs[1:] - a.xs[0], a.ys[1:] - a.ys[0]
+    for ux, uy in rays:
+        along = dx * ux + dy * uy
+        ahead = along > 1e-12
+        found.append(((dx * dx + dy * dy)[ahead] / (2 * along[ahead])).min() if ahead.any() else math.inf)
+    return found
+
+
+def drawn_places(domain, n: int, seed: int = 42, sampler: str = "raw") -> tuple[list[tuple[float, float]], list[list[tuple[float, float]]]]:
+    """The first n places at which ``draw`` asks, one a round, and for ``voronoi`` the rays at each; it draws one more number after them."""
+    rng, (x0, y0, side), found, rays = random.Random(seed), domain, [], []
     for _ in range(n):
         found.append((x0 + rng.random() * side, y0 + rng.random() * side))
         if sampler != "raw":
-            rng.random(), rng.random()
-    return found
+            rays.append(directions(rng.random() * 2 * math.pi))
+            rng.random()
+    return found, rays
 
 
 def sample_then_cluster(

@@ -82,6 +82,19 @@ class Pyramid:
         far = [np.maximum(at + 0.5 - low, high - at - 0.5) * self.side for at, low, high in ((cx, a, b), (cy, c, d))]
         return np.hypot(*far) * (1 + 1e-9)
 
+    def reached(self, x: float, y: float, k: int) -> tuple[float, np.ndarray, np.ndarray]:
+        """A squared distance within which at least min(k, n) points lie, and ``cx, cy`` of the cells within it that hold points."""
+        r, cut = self.radius(x, y, k), []
+        for v, low in ((x, self.x0), (y, self.y0)):
+            cut.append(np.clip(np.floor((np.array([v - r, v + r]) - low) / self.side), 0, self.grid - 1).astype(int))
+        (a, b), (c, d) = cut
+        part = np.diff(np.diff(self.sums[a : b + 2, c : d + 2], axis=0), axis=1)
+        i, j = np.nonzero(part)
+        near, far = _box_distances(x, y, self.x0, self.y0, self.side, i + a, j + c)
+        r2 = min(r * r, _bound(far, part[i, j], min(k, self.n)))
+        hit = near <= r2
+        return r2, (i[hit] + a).astype(np.int32), (j[hit] + c).astype(np.int32)
+
     def touched(self, x: float, y: float, r: float) -> list[tuple[int, int]]:
         """The cells that a ball touches."""
         g = self.grid
@@ -130,14 +143,26 @@ def grid_join(points: DataFrame, pyramid: Pyramid, probes: list[tuple[int, float
 
 def _candidates(points: DataFrame, pyramid: Pyramid, probes, k: int, columns=("id", "x", "y")) -> DataFrame:
     """``qid, qx, qy, r2, d2`` and the columns of all rows within the radius that certainly holds a probe's k nearest."""
-    rows = []
-    for qid, qx, qy in probes:
-        r = pyramid.radius(qx, qy, k)
-        rows += [(qid, float(qx), float(qy), r * r, cx, cy) for cx, cy in pyramid.touched(qx, qy, r)]
-    schema = "qid long, qx double, qy double, r2 double, cx int, cy int"
-    wanted = F.broadcast(points.sparkSession.createDataFrame(pd.DataFrame(rows, columns=["qid", "qx", "qy", "r2", "cx", "cy"]), schema))
-    located = pyramid.located(points.select(*columns))
-    return with_distance(located.join(wanted, ["cx", "cy"])).filter(F.col("d2") <= F.col("r2")).drop("cx", "cy")
+    spark, each = points.sparkSession, [pyramid.reached(qx, qy, k) for _, qx, qy in probes]
+    table = [(q, qid, float(qx), float(qy), r[0]) for q, ((qid, qx, qy), r) in enumerate(zip(probes, each))]
+    asked = F.broadcast(spark.createDataFrame(table, "q int, qid long, qx double, qy double, r2 double"))
+    wanted = F.broadcast(spark.createDataFrame(_by_cell([r[1:] for r in each], "cx", "cy")))
+    located = pyramid.located(points.select(*columns)).join(wanted, ["cx", "cy"]).withColumn("q", F.explode("qs")).join(asked, "q")
+    return with_distance(located).filter(F.col("d2") <= F.col("r2")).drop("cx", "cy", "q", "qs")
+
+
+def _by_cell(asked: list[tuple[np.ndarray, np.ndarray]], cx: str, cy: str):
+    """Each cell that somebody asks once, with the list ``qs`` of the numbers of those who ask."""
+    import pyarrow as pa
+
+    none = np.zeros(0, np.int32)
+    q = np.repeat(np.arange(len(asked), dtype=np.int32), [len(a[0]) for a in asked])
+    x, y = (np.concatenate([none, *(a[c] for a in asked)]).astype(np.int32) for c in (0, 1))
+    at = np.lexsort((y, x))
+    q, x, y = q[at], x[at], y[at]
+    first = np.flatnonzero(np.r_[len(q) > 0, (np.diff(x) != 0) | (np.diff(y) != 0)])
+    lists = pa.ListArray.from_arrays(pa.array(np.r_[first, len(q)].astype(np.int32)), pa.array(q))
+    return pa.table({cx: x[first], cy: y[first], "qs": lists})
 
 
 #: Rings into which a probe's candidates are counted.
@@ -173,13 +198,18 @@ class FineCounts:
             lo, hi = (int(np.floor((v - o) / self.side)) - low for v in (c - r, c + r))
             cut.append(slice(max(0, lo - 1), min(size, max(0, hi + 2))))
         i, j = np.nonzero(part := self.counts[cut[0], cut[1]])
-        n, near, far = part[i, j], 0.0, 0.0
-        i, j = i + cut[0].start + self.low[0], j + cut[1].start + self.low[1]
-        for c, o, at in ((x, self.x0, i), (y, self.y0, j)):
-            low = o + at * self.side - c
-            near = near + np.maximum(0, np.maximum(low, -low - self.side)) ** 2
-            far = far + np.maximum(np.abs(low), np.abs(low + self.side)) ** 2
-        return i, j, n, near * (1 - 1e-9), far * (1 + 1e-9)
+        n, i, j = part[i, j], i + cut[0].start + self.low[0], j + cut[1].start + self.low[1]
+        return i, j, n, *_box_distances(x, y, self.x0, self.y0, self.side, i, j)
+
+
+def _box_distances(x: float, y: float, x0: float, y0: float, side: float, i: np.ndarray, j: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Squared distances to the nearest and farthest places of cells."""
+    near, far = 0.0, 0.0
+    for c, o, at in ((x, x0, i), (y, y0, j)):
+        low = o + at * side - c
+        near = near + np.maximum(0, np.maximum(low, -low - side)) ** 2
+        far = far + np.maximum(np.abs(low), np.abs(low + side)) ** 2
+    return near * (1 - 1e-9), far * (1 + 1e-9)
 
 
 def _bound(by: np.ndarray, n: np.ndarray, rank: int) -> float:
@@ -216,18 +246,10 @@ def counted(points: DataFrame, pyramid: Pyramid, probes: list[tuple[int, float,
 
 
 def _settled(points: DataFrame, fine: FineCounts, held: list, ranks: list[int], cells) -> list[tuple]:
-    import pyarrow as pa
-
     spark, each = points.sparkSession, [r for rings, _ in held for r in rings]  # numbered by probe, then rank
     table = pd.DataFrame([(q, *r[:5]) for q, r in enumerate(each)], columns=["q", "qx", "qy", "low", "high", "need"])
     asked = F.broadcast(spark.createDataFrame(table, "q int, qx double, qy double, low double, high double, need long"))
-    q = np.repeat(np.arange(len(each), dtype=np.int32), [len(r[5]) for r in each])
-    fx, fy = (np.concatenate([r[c] for r in each]).astype(np.int32) for c in (5, 6))
-    at = np.lexsort((fy, fx))
-    q, fx, fy = q[at], fx[at], fy[at]
-    first = np.flatnonzero(np.r_[True, (np.diff(fx) != 0) | (np.diff(fy) != 0)])
-    lists = pa.ListArray.from_arrays(pa.array(np.r_[first, len(q)].astype(np.int32)), pa.array(q))
-    wanted = F.broadcast(spark.createDataFrame(pa.table({"fx": fx[first], "fy": fy[first], "qs": lists})))
+    wanted = F.broadcast(spark.createDataFrame(_by_cell([r[5:] for r in each], "fx", "fy")))
     near = fine.located(points.select("id", "x", "y")).join(wanted, ["fx", "fy"]).withColumn("q", F.explode("qs")).join(asked, "q")
     near = with_distance(near).filter("d2 <= high")
     share = (F.col("d2") - F.col("low")) / F.greatest(F.col("high") - F.col("low"), F.lit(1e-300)) * RINGS

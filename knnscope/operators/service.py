@@ -6,7 +6,7 @@ import math
 from dataclasses import dataclass, field
 
 import numpy as np
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from knnscope.io import materialize
@@ -50,6 +50,7 @@ class Answer:
 
     A counted answer holds cells in place of rows: ``xs`` and ``ys`` are their centres, ``weight`` says how many of the rows lie
     in each, ``reaches`` the distances to some of the rows by rank, and ``ids`` and ``dist`` are empty.
+    A drawn answer holds its nearest row alone, and as ``rays`` how far that row is nearer than all others of the answer along each ray.
     """
 
     x: float
@@ -61,6 +62,7 @@ class Answer:
     radius: float
     weight: np.ndarray | None = None
     reaches: dict | None = None
+    rays: np.ndarray | None = None
 
     @property
     def n(self) -> int:
@@ -112,7 +114,7 @@ class _Service:
         self.rounds += 1
         answers = self._answer(places[:n])
         for a, p in zip(answers, purposes):
-            new = [i for i in a.ids.tolist() if i not in self.seen] if a.weight is None else None
+            new = [i for i in a.ids.tolist() if i not in self.seen] if a.weight is None and a.rays is None else None
             for i, x, y in zip(a.ids.tolist(), a.xs.tolist(), a.ys.tolist()):
                 self.seen[i] = (x, y)
             self.calls.append({
@@ -243,6 +245,42 @@ class CountedKnnService(PreparedKnnService):
         return knn.inside(points, self.pyramid, balls)
 
 
+class DrawnKnnService(PreparedKnnService):
+    """The same for k in proportion to the points and a client that looks along rays: of an answer the driver gets the nearest row and,
+    for each ray from there, how far that row is nearer than the others, which is all that such a client uses; the rows stay where they are.
+
+    ``rays`` are the directions ``(ux, uy)`` at each of ``places``, equally many.
+    """
+
+    def __init__(self, points, k, places, rays, budget=None, pyramid=None, book=None):
+        super().__init__(points, k, places, budget, pyramid, book)
+        self.rays = dict(zip(self.places, rays))
+
+    def _look_up(self, places):
+        rays, last = [self.rays[p] for p in places], min(self.k, self.pyramid.n)
+        asked = [(i, *([float(v) for v in axis] for axis in zip(*r))) for i, r in enumerate(rays)]
+        asked = F.broadcast(self.points.sparkSession.createDataFrame(asked, "qid long, ux array<double>, uy array<double>"))
+        order = Window.partitionBy("qid").orderBy("d2", "id")
+        rows = self.answers(places).withColumns({f"p{c}": F.first(c).over(order) for c in "xy"}).join(asked, "qid")
+        dx, dy, of = F.col("x") - F.col("px"), F.col("y") - F.col("py"), lambda rank, c: F.min(F.when(F.col("rank") == rank, F.col(c)))
+        free = []
+        for r in range(len(rays[0])):
+            along = dx * F.col("ux")[r] + dy * F.col("uy")[r]
+            free.append(F.min(F.when((F.col("rank") > 1) & (along > 1e-12), (dx * dx + dy * dy) / (2 * along))))
+        found = rows.groupBy("qid").agg(of(1, "id"), of(1, "x"), of(1, "y"), of(last, "x"), of(last, "y"), *free).toArrow()  # one row for each place
+        held = dict(zip(found.column(0).to_pylist(), zip(*(found.column(c).to_pylist() for c in range(1, found.num_columns)))))
+        return [self._drawn(x, y, held.get(i)) for i, (x, y) in enumerate(places)]
+
+    def _drawn(self, x, y, row) -> Answer:
+        if row is None:
+            return self._certified(x, y, np.zeros(0, np.int64), [], [])
+        ident, px, py, lx, ly, *free = row
+        radius = math.inf if self.pyramid.n < self.k else float(np.hypot(lx - x, ly - y))
+        near = Answer(x, y, np.array([ident]), np.array([px]), np.array([py]), np.hypot([px - x], [py - y]), radius)
+        near.rays = np.array([math.inf if v is None else v for v in free])
+        return near
+
+
 class MemoryKnnService(_Service):
     """The same answers from arrays, for benchmark sets of at most ``LIMIT`` points, so that sweeps of many sequential
     runs need no job for each round."""

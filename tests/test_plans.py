@@ -147,3 +147,16 @@ def test_samplers_and_curves_of_large_sets(spark, sf, monkeypatch):
     for r in large:
         if r.setting != "sample_uniform":
             assert list(r)[:12] == list(small[r.setting, r.curve])[:12] and list(r)[12:] == pytest.approx(list(small[r.setting, r.curve])[12:])
+
+
+def test_draws_from_large_sets_keep_the_rows_of_answers_off_the_driver(spark, sf, monkeypatch):
+    from knnscope.operators import baselines
+
+    small = workloads.Benchmark(spark, "/root/testdata/sf0.01")
+    want = {k: baselines.draw(small.service(budget=60), workloads.SQUARE["hilbert"], k, "voronoi") for k in (3, 4)}
+    monkeypatch.setattr(MemoryKnnService, "LIMIT", 10)
+    large = workloads.Benchmark(spark, "/root/testdata/sf0.01")
+    for seed, points in want.items():
+        s = large._drawing("voronoi", 60, seed)
+        assert s.k == 14 and baselines.draw(s, workloads.SQUARE["hilbert"], seed, "voronoi") == points and points
+        assert s.budget.used == 60 and all(len(a.ids) == 1 for a in s.book.values()) and len(s.seen) <= 60

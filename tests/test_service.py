@@ -150,3 +150,19 @@ def test_counts_equal_rows_at_every_size_of_cell(spark, points, monkeypatch, sid
                 want[c] = want.get(c, 0) + 1
             assert dict(zip(zip(i.tolist(), j.tolist()), n.tolist())) == want
     assert min(looked_at) < 60
+
+
+def test_places_far_from_the_points_ship_few_cells(spark):
+    import tracemalloc
+
+    rows = [(i, 1000.0 * (i % 2) + i % 7, 1000.0 * (i % 2) + i % 5) for i in range(400)]
+    p = knn.Pyramid(points := spark.createDataFrame(rows, "id long, x double, y double"), 256)
+    places = [(q, 1000.0 - q, 3.0 * q) for q in range(40)]  # in the empty corner: a ball touches most of the 65,536 cells
+    tracemalloc.start()
+    found = knn.grid_join(points, p, places, 3)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 20e6
+    want = [(q, *r) for q, qx, qy in places for r in enumerate((i for _, i in sorted(((x - qx) ** 2 + (y - qy) ** 2, i) for i, x, y in rows)[:3]), 1)]
+    assert sorted((r.qid, r["rank"], r.id) for r in found.collect()) == want
+    assert knn.grid_join(points.limit(0), knn.Pyramid(points.limit(0)), places, 3).count() == 0
