@@ -101,6 +101,10 @@ def dbscan_arrays(x: np.ndarray, y: np.ndarray, eps: float, min_pts: int) -> np.
     return label
 
 
+#: Pairs of a place and a sample point that are compared at once.
+PAIRS = 2**18
+
+
 @dataclass
 class SampleModel:
     """Each place belongs to the cluster of its nearest clustered sample point, unless that is too far away."""
@@ -118,8 +122,9 @@ class SampleModel:
         if not use.any():
             return out
         sx, sy, lab = self.x[use], self.y[use], self.label[use]
-        for at in range(0, len(xs), 4096):
-            cut = slice(at, at + 4096)
+        step = max(1, PAIRS // len(sx))
+        for at in range(0, len(xs), step):
+            cut = slice(at, at + step)
             d2 = (xs[cut, None] - sx) ** 2 + (ys[cut, None] - sy) ** 2
             best = d2.argmin(1)
             ok = d2[np.arange(len(best)), best] <= (math.inf if self.noise_distance is None else self.noise_distance**2)

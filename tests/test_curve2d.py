@@ -122,3 +122,18 @@ def test_the_mean_of_the_nearest_needs_no_matrix(spark, monkeypatch):
         for threshold in (0.5, brute(a, b, l) * 0.999, brute(a, b, l) * 1.001, 60.0):
             edges = merge.top_l({0: a, 1: b, 2: c}, l, threshold)[1]
             assert merge.top_l_table(table, [0, 1, 2], l, threshold)[1] == edges, (l, threshold)
+
+
+def test_a_sample_is_compared_with_many_places_in_small_blocks():
+    import tracemalloc
+
+    x, y = np.random.default_rng(5).random((2, 9000)) * 100
+    model = baselines.SampleModel(x[:3000], y[:3000], np.arange(3000) % 7 - 1, 0.9)
+    use = np.flatnonzero(model.label >= 0)
+    d2 = [(x[use] - a) ** 2 + (y[use] - b) ** 2 for a, b in zip(x[3000:], y[3000:])]
+    want = [model.label[use[d.argmin()]] + 1 if d.min() <= 0.9**2 else 0 for d in d2]
+    tracemalloc.start()
+    got = model.assign_arrays(x[3000:], y[3000:])
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert got.tolist() == want and 0 in want and peak < 30e6
